@@ -12,7 +12,7 @@ from collections.abc import Callable
 import numpy as np
 
 #: White space beside the space and line feed.
-_ODD_BLANK = re.compile("[\t\x0b\x0c\r\x1c-\x1f\x85\xa0  -     　]")
+_ODD_BLANK = re.compile("[\t\x0b\x0c\r\x1c-\x1f\x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000]")
 _INNER_SPACE = re.compile(r"(?<=\S) (?=\S)")
 #: Chunks longer than this are encoded each time and never kept.
 LONGEST_KEPT = 48
