@@ -1,4 +1,4 @@
-"""Byte-level BPE ids of whole texts, by way of a bounded cache of space-separated chunks.
+"""Cutting texts where byte-level BPE may be done piece by piece.
 
 The splitting pattern always cuts before a single space that stands between two other characters, so the
 ids of a text are the ids of its first chunk followed by those of each further chunk with its space in front.
@@ -7,8 +7,6 @@ ids of a text are the ids of its first chunk followed by those of each further c
 from __future__ import annotations
 
 import re
-from collections.abc import Callable
-
 import numpy as np
 
 #: White space beside the space and line feed.
@@ -25,32 +23,5 @@ def space_chunks(text: str) -> list[str]:
     return text.split(" ")
 
 
-class ChunkCache(dict):
-    """Chunk -> little-endian 32-bit ids of the chunk with a space in front. Emptied when it holds `limit` chunks."""
-
-    def __init__(self, encode_many: Callable[[list[str]], list[bytes]], limit: int = 350_000):
-        super().__init__()
-        self.encode_many, self.limit = encode_many, limit
-
-    def encode(self, texts: list[str]) -> list[bytes]:
-        """The ids of each text. A batch adds no more chunks than it has itself."""
-        split = [space_chunks(t) for t in texts]
-        new = {c for chunks in split for c in chunks[1:] if c not in self}
-        if len(self) + len(new) > self.limit:
-            self.clear()
-            new = {c for chunks in split for c in chunks[1:]}
-        long = {c for c in new if len(c) > LONGEST_KEPT}
-        firsts = list(dict.fromkeys(chunks[0] for chunks in split))
-        order = list(new)
-        done = self.encode_many([" " + c for c in order] + firsts)
-        self.update(zip(order, done))
-        first = dict(zip(firsts, done[len(order) :]))
-        get = self.__getitem__
-        out = [first[chunks[0]] + b"".join(map(get, chunks[1:])) for chunks in split]
-        for c in long:
-            del self[c]
-        return out
-
-
 def le32(ids) -> bytes:
     return np.asarray(ids, dtype="<u4").tobytes()

@@ -15,12 +15,52 @@ def _vocabulary(name: str) -> str:
     return public_tokenizers.path(name)
 
 
+def op1_html_text(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from calib.llm.style_tree import extract
+
+    return extract(read_table(spark, sf_dir, "pages"))
+
+
 def op2_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     from calib.llm.packing import pack_documents
 
     return pack_documents(read_table(spark, sf_dir, "documents"), _vocabulary("byte_bpe_50k.json"))
 
 
+def op3_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from calib.llm.rules import judge
+
+    return judge(read_table(spark, sf_dir, "documents"))
+
+
+def op5_top_k(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from calib.llm.topk import search
+
+    table = read_table(spark, sf_dir, "embeddings")
+    return search(table, table.where("vec_id % 20 = 0"))
+
+
+def op6_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
+    import public_tokenizers
+
+    from calib.llm.bpe_fold import decode, digests, encode, read_ranks
+
+    ranks = read_ranks(_vocabulary("byte_bpe_multi_50k.tiktoken"))
+    return digests(decode(encode(read_table(spark, sf_dir, "documents"), public_tokenizers.PATTERN, ranks), ranks))
+
+
+def op7_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from calib.llm.url_filter import judge
+
+    return judge(read_table(spark, sf_dir, "pages"))
+
+
+def op9_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from calib.llm.near_dups import near_duplicates
+
+    return near_duplicates(read_table(spark, sf_dir, "documents"))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {k: f for k, f in globals().items() if k.startswith("op")}
 
