@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from calib.llm.shared import read_table
 
 
-def _vocabulary(name: str) -> str:
+def vocabulary(name: str) -> str:
     import public_tokenizers
 
     return public_tokenizers.path(name)
@@ -24,7 +24,7 @@ def op1_html_text(spark: SparkSession, sf_dir: str) -> DataFrame:
 def op2_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     from calib.llm.packing import pack_documents
 
-    return pack_documents(read_table(spark, sf_dir, "documents"), _vocabulary("byte_bpe_50k.json"))
+    return pack_documents(read_table(spark, sf_dir, "documents"), vocabulary("byte_bpe_50k.json"))
 
 
 def op3_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -33,6 +33,12 @@ def op3_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return judge(read_table(spark, sf_dir, "documents"))
 
 
+def op4_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from calib.llm.weak_labels import judge
+
+    return judge(read_table(spark, sf_dir, "documents"))
+
+
 def op5_top_k(spark: SparkSession, sf_dir: str) -> DataFrame:
     from calib.llm.topk import search
 
@@ -45,7 +51,7 @@ def op6_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
 
     from calib.llm.bpe_fold import decode, digests, encode, read_ranks
 
-    ranks = read_ranks(_vocabulary("byte_bpe_multi_50k.tiktoken"))
+    ranks = read_ranks(vocabulary("byte_bpe_multi_50k.tiktoken"))
     return digests(decode(encode(read_table(spark, sf_dir, "documents"), public_tokenizers.PATTERN, ranks), ranks))
 
 
@@ -55,14 +61,33 @@ def op7_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
     return judge(read_table(spark, sf_dir, "pages"))
 
 
+def op8_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from calib.llm.toxicity import judge
+
+    return judge(read_table(spark, sf_dir, "documents"), read_table(spark, sf_dir, "labels"))
+
+
 def op9_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
     from calib.llm.near_dups import near_duplicates
 
     return near_duplicates(read_table(spark, sf_dir, "documents"))
 
 
+def op10_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from calib.llm.token_counts import maintained
+
+    return maintained(read_table(spark, sf_dir, "documents"), {"words_v1": None, "byte_bpe_50k_v1": vocabulary("byte_bpe_50k.json")})
+
+
+def token_counts_of_words(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The part of op10 that SQL can express."""
+    from calib.llm.token_counts import maintained
+
+    return maintained(read_table(spark, sf_dir, "documents"), {"words_v1": None})
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {k: f for k, f in globals().items() if k.startswith("op")}
+    return {k: f for k, f in globals().items() if k.startswith(("op", "token_counts"))}
 
 
 def oracle_sql() -> dict[str, str]:
