@@ -18,7 +18,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from calib.llm.encoding import LONGEST_KEPT, le32, space_chunks
-from calib.llm.shared import materialize
+from calib.llm.shared import materialize, plus
 
 #: Most words in the dictionary that is sent to the tasks, and most bytes of a word there.
 DICTIONARY, WORD_BYTES = 500_000, 64
@@ -223,7 +223,7 @@ def decode(rows: DataFrame, ranks: dict[bytes, int]) -> DataFrame:
             out = [b"".join(map(piece, np.frombuffer(ids, dtype="<u4").tolist())) for ids in b.column("ids").to_pylist()]
             yield pa.RecordBatch.from_arrays([*b.columns, pa.array(out, pa.binary())], names=[*b.schema.names, "decoded"])
 
-    return rows.mapInArrow(run, rows.schema.add("decoded", "binary"))
+    return rows.mapInArrow(run, plus(rows, decoded="binary"))
 
 
 def digests(rows: DataFrame) -> DataFrame:

@@ -18,7 +18,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from calib.llm.encoding import le32
-from calib.llm.shared import materialize
+from calib.llm.shared import materialize, plus
 
 SEQUENCE = 1024
 #: Ranks are counted in this many parts for each length, so that no length meets in one task.
@@ -174,8 +174,7 @@ def pack(rows: DataFrame, size: int = SEQUENCE) -> DataFrame:
             kept = b.drop_columns(["_part", "_rank"])
             yield pa.RecordBatch.from_arrays([*kept.columns, pa.array(at[:, 2] + rank - at[:, 1]), pa.array(at[:, 3])], names=[*kept.schema.names, "sequence_id", "offset"])
 
-    schema = rows.drop("_part").schema.add("sequence_id", "long").add("offset", "long")
-    return ranked.mapInArrow(run, schema)
+    return ranked.mapInArrow(run, plus(rows.drop("_part"), sequence_id="long", offset="long"))
 
 
 def pack_documents(docs: DataFrame, path: str, end_id: int = 2, size: int = SEQUENCE) -> DataFrame:

@@ -8,6 +8,7 @@ import uuid
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import StructType
 
 #: White space as the contracts have it: space, tab, line feed, vertical tab, form feed, carriage return.
 BLANKS = " \t\n\x0b\f\r"
@@ -41,6 +42,14 @@ def materialize(df: DataFrame, tag: str) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def plus(df: DataFrame, **columns: str) -> StructType:
+    """The schema of df with further columns; df's own is left as it is."""
+    out = StructType(list(df.schema.fields))
+    for name, kind in columns.items():
+        out.add(name, kind)
+    return out
+
+
 def drop_table(df: DataFrame) -> None:
     """Deletes the files below a frame that materialize() gave."""
     spark = df.sparkSession

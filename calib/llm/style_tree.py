@@ -19,7 +19,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from calib.llm.shared import materialize
+from calib.llm.shared import materialize, plus
 from calib.llm.url_filter import url_parts
 
 #: Branches under this importance go, if at least so many pages of the host have them.
@@ -224,4 +224,4 @@ def extract(pages: DataFrame) -> DataFrame:
             texts = [main_text(h, set(r) if r else frozenset()) for h, r in zip(b.column("html").to_pylist(), b.column("removed").to_pylist())]
             yield pa.RecordBatch.from_arrays([b.column("page_id"), b.column("url"), pa.array(texts, pa.string()), pa.array([len(t) for t in texts], pa.int64())], names=["page_id", "url", "text", "n_chars"])
 
-    return rows.mapInArrow(run, pages.select("page_id", "url").schema.add("text", "string").add("n_chars", "long"))
+    return rows.mapInArrow(run, plus(pages.select("page_id", "url"), text="string", n_chars="long"))

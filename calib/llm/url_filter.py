@@ -14,6 +14,8 @@ from pyspark import SparkFiles
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from calib.llm.shared import plus
+
 #: (verdict, host, path prefix).
 RULES = [("allow", "org", "/"), ("block", "example.org", "/es/"), ("block", "example.org", "/en/1"), ("allow", "com", "/fr/"), ("block", "com", "/de/")]
 #: Second-level names that are blocked whatever comes before or after them.
@@ -128,4 +130,4 @@ def judge(pages: DataFrame, rules=RULES, blocked=BLOCKED_HOSTS) -> DataFrame:
             yield pa.RecordBatch.from_arrays([*b.columns, pa.array([None if k is None else texts[k] for k in rule], pa.string()), pa.array(verdicts, pa.string())], names=["page_id", "host", "path", "rule", "verdict"])
 
     rows = url_parts(pages.select("page_id", "url")).select("page_id", "host", "path")
-    return rows.mapInArrow(run, rows.schema.add("rule", "string").add("verdict", "string"))
+    return rows.mapInArrow(run, plus(rows, rule="string", verdict="string"))

@@ -7,20 +7,25 @@ from pyspark.sql import DataFrame, SparkSession
 from calib.llm import near_dups, packing, rules, weak_labels
 from calib.llm.queries import vocabulary
 from calib.llm.shared import materialize, read_table
+from calib.session import shipped
 
 
+@shipped
 def quality_classifier(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     return weak_labels.keep_good(spark, docs)
 
 
+@shipped
 def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     return rules.keep_good(spark, docs)
 
 
+@shipped
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     return near_dups.keep_one_of_each(spark, docs)
 
 
+@shipped
 def best_fit_packing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     return packing.pack_documents(docs, vocabulary("byte_bpe_50k.json"))
 
@@ -36,6 +41,7 @@ STAGES = [
 ORACLE_SQL = None
 
 
+@shipped
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = read_table(spark, sf_dir, "documents")
     for name, stage in STAGES[:-1]:
