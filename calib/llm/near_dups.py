@@ -23,8 +23,10 @@ PERCENT = 75
 #: Signature positions; four of 16 bits each make the 64-bit key of a band. A pair at 0.75 shares one of the 32 bands but for 5 in a million.
 POSITIONS = 128
 BANDS = POSITIONS // 4
-#: Positions that must agree before full sets are compared: at 0.75 fewer agree only beyond five standard deviations.
-AGREE = 70
+#: Positions that must agree before full sets are compared: at 0.75 fewer agree only beyond four standard deviations.
+AGREE = 76
+#: Rounds of comparing with leaders before the rest is compared in full, and ids that may be broadcast.
+TURNS, BROADCAST_IDS = 2, 2_000_000
 #: Text bytes that are hashed together.
 BLOCK = 1 << 20
 
@@ -176,18 +178,23 @@ def _agreeing(a: str, b: str):
     return F.expr(f"aggregate(zip_with({a}, {b}, (x, y) -> x ^ y), 0, (n, z) -> n + {lanes})")
 
 
-def confirmed(pairs: DataFrame, docs: DataFrame, reps: DataFrame) -> DataFrame:
+def confirmed(pairs: DataFrame, reps: DataFrame, sets: DataFrame) -> DataFrame:
     """Those pairs (a, b) of doc_ids whose full sets reach the similarity. Pairs whose signatures differ too much are not compared."""
     side = lambda c: reps.select(F.col("rep").alias(c), F.col("bands").alias(f"{c}_bands"))
     close = pairs.join(side("a"), "a").join(side("b"), "b").where(_agreeing("a_bands", "b_bands") >= AGREE).select("a", "b").distinct()
     close = materialize(close, "close")
-    wanted = close.select(F.col("a").alias("doc_id")).union(close.select("b")).distinct()
-    sets = materialize(full_sets(docs.select("doc_id", "text").join(wanted, "doc_id", "left_semi")), "sets")
     side = lambda c: sets.select(F.col("doc_id").alias(c), F.col("shingles").alias(f"{c}_set"))
     both = close.join(side("a"), "a").join(side("b"), "b").withColumn("common", F.size(F.array_intersect("a_set", "b_set")))
     return materialize(both.where(F.col("common") * (100 + PERCENT) >= PERCENT * (F.size("a_set") + F.size("b_set"))).select("a", "b").distinct(), "links")
 
 
+def only(docs: DataFrame, ids: DataFrame, keep: bool = True) -> DataFrame:
+    """The rows of docs whose doc_id is (or is not) in ids. Up to BROADCAST_IDS are broadcast, so that texts stay where they are."""
+    if ids.count() <= BROADCAST_IDS:
+        ids = F.broadcast(ids)
+    return docs.join(ids, "doc_id", "left_semi" if keep else "left_anti").select(docs.columns)
+
+
 def _local_unions(edges: DataFrame) -> DataFrame:
     """Union-find inside each batch: its edges become stars around their least node."""
 
@@ -235,8 +242,9 @@ def near_duplicates(docs: DataFrame) -> DataFrame:
     """doc_id, n_shingles, component_id and kept for every row of docs (doc_id, text).
 
     Rows with the same set are one class, of which the least doc_id stands for all. In each band's bucket
-    every class is compared with the least one; after grouping, whatever a bucket still holds of different
-    groups is compared in full, so that no bucket needs all its pairs and none is cut off. Null and empty
+    every class is compared with two leaders, and after grouping with two leaders of the bucket's largest group;
+    whatever a bucket then still holds of different groups is compared in full. So a bucket of one group never
+    needs all its pairs, and none is cut off. Null and empty
     texts are linked with nothing; rows with one doc_id count as one document; a null doc_id is never linked.
     """
     found = materialize(signatures(docs), "signatures")
@@ -244,18 +252,27 @@ def near_duplicates(docs: DataFrame) -> DataFrame:
     least = usable.groupBy("digest").agg(F.min(F.struct("doc_id", "bands")).alias("x"))
     reps = materialize(least.select("digest", F.col("x.doc_id").alias("rep"), F.col("x.bands").alias("bands")), "classes")
     buckets = reps.select("rep", F.posexplode("bands").alias("band", "value")).select(F.xxhash64("band", "value").alias("key"), "rep")
-    leads = buckets.groupBy("key").agg(F.min("rep").alias("lead"), F.max("rep").alias("last")).where("lead < last").select("key", "lead")
-    members = materialize(buckets.join(leads, "key"), "members")
-    links = confirmed(members.where("rep <> lead").select(F.col("rep").alias("a"), F.col("lead").alias("b")).distinct(), docs, reps)
-    groups = components(links)
+    shared = buckets.groupBy("key").agg(F.min("rep").alias("lo"), F.max("rep").alias("hi")).where("lo < hi").select("key")
+    members = materialize(buckets.join(shared, "key"), "members")
+    sets = materialize(full_sets(only(docs.select("doc_id", "text"), materialize(members.select(F.col("rep").alias("doc_id")).distinct(), "wanted"))), "sets")
+    links, groups = None, None
+    for turn in range(TURNS + 1):
+        placed = members.withColumn("grp", F.col("rep")).withColumn("n", F.lit(1)) if groups is None else members.join(groups, members.rep == groups.node, "left").select("key", "rep", F.coalesce("component", "rep").alias("grp"), F.coalesce("n", F.lit(1)).alias("n"))
+        order = F.xxhash64("rep", F.lit(turn))
+        mixed = placed.groupBy("key").agg(F.min("grp").alias("lo"), F.max("grp").alias("hi"), F.min(F.struct(-F.col("n"), order, "rep", "grp")).alias("x"), F.max(F.struct("n", order, "rep", "grp")).alias("y")).where("lo < hi")
+        if turn < TURNS:
+            lead = placed.join(mixed.select("key", F.array("x.rep", "y.rep").alias("r"), F.array("x.grp", "y.grp").alias("g")), "key")
+            pairs = lead.select("rep", "grp", F.explode(F.arrays_zip("r", "g")).alias("l")).where("grp <> l.g").select(F.least("rep", "l.r").alias("b"), F.greatest("rep", "l.r").alias("a")).distinct()
+        else:
+            rest = placed.join(mixed.select("key"), "key").join(reps.select("rep", "bands"), "rep")
+            other = rest.select("key", F.col("rep").alias("b"), F.col("grp").alias("b_grp"), F.col("bands").alias("b_bands"))
+            pairs = rest.withColumnRenamed("rep", "a").join(other, "key").where((F.col("grp") < F.col("b_grp")) & (_agreeing("bands", "b_bands") >= AGREE)).select("a", "b").distinct()
+        new = confirmed(pairs, reps, sets)
+        links = new if links is None else links.union(new)
+        found_groups = components(links)
+        sizes = found_groups.groupBy("component").agg((F.count("*") + 1).cast("int").alias("n"))
+        groups = found_groups.union(sizes.select(F.col("component").alias("node"), "component")).join(sizes, "component")
     group = F.coalesce("component", "rep")
-    placed = members.join(groups, members.rep == groups.node, "left").select("key", "rep", group.alias("grp"))
-    mixed = placed.groupBy("key").agg(F.min("grp").alias("lo"), F.max("grp").alias("hi")).where("lo < hi").select("key")
-    rest = placed.join(mixed, "key").join(reps.select("rep", "bands"), "rep")
-    other = rest.select("key", F.col("rep").alias("b"), F.col("grp").alias("b_grp"), F.col("bands").alias("b_bands"))
-    again = rest.withColumnRenamed("rep", "a").join(other, "key").where((F.col("grp") < F.col("b_grp")) & (_agreeing("bands", "b_bands") >= AGREE))
-    more = confirmed(again.select("a", "b").distinct(), docs, reps)
-    groups = components(links.union(more))
     classes = reps.select("digest", "rep").join(groups, reps.rep == groups.node, "left").select("digest", group.alias("component_id"))
     out = found.select("doc_id", "n_shingles", "digest").join(classes, "digest", "left")
     own = F.coalesce("component_id", "doc_id")
@@ -265,4 +282,4 @@ def near_duplicates(docs: DataFrame) -> DataFrame:
 def keep_one_of_each(spark: SparkSession, docs: DataFrame) -> DataFrame:
     """docs without the documents that another one of their group stands for."""
     gone = near_duplicates(docs).where(~F.col("kept") & F.col("doc_id").isNotNull()).select("doc_id").distinct()
-    return docs.join(gone, "doc_id", "left_anti").select(docs.columns)
+    return only(docs, materialize(gone, "gone"), keep=False)
