@@ -255,8 +255,10 @@ def near_duplicates(docs: DataFrame) -> DataFrame:
     shared = buckets.groupBy("key").agg(F.min("rep").alias("lo"), F.max("rep").alias("hi")).where("lo < hi").select("key")
     members = materialize(buckets.join(shared, "key"), "members")
     sets = materialize(full_sets(only(docs.select("doc_id", "text"), materialize(members.select(F.col("rep").alias("doc_id")).distinct(), "wanted"))), "sets")
-    links, groups = None, None
+    links, groups, still = None, None, False
     for turn in range(TURNS + 1):
+        if still and turn < TURNS:  # the last leaders linked nothing
+            continue
         placed = members.withColumn("grp", F.col("rep")).withColumn("n", F.lit(1)) if groups is None else members.join(groups, members.rep == groups.node, "left").select("key", "rep", F.coalesce("component", "rep").alias("grp"), F.coalesce("n", F.lit(1)).alias("n"))
         order = F.xxhash64("rep", F.lit(turn))
         mixed = placed.groupBy("key").agg(F.min("grp").alias("lo"), F.max("grp").alias("hi"), F.min(F.struct(-F.col("n"), order, "rep", "grp")).alias("x"), F.max(F.struct("n", order, "rep", "grp")).alias("y")).where("lo < hi")
@@ -268,6 +270,9 @@ def near_duplicates(docs: DataFrame) -> DataFrame:
             other = rest.select("key", F.col("rep").alias("b"), F.col("grp").alias("b_grp"), F.col("bands").alias("b_bands"))
             pairs = rest.withColumnRenamed("rep", "a").join(other, "key").where((F.col("grp") < F.col("b_grp")) & (_agreeing("bands", "b_bands") >= AGREE)).select("a", "b").distinct()
         new = confirmed(pairs, reps, sets)
+        still = turn > 0 and new.isEmpty()
+        if still:
+            continue
         links = new if links is None else links.union(new)
         found_groups = components(links)
         sizes = found_groups.groupBy("component").agg((F.count("*") + 1).cast("int").alias("n"))
