@@ -22,8 +22,8 @@ from calib.llm.shared import materialize, plus
 
 #: Most words in the dictionary that is sent to the tasks, and most bytes of a word there.
 DICTIONARY, WORD_BYTES = 500_000, 64
-#: Sizes of the two halves of the rank map: primes, so that keys spread by their remainder.
-_HALVES = (262_139, 262_127)
+#: The two halves of the rank map: size, and factors of left and right id whose sum's remainder is a pair's place.
+_HALVES = ((150_001, 92_821, 68_917), (150_011, 31_337, 52_711))
 NO_RANK = 1 << 16
 
 
@@ -43,18 +43,22 @@ def pair_ranks(ranks: dict[bytes, int]) -> dict[tuple[int, int], int]:
     return out
 
 
+def place(a: int, b: int, side: int) -> int:
+    size, left, right = _HALVES[side]
+    return (a * left + b * right) % size + side * _HALVES[0][0]
+
+
 def rank_map(pairs: dict[tuple[int, int], int]) -> list[int]:
-    """The pairs in an array with two places for each key, so that two reads find a rank. An entry is key << 16 | rank; 0 is empty."""
-    size = sum(_HALVES)
-    table = [0] * size
+    """The pairs in an array with two places for each, so that two reads find a rank. An entry is left id, right id and rank, 16 bits each; 0 is empty."""
+    table = [0] * (_HALVES[0][0] + _HALVES[1][0])
     for (a, b), r in pairs.items():
         entry, side = (a << 16 | b) << 16 | r, 0
         for _ in range(500):
-            at = (entry >> 16) % _HALVES[side] + side * _HALVES[0]
+            at = place(entry >> 32, entry >> 16 & 0xFFFF, side)
             entry, table[at] = table[at], entry
             if not entry:
                 break
-            side = 0 if at >= _HALVES[0] else 1
+            side = 0 if at >= _HALVES[0][0] else 1
         else:
             raise ValueError("too many pairs for the rank map")
     return table
@@ -62,7 +66,7 @@ def rank_map(pairs: dict[tuple[int, int], int]) -> list[int]:
 
 def _rank_sql(a: str, b: str) -> str:
     key = f"({a} * 65536L + {b})"
-    places = (f"t[cast({key} % {_HALVES[0]} as int)]", f"t[cast({key} % {_HALVES[1]} as int) + {_HALVES[0]}]")
+    places = [f"t[cast(({a} * {x}L + {b} * {y}L) % {n} as int) + {k * _HALVES[0][0]}]" for k, (n, x, y) in enumerate(_HALVES)]
     return "cast(coalesce(" + ", ".join(f"if(shiftright({p}, 16) = {key}, {p} & 65535L, null)" for p in places) + f", {NO_RANK}) as int)"
 
 

@@ -25,10 +25,12 @@ POSITIONS = 128
 BANDS = POSITIONS // 4
 #: Positions that must agree before full sets are compared: at 0.75 fewer agree only beyond four standard deviations.
 AGREE = 76
-#: Rounds of comparing with leaders before the rest is compared in full, and ids that may be broadcast.
-TURNS, BROADCAST_IDS = 2, 2_000_000
+#: Ids that may be broadcast.
+BROADCAST_IDS = 2_000_000
 #: Text bytes that are hashed together.
 BLOCK = 1 << 20
+#: Set elements that are signed together.
+ELEMENTS = 1 << 16
 
 _P, _MASK = np.uint64(0x9E3779B97F4A7C15), (1 << 64) - 1
 _INV = np.uint64(pow(0x9E3779B97F4A7C15, -1, 1 << 64))
@@ -143,12 +145,19 @@ def signatures(docs: DataFrame) -> DataFrame:
         import xxhash
 
         def signed(held):
-            for a in range(0, len(held), 256):
-                yield super_minhash([s for _, s in held[a : a + 256]])
+            part, size = [], 0
+            for _, x in held:
+                if part and size + len(x) > ELEMENTS:
+                    yield super_minhash(part)
+                    part, size = [], 0
+                part.append(x)
+                size += len(x)
+            if part:
+                yield super_minhash(part)
 
         for batch in batches:
-            for at in range(0, batch.num_rows, 1024):
-                b = batch.slice(at, 1024)
+            for at in range(0, batch.num_rows, 256):
+                b = batch.slice(at, 256)
                 n, digests, bands = np.zeros(b.num_rows, np.int64), [None] * b.num_rows, [None] * b.num_rows
                 held = list(shingle_sets(b.column("text")))
                 for (i, s), keys in zip(held, (row for block in signed(held) for row in block.view(np.int64))):
@@ -252,31 +261,26 @@ def near_duplicates(docs: DataFrame) -> DataFrame:
     least = usable.groupBy("digest").agg(F.min(F.struct("doc_id", "bands")).alias("x"))
     reps = materialize(least.select("digest", F.col("x.doc_id").alias("rep"), F.col("x.bands").alias("bands")), "classes")
     buckets = reps.select("rep", F.posexplode("bands").alias("band", "value")).select(F.xxhash64("band", "value").alias("key"), "rep")
-    shared = buckets.groupBy("key").agg(F.min("rep").alias("lo"), F.max("rep").alias("hi")).where("lo < hi").select("key")
+    shared = buckets.groupBy("key").agg(F.min("rep").alias("lo"), F.max("rep").alias("hi")).where("lo < hi")
     members = materialize(buckets.join(shared, "key"), "members")
     sets = materialize(full_sets(only(docs.select("doc_id", "text"), materialize(members.select(F.col("rep").alias("doc_id")).distinct(), "wanted"))), "sets")
-    links, groups, still = None, None, False
-    for turn in range(TURNS + 1):
-        if still and turn < TURNS:  # the last leaders linked nothing
-            continue
-        placed = members.withColumn("grp", F.col("rep")).withColumn("n", F.lit(1)) if groups is None else members.join(groups, members.rep == groups.node, "left").select("key", "rep", F.coalesce("component", "rep").alias("grp"), F.coalesce("n", F.lit(1)).alias("n"))
-        order = F.xxhash64("rep", F.lit(turn))
-        mixed = placed.groupBy("key").agg(F.min("grp").alias("lo"), F.max("grp").alias("hi"), F.min(F.struct(-F.col("n"), order, "rep", "grp")).alias("x"), F.max(F.struct("n", order, "rep", "grp")).alias("y")).where("lo < hi")
-        if turn < TURNS:
-            lead = placed.join(mixed.select("key", F.array("x.rep", "y.rep").alias("r"), F.array("x.grp", "y.grp").alias("g")), "key")
-            pairs = lead.select("rep", "grp", F.explode(F.arrays_zip("r", "g")).alias("l")).where("grp <> l.g").select(F.least("rep", "l.r").alias("b"), F.greatest("rep", "l.r").alias("a")).distinct()
-        else:
-            rest = placed.join(mixed.select("key"), "key").join(reps.select("rep", "bands"), "rep")
-            other = rest.select("key", F.col("rep").alias("b"), F.col("grp").alias("b_grp"), F.col("bands").alias("b_bands"))
-            pairs = rest.withColumnRenamed("rep", "a").join(other, "key").where((F.col("grp") < F.col("b_grp")) & (_agreeing("bands", "b_bands") >= AGREE)).select("a", "b").distinct()
-        new = confirmed(pairs, reps, sets)
-        still = turn > 0 and new.isEmpty()
-        if still:
-            continue
-        links = new if links is None else links.union(new)
-        found_groups = components(links)
-        sizes = found_groups.groupBy("component").agg((F.count("*") + 1).cast("int").alias("n"))
-        groups = found_groups.union(sizes.select(F.col("component").alias("node"), "component")).join(sizes, "component")
+    pair = lambda c: F.struct(F.least("rep", c).alias("b"), F.greatest("rep", c).alias("a"))
+    pairs = members.select(F.explode(F.array(pair("lo"), pair("hi"))).alias("p")).select("p.a", "p.b").where("a <> b").distinct()
+    links = confirmed(pairs, reps, sets)
+    groups = components(links)
+    rest = materialize(mixed_buckets(members.select("key", "rep"), groups), "mixed")
+    pairs = rest.select("grp", "rep", F.explode(F.array(F.col("x"), F.col("y"))).alias("l")).where("grp <> l.grp").select(F.greatest("rep", "l.rep").alias("a"), F.least("rep", "l.rep").alias("b")).distinct()
+    more = confirmed(pairs, reps, sets)
+    if not more.isEmpty():
+        links = links.union(more)
+        groups = components(links)
+        rest = materialize(mixed_buckets(rest.select("key", "rep"), groups), "mixed")
+    rest = rest.select("key", "rep", "grp").join(reps.select("rep", "bands"), "rep")
+    other = rest.select("key", F.col("rep").alias("b"), F.col("grp").alias("b_grp"), F.col("bands").alias("b_bands"))
+    pairs = rest.withColumnRenamed("rep", "a").join(other, "key").where((F.col("grp") < F.col("b_grp")) & (_agreeing("bands", "b_bands") >= AGREE)).select("a", "b").distinct()
+    more = confirmed(pairs, reps, sets)
+    if not more.isEmpty():
+        groups = components(links.union(more))
     group = F.coalesce("component", "rep")
     classes = reps.select("digest", "rep").join(groups, reps.rep == groups.node, "left").select("digest", group.alias("component_id"))
     out = found.select("doc_id", "n_shingles", "digest").join(classes, "digest", "left")
@@ -284,6 +288,18 @@ def near_duplicates(docs: DataFrame) -> DataFrame:
     return out.select("doc_id", "n_shingles", F.when(F.col("doc_id").isNotNull(), own).alias("component_id"), F.coalesce(F.col("doc_id") == own, F.lit(False)).alias("kept"))
 
 
+def mixed_buckets(members: DataFrame, groups: DataFrame) -> DataFrame:
+    """Members (key, rep) of buckets that hold several groups, with their group grp and two leaders x and y of the bucket's largest group."""
+    sizes = groups.groupBy("component").agg((F.count("*") + 1).alias("n"))
+    known = groups.join(sizes, "component").select("node", "component", "n").union(sizes.select(F.col("component").alias("node"), "component", "n"))
+    placed = members.join(known, members.rep == known.node, "left").select("key", "rep", F.coalesce("component", "rep").alias("grp"), F.coalesce("n", F.lit(1)).alias("n"))
+    order = F.xxhash64("rep", F.lit(1))
+    several = placed.groupBy("key").agg(F.min("grp").alias("lo"), F.max("grp").alias("hi")).where("lo < hi").select("key")
+    placed = materialize(placed.join(several, "key"), "placed")
+    lead = placed.groupBy("key").agg(F.min(F.struct(-F.col("n"), order, "rep", "grp")).alias("x"), F.max(F.struct("n", order, "rep", "grp")).alias("y"))
+    return placed.select("key", "rep", "grp").join(lead.select("key", F.struct("x.rep", "x.grp").alias("x"), F.struct("y.rep", "y.grp").alias("y")), "key")
+
+
 def keep_one_of_each(spark: SparkSession, docs: DataFrame) -> DataFrame:
     """docs without the documents that another one of their group stands for."""
     gone = near_duplicates(docs).where(~F.col("kept") & F.col("doc_id").isNotNull()).select("doc_id").distinct()

@@ -18,7 +18,7 @@ from pyspark.sql import functions as F
 WINDOW, STRIDE = 32, 16
 WORD_ROWS, CHAR_ROWS, DIM, HIDDEN, ATTENTION = 1 << 14, 1 << 13, 12, 12, 8
 #: Labelled documents to train on at most, of label 1 and 0, and windows of one of them.
-POSITIVES, NEGATIVES, TRAIN_WINDOWS = 1200, 2400, 48
+POSITIVES, NEGATIVES, TRAIN_WINDOWS = 1200, 2400, 24
 THRESHOLD = 0.7
 _WORDS = re.compile(r"[^\W_]+")
 #: Distinct words that a task keeps before it starts afresh.
@@ -156,7 +156,7 @@ def gradient(p: dict, words: list[str], at: np.ndarray, y: np.ndarray) -> tuple[
     return loss, g
 
 
-def train(texts: list[str], labels: list[int], epochs: int = 10, batch: int = 48, rate: float = 0.01, seed: int = 7) -> dict[str, np.ndarray]:
+def train(texts: list[str], labels: list[int], epochs: int = 8, batch: int = 48, rate: float = 0.01, seed: int = 7) -> dict[str, np.ndarray]:
     """Adam on the most toxic window of each text. Without both labels the untrained network is returned."""
     p, r = initial(seed), np.random.default_rng(seed)
     if len(set(labels)) < 2:
