@@ -2,5 +2,7 @@
 
 from __future__ import annotations
 
-QUERIES: dict = {}
-ORACLES: dict[str, str] = {}
+from calib import queries_experiments, queries_methods, queries_surface  # noqa: F401  they register themselves
+from calib.registry import ORACLES, QUERIES
+
+__all__ = ["ORACLES", "QUERIES"]

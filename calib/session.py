@@ -1,13 +1,14 @@
-"""Making the package known to executors."""
+"""Making the package known to executors, and tables in the folder that they share."""
 
 from __future__ import annotations
 
 import tempfile
+import uuid
 import zipfile
 from functools import wraps
 from pathlib import Path
 
-from pyspark.sql import SparkSession
+from pyspark.sql import DataFrame, SparkSession
 
 PACKAGE = Path(__file__).resolve().parent
 
@@ -34,3 +35,26 @@ def shipped(f):
         return f(spark, *args, **kwargs)
 
     return run
+
+
+def shared_dir(spark: SparkSession, tag: str) -> str:
+    """A new folder below the shared one that the session names in spark.checkpoint.dir.
+
+    Where the setting is absent, a temporary folder stands in, but only in local mode: on a cluster
+    the executors could not see it.
+    """
+    base = spark.conf.get("spark.checkpoint.dir", None)
+    if not base:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("spark.checkpoint.dir must name a folder that all executors share")
+        base = getattr(spark.sparkContext, "_calib_scratch", None)
+        if base is None:
+            base = spark.sparkContext._calib_scratch = "file://" + tempfile.mkdtemp(prefix="calib-")
+    return f"{base.rstrip('/')}/{tag}-{uuid.uuid4().hex}"
+
+
+def materialize(df: DataFrame, tag: str) -> DataFrame:
+    """The frame, written to the shared folder and read again: its lineage is cut, and lost executors cost nothing."""
+    path = shared_dir(df.sparkSession, tag)
+    df.write.parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path)
