@@ -253,7 +253,7 @@ def estimator_bias(spark, sf_dir):
     ex, q = line(spark, sf_dir), 0.1
     f = F.sum(SVM.f.column(dot_wide(views.wide(5), W), F.col("y")))
     truth = ex.agg(f.alias("f")).first()["f"]
-    out = [(k, round(df.agg(f.alias("f")).first()["f"] / q / truth, 4)) for k, df in (("key", bernoulli(ex, q)), ("feature", feature_sample(ex, "x2", q)))]
+    out = [(k, round((df.agg(f.alias("f")).first()["f"] or 0.0) / q / truth, 4)) for k, df in (("key", bernoulli(ex, q)), ("feature", feature_sample(ex, "x0", q)))]
     return rows(spark, out, "sample string, ratio double")
 
 

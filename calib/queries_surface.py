@@ -103,10 +103,10 @@ def range_join_blocks(spark, sf_dir):
     """Events inside check windows: both sides are cut into hours, joined by hour, and the rest is a filter."""
     e = views.table(spark, sf_dir, "events")
     least = e.agg(F.min("event_type").alias("least"))
-    w = e.join(F.broadcast(least), F.col("event_type") == F.col("least")).select(F.col("event_id").alias("id"), F.unix_micros("ts").alias("t"))
+    w = e.join(F.broadcast(least), F.col("event_type") == F.col("least")).select(F.col("event_id").alias("id"), F.unix_micros(F.col("ts").cast("timestamp")).alias("t"))
     hour, span = 3_600_000_000, 5_400_000_000
     cut = w.select("id", "t", F.explode(F.sequence(F.floor(F.col("t") / hour), F.floor((F.col("t") + span - 1) / hour))).alias("h"))
-    ev = e.select(F.unix_micros("ts").alias("ts"), "value", F.floor(F.unix_micros("ts") / hour).alias("h"))
+    ev = e.select(F.unix_micros(F.col("ts").cast("timestamp")).alias("ts"), "value", F.floor(F.unix_micros(F.col("ts").cast("timestamp")) / hour).alias("h"))
     hits = cut.join(ev, "h").where((F.col("ts") >= F.col("t")) & (F.col("ts") < F.col("t") + span)).groupBy("id").agg(F.count(F.lit(1)).alias("n"), F.sum("value").alias("v"))
     return w.select("id").join(hits, "id", "left").select("id", F.coalesce("n", F.lit(0)).cast("long").alias("n"), F.round(F.coalesce("v", F.lit(0.0)), 4).alias("total"))
 
@@ -342,7 +342,6 @@ def stream_user_igd(spark, sf_dir):
     path, out = shared_dir(spark, "events"), shared_dir(spark, "models")
     e = views.event_features(views.table(spark, sf_dir, "events"))
     e.repartition(2).write.parquet(path)
-    spark.conf.set("spark.sql.streaming.stateStore.providerClass", "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
     s = spark.readStream.schema(e.schema).parquet(path)
 
     def keep(df: DataFrame, batch: int) -> None:
@@ -380,7 +379,7 @@ def sql_loss(spark, sf_dir):
 
 @query("SELECT 1000::BIGINT AS n, 125::BIGINT AS mine, 2::BIGINT AS labels")
 def separable_source(spark, sf_dir):
-    spark.dataSource.register(formats.SeparableSource)
+    formats.register(spark)
     df = spark.read.format("separable").options(rows="1000", dims="6", blocks="8").load()
     mine = df.where("blk = 3").agg(F.count(F.lit(1)).alias("mine"))
     return df.agg(F.count(F.lit(1)).alias("n"), F.countDistinct("y").alias("labels")).join(mine).select("n", "mine", "labels")

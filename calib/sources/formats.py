@@ -2,8 +2,11 @@
 
 from __future__ import annotations
 
+import sys
+
 import numpy as np
 import pyarrow as pa
+from pyspark import cloudpickle
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.datasource import DataSource, DataSourceReader, EqualTo, In, InputPartition
@@ -47,6 +50,13 @@ class SeparableSource(DataSource):
         return SeparableReader(self.options)
 
 
+def register(spark: SparkSession) -> None:
+    """Makes the source known to a session. Spark's planner runs it in a process that gets no files, so its code travels by value."""
+    cloudpickle.register_pickle_by_value(sys.modules[__name__])
+    spark.conf.set("spark.sql.python.filterPushdown.enabled", "true")
+    spark.dataSource.register(SeparableSource)
+
+
 class SeparableReader(DataSourceReader):
     def __init__(self, options):
         get = lambda k, v: type(v)(options.get(k, v))

@@ -8,7 +8,7 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
-from pyspark.sql.streaming import StatefulProcessor, StatefulProcessorHandle
+from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from calib.functions.losses import Spec
 from calib.operators.estimators import estimate
@@ -60,33 +60,22 @@ def watermarked(events: DataFrame, delay: str = "1 hour") -> DataFrame:
     return events.withWatermark("ts", delay).dropDuplicatesWithinWatermark(["event_id"])
 
 
-class UserModel(StatefulProcessor):
-    """A linear model for each user, moved by one step for each event as it comes."""
+def user_models(events: DataFrame, d: int = 6, alpha: float = 0.1, loss: str = "lr") -> DataFrame:
+    """A linear model for each user, moved by one step for each event as it comes: the state of users with new events, after them."""
+    xs, spec = [f"x{j}" for j in range(d)], Spec(loss)
 
-    def __init__(self, d: int, alpha: float, loss: str = "lr"):
-        self.d, self.alpha, self.spec = d, alpha, Spec(loss)
-
-    def init(self, handle: StatefulProcessorHandle) -> None:
-        self.state = handle.getValueState("model", "n long, w array<double>")
-
-    def handleInputRows(self, key, rows: Iterator[pd.DataFrame], timer_values) -> Iterator[pd.DataFrame]:
-        n, w = self.state.get() if self.state.exists() else (0, [0.0] * self.d)
+    def step(key: tuple, parts: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
+        n, w = state.get if state.exists else (0, [0.0] * d)
         w = np.array(w, dtype=float)
-        for pdf in rows:
+        for pdf in parts:
             pdf = pdf.sort_values("event_id")
-            for x, y in zip(pdf[[f"x{j}" for j in range(self.d)]].to_numpy(), pdf["y"].to_numpy()):
-                w -= self.alpha * float(self.spec.f.slope(w @ x, y)) * x
+            for x, y in zip(pdf[xs].to_numpy(), pdf["y"].to_numpy()):
+                w -= alpha * float(spec.f.slope(w @ x, y)) * x
                 n += 1
-        self.state.update((n, w.tolist()))
+        state.update((n, w.tolist()))
         yield pd.DataFrame({"user_id": [key[0]], "n": [n], "w": [w.tolist()]})
 
-    def close(self) -> None:
-        pass
-
-
-def user_models(events: DataFrame, d: int = 6, alpha: float = 0.1) -> DataFrame:
-    """The state of every user that has new events, after them."""
-    return events.groupBy("user_id").transformWithStateInPandas(UserModel(d, alpha), "user_id long, n long, w array<double>", "Update", "None")
+    return events.groupBy("user_id").applyInPandasWithState(step, "user_id long, n long, w array<double>", "n long, w array<double>", "update", GroupStateTimeout.NoTimeout)
 
 
 def score_stream(events: DataFrame, models: DataFrame) -> DataFrame:
