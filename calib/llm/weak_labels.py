@@ -21,7 +21,8 @@ from calib.llm.shared import BLANKS, WORD_RE, words_of
 TRAIN_DOCS = 6000
 #: Size of the scorer's table, a power of two.
 ROWS = 1 << 16
-KEEP = 0.5
+#: P(good) from which a document is kept; doubt is for the document.
+KEEP = 0.4
 
 
 def labellers(text: Column) -> dict[str, Column]:
@@ -68,8 +69,7 @@ def expectation_maximisation(counts: dict[str, int], rounds: int = 200, smooth:
     patterns = sorted(counts)
     v = np.array([["-0+".index(x) for x in p] for p in patterns])
     w = np.array([counts[p] for p in patterns], dtype=float)
-    tally = (v == 2).sum(axis=1) - 2 * (v == 0).sum(axis=1)  # a bad vote outweighs a good one to begin with
-    good = np.where(tally > 0, 0.95, 0.05)
+    good = np.choose(np.minimum(2, (v == 0).sum(axis=1)), [0.95, 0.6, 0.05])  # to begin with, two bad votes outweigh any good ones
     hot = np.eye(3)[v]
     for _ in range(rounds):
         share = (w @ good + smooth) / (w.sum() + 2 * smooth)
@@ -115,15 +115,14 @@ class Features:
         again = float((ids[1:, 0] == ids[:-1, 0]).mean()) if n > 1 else 0.0
         seen = len(np.unique(ids[:, 0])) / n
         at, count = np.unique(ids, return_counts=True)
-        x = (count / n).astype(np.float32)
+        x = (count / max(n, 20)).astype(np.float32)  # what a short text has says little
         x = np.where(np.isin(at, ids[:, 1]), x, x * np.float32(0.2))  # a word says less than its shape
-        return np.concatenate([[0, 1, 2], at]), np.concatenate([[1.0, again, (1 - seen) * min(1, n / 100)], x]).astype(np.float32)
+        return np.concatenate([[0, 1, 2], at]), np.concatenate([[1.0, again * min(1, n / 20), (1 - seen) * min(1, n / 100)], x]).astype(np.float32)
 
 
 def train(rows: list[tuple[np.ndarray, np.ndarray]], target: np.ndarray, epochs: int = 12, rate: float = 1.0) -> np.ndarray:
-    """Logistic regression on soft labels by adaptive gradient steps over small batches; both classes weigh the same."""
+    """Logistic regression on soft labels by adaptive gradient steps over small batches."""
     weights, square, r = np.zeros(ROWS), np.full(ROWS, 1e-6), np.random.default_rng(7)
-    even = np.where(target > 0.5, 0.5 / max(1e-9, target.mean()), 0.5 / max(1e-9, 1 - target.mean()))
     for _ in range(epochs):
         order = r.permutation(len(rows))
         for a in range(0, len(order), 16):
@@ -131,7 +130,7 @@ def train(rows: list[tuple[np.ndarray, np.ndarray]], target: np.ndarray, epochs:
             at, x = [], []
             for i in order[a : a + 16]:
                 k, v = rows[i]
-                d = even[i] * (1 / (1 + np.exp(-np.clip(weights[k] @ v, -30, 30))) - target[i])
+                d = (1 / (1 + np.exp(-np.clip(weights[k] @ v, -30, 30))) - target[i])
                 at.append(k)
                 x.append(d * v)
             at, place = np.unique(np.concatenate(at), return_inverse=True)
@@ -189,9 +188,9 @@ def keep_good(spark: SparkSession, docs: DataFrame) -> DataFrame:
     names = docs.columns
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        make, w = Features(), sent.value
+        make, w, least = Features(), sent.value, np.log(KEEP / (1 - KEEP))
         for b in batches:
-            good = [float(w[k] @ x) >= 0 for k, x in map(make.of, b.column("text").to_pylist())]
+            good = [float(w[k] @ x) >= least for k, x in map(make.of, b.column("text").to_pylist())]
             yield b.filter(pa.array(good, pa.bool_()))
 
     return docs.select(names).mapInArrow(run, docs.schema)
