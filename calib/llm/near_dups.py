@@ -12,7 +12,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from calib.llm.shared import materialize
@@ -25,6 +25,8 @@ POSITIONS = 128
 BANDS = POSITIONS // 4
 #: Positions that must agree before full sets are compared: at 0.75 fewer agree only beyond four standard deviations.
 AGREE = 76
+#: Leaders that a class is compared with before the rest is compared in full, and edges of one task's union-find.
+LEADS, EDGES = 8, 200_000
 #: Ids that may be broadcast.
 BROADCAST_IDS = 2_000_000
 #: Text bytes that are hashed together.
@@ -205,27 +207,34 @@ def only(docs: DataFrame, ids: DataFrame, keep: bool = True) -> DataFrame:
 
 
 def _local_unions(edges: DataFrame) -> DataFrame:
-    """Union-find inside each batch: its edges become stars around their least node."""
+    """Union-find inside each task, over at most so many nodes at once: its edges become stars around their least node."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            parent: dict[int, int] = {}
+        parent: dict[int, int] = {}
+
+        def find(x: int) -> int:
+            root = x
+            while (up := parent.setdefault(root, root)) != root:
+                root = up
+            while parent[x] != root:
+                parent[x], x = root, parent[x]
+            return root
 
-            def find(x: int) -> int:
-                root = x
-                while (up := parent.setdefault(root, root)) != root:
-                    root = up
-                while parent[x] != root:
-                    parent[x], x = root, parent[x]
-                return root
+        def stars() -> pa.RecordBatch:
+            rows = [(x, r) for x in list(parent) if (r := find(x)) != x]
+            parent.clear()
+            return pa.RecordBatch.from_arrays([pa.array([x for x, _ in rows], pa.int64()), pa.array([r for _, r in rows], pa.int64())], names=["a", "b"])
 
+        for batch in batches:
             for a, b in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
                 a, b = find(a), find(b)
                 parent[max(a, b)] = min(a, b)
-            rows = [(x, r) for x in list(parent) if (r := find(x)) != x]
-            yield pa.RecordBatch.from_arrays([pa.array([x for x, _ in rows], pa.int64()), pa.array([r for _, r in rows], pa.int64())], names=["a", "b"])
+            if len(parent) > EDGES:
+                yield stars()
+        yield stars()
 
-    return edges.select("a", "b").mapInArrow(run, "a long, b long")
+    few = max(1, -(-edges.count() // EDGES))
+    return edges.select("a", "b").coalesce(few).mapInArrow(run, "a long, b long")
 
 
 def components(edges: DataFrame) -> DataFrame:
@@ -264,13 +273,11 @@ def near_duplicates(docs: DataFrame) -> DataFrame:
     shared = buckets.groupBy("key").agg(F.min("rep").alias("lo"), F.max("rep").alias("hi")).where("lo < hi")
     members = materialize(buckets.join(shared, "key"), "members")
     sets = materialize(full_sets(only(docs.select("doc_id", "text"), materialize(members.select(F.col("rep").alias("doc_id")).distinct(), "wanted"))), "sets")
-    pair = lambda c: F.struct(F.least("rep", c).alias("b"), F.greatest("rep", c).alias("a"))
-    pairs = members.select(F.explode(F.array(pair("lo"), pair("hi"))).alias("p")).select("p.a", "p.b").where("a <> b").distinct()
-    links = confirmed(pairs, reps, sets)
+    links = confirmed(nearest(members.select("rep", F.explode(F.array("lo", "hi")).alias("lead")).where("rep <> lead")), reps, sets)
     groups = components(links)
     rest = materialize(mixed_buckets(members.select("key", "rep"), groups), "mixed")
-    pairs = rest.select("grp", "rep", F.explode(F.array(F.col("x"), F.col("y"))).alias("l")).where("grp <> l.grp").select(F.greatest("rep", "l.rep").alias("a"), F.least("rep", "l.rep").alias("b")).distinct()
-    more = confirmed(pairs, reps, sets)
+    leads = rest.select("grp", "rep", F.explode(F.array("x", "y")).alias("l")).where("grp <> l.grp").select("rep", F.col("l.rep").alias("lead"))
+    more = confirmed(nearest(leads), reps, sets)
     if not more.isEmpty():
         links = links.union(more)
         groups = components(links)
@@ -288,6 +295,13 @@ def near_duplicates(docs: DataFrame) -> DataFrame:
     return out.select("doc_id", "n_shingles", F.when(F.col("doc_id").isNotNull(), own).alias("component_id"), F.coalesce(F.col("doc_id") == own, F.lit(False)).alias("kept"))
 
 
+def nearest(leads: DataFrame) -> DataFrame:
+    """Pairs (a, b) of each rep and the LEADS leaders with whom it shares most buckets. What is left out is compared with the rest later."""
+    counts = leads.groupBy("rep", "lead").agg(F.count("*").alias("n"))
+    best = counts.withColumn("at", F.row_number().over(Window.partitionBy("rep").orderBy(F.desc("n"), "lead"))).where(F.col("at") <= LEADS)
+    return best.select(F.greatest("rep", "lead").alias("a"), F.least("rep", "lead").alias("b")).distinct()
+
+
 def mixed_buckets(members: DataFrame, groups: DataFrame) -> DataFrame:
     """Members (key, rep) of buckets that hold several groups, with their group grp and two leaders x and y of the bucket's largest group."""
     sizes = groups.groupBy("component").agg((F.count("*") + 1).alias("n"))
