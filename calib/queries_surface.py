@@ -380,8 +380,8 @@ def sql_loss(spark, sf_dir):
 @query("SELECT 1000::BIGINT AS n, 125::BIGINT AS mine, 2::BIGINT AS labels")
 def separable_source(spark, sf_dir):
     formats.register(spark)
-    df = spark.read.format("separable").options(rows="1000", dims="6", blocks="8").load()
-    mine = df.where("blk = 3").agg(F.count(F.lit(1)).alias("mine"))
+    load = lambda: spark.read.format("separable").options(rows="1000", dims="6", blocks="8").load()
+    df, mine = load(), load().where("blk = 3").agg(F.count(F.lit(1)).alias("mine"))
     return df.agg(F.count(F.lit(1)).alias("n"), F.countDistinct("y").alias("labels")).join(mine).select("n", "mine", "labels")
 
 
