@@ -21,10 +21,12 @@ from calib.llm.encoding import LONGEST_KEPT, le32, space_chunks
 from calib.llm.shared import materialize, plus
 
 #: Most words in the dictionary that is sent to the tasks, and most bytes of a word there.
-DICTIONARY, WORD_BYTES = 500_000, 64
+DICTIONARY, WORD_BYTES = 1_000_000, 64
 #: The two halves of the rank map: size, and factors of left and right id whose sum's remainder is a pair's place.
 _HALVES = ((150_001, 92_821, 68_917), (150_011, 31_337, 52_711))
 NO_RANK = 1 << 16
+#: Digests, ends of words and their bytes, ends of ids and ids (16 bits each).
+Known = tuple[np.ndarray, np.ndarray, bytes, np.ndarray, np.ndarray]
 
 
 def read_ranks(path: str) -> dict[bytes, int]:
@@ -70,26 +72,29 @@ def _rank_sql(a: str, b: str) -> str:
     return "cast(coalesce(" + ", ".join(f"if(shiftright({p}, 16) = {key}, {p} & 65535L, null)" for p in places) + f", {NO_RANK}) as int)"
 
 
-def fold_sql(word: str) -> str:
-    """SQL for the ids of one binary word; t is the rank map and bytes the rank of each byte."""
+def fold_sql(ids: str) -> str:
+    """SQL for the ids of one word, from the ids of its bytes; t is the rank map."""
     none = "cast(array() as array<int>)"
-    step = f"""transform(array(cast(array_position(s.rk, array_min(s.rk)) as int)), p -> named_struct(
-        'ids', concat(slice(s.ids, 1, p - 1), array(s.rk[p - 1]), slice(s.ids, p + 2, size(s.ids))),
+    step = f"""transform(array(cast(array_position(s.rk, s.least) as int)), p -> named_struct(
+        'ids', concat(slice(s.ids, 1, p - 1), array(s.least), slice(s.ids, p + 2, size(s.ids))),
         'rk', concat(slice(s.rk, 1, greatest(p - 2, 0)),
-                     if(p > 1, array({_rank_sql("s.ids[p - 2]", "s.rk[p - 1]")}), {none}),
-                     if(p + 2 <= size(s.ids), array({_rank_sql("s.rk[p - 1]", "s.ids[p + 1]")}), {none}),
+                     if(p > 1, array({_rank_sql("s.ids[p - 2]", "s.least")}), {none}),
+                     if(p + 2 <= size(s.ids), array({_rank_sql("s.least", "s.ids[p + 1]")}), {none}),
                      slice(s.rk, p + 2, size(s.rk)))))[0]"""
-    start = f"""transform(array(transform(sequence(1, length({word})), i -> bytes[cast(conv(hex(substring({word}, i, 1)), 16, 10) as int)])),
-        ids -> named_struct('ids', ids, 'rk', if(size(ids) < 2, {none}, transform(sequence(1, size(ids) - 1), i -> {_rank_sql("ids[i - 1]", "ids[i]")}))))[0]"""
-    return f"if(length({word}) = 0, {none}, aggregate(sequence(1, length({word})), {start}, (s, _) -> if(coalesce(array_min(s.rk), {NO_RANK}) < {NO_RANK}, {step}, s), s -> s.ids))"
+    least = lambda x: f"transform(array({x}), v -> named_struct('ids', v.ids, 'rk', v.rk, 'least', coalesce(array_min(v.rk), {NO_RANK})))[0]"
+    start = f"named_struct('ids', {ids}, 'rk', if(size({ids}) < 2, {none}, zip_with(slice({ids}, 1, size({ids}) - 1), slice({ids}, 2, size({ids}) - 1), (a, b) -> {_rank_sql('a', 'b')})))"
+    return f"if(size({ids}) < 2, {ids}, aggregate(sequence(2, size({ids})), {least(start)}, (s, _) -> if(s.least < {NO_RANK}, {least(step)}, s), s -> s.ids))"
 
 
-def merged(words: str, ranks: dict[bytes, int]):
-    """Column: the ids of each binary word of an array column. The rank map is a literal that is read once a row."""
+def merged(words: str, ranks: dict[bytes, int], bytes_given: bool = False):
+    """Column: the ids of each word of an array column: binary words, or (bytes_given) arrays of their bytes' ids. The rank map is a literal that is read once a row."""
     table = ",".join(map(str, rank_map(pair_ranks(ranks))))
     byte = ",".join(str(ranks[bytes([b])]) for b in range(256))
     lit = lambda xs, kind: f"cast(split('{xs}', ',') as array<{kind}>)"
-    return F.expr(f"transform(array(named_struct('t', {lit(table, 'bigint')}, 'b', {lit(byte, 'int')})), m -> transform({words}, w -> {fold_sql('w').replace('t[', 'm.t[').replace('bytes[', 'm.b[')}))[0]")
+    if not bytes_given:
+        cut = "if(length(x) = 0, cast(array() as array<int>), transform(sequence(1, length(x)), i -> m.b[cast(conv(hex(substring(x, i, 1)), 16, 10) as int)]))"
+        words = f"transform({words}, x -> {cut})"
+    return F.expr(f"transform(array(named_struct('t', {lit(table, 'bigint')}, 'b', {lit(byte, 'int')})), m -> transform({words}, w -> {fold_sql('w').replace('t[', 'm.t[')}))[0]")
 
 
 def _splitter(pattern: str):
@@ -126,7 +131,7 @@ def word_counts(docs: DataFrame, pattern: str) -> DataFrame:
     return docs.select(F.col("text").cast("string")).mapInArrow(run, "word string, n long")
 
 
-def dictionary(docs: DataFrame, pattern: str, ranks: dict[bytes, int], limit: int = DICTIONARY) -> tuple[list[bytes], list[bytes]]:
+def dictionary(docs: DataFrame, pattern: str, ranks: dict[bytes, int], limit: int = DICTIONARY) -> Known:
     """The most frequent words, at most `limit`, and the ids of each. Which counts make the limit is read off a histogram."""
     counts = word_counts(docs, pattern).groupBy("word").agg(F.sum("n").alias("n")).where(F.expr(f"n > 1 AND octet_length(word) <= {WORD_BYTES}"))
     counts = materialize(counts, "words")
@@ -138,71 +143,107 @@ def dictionary(docs: DataFrame, pattern: str, ranks: dict[bytes, int], limit: in
             break
         least = r["step"]
     if least is None:
-        return [], []
+        return np.zeros(0, np.uint64), np.zeros(1, np.int64), b"", np.zeros(1, np.int64), np.zeros(0, "<u2")
     words = counts.where(step >= least).select(F.encode("word", "UTF-8").alias("word"))
-    found = words.withColumn("ids", merged("array(word)", ranks)[0]).toArrow().combine_chunks()
-    word, ids = (found.column(k).combine_chunks() for k in ("word", "ids"))
-    flat, at = le32(ids.values.to_numpy(zero_copy_only=False)), ids.offsets.to_numpy()
-    return word.to_pylist(), [flat[4 * a : 4 * b] for a, b in zip(at[:-1], at[1:])]
+    return packed(words.withColumn("ids", merged("array(word)", ranks)[0]).toArrow())
 
 
-def encode(docs: DataFrame, pattern: str, ranks: dict[bytes, int]) -> DataFrame:
-    """doc_id and ids (little-endian unsigned 32-bit) of every whole text; null and empty texts have none.
+def packed(found: pa.Table) -> Known:
+    """A dictionary in arrays that are sorted by digest; it takes a few dozen bytes a word."""
+    import xxhash
+
+    keys, order_words, order_ids, word_at, ids_at = np.zeros(found.num_rows, np.uint64), [], [], [0], [0]
+    words = found.column("word").to_pylist()
+    keys[:] = [xxhash.xxh64_intdigest(w) for w in words]
+    order = np.argsort(keys, kind="stable")
+    ids = found.column("ids").combine_chunks()
+    flat, at = ids.values.to_numpy(zero_copy_only=False).astype("<u2"), ids.offsets.to_numpy()
+    word_at = np.concatenate(([0], np.cumsum([len(words[i]) for i in order])))
+    sizes = np.diff(at)[order]
+    ids_at = np.concatenate(([0], np.cumsum(sizes)))
+    places = np.repeat(at[:-1][order] - ids_at[:-1], sizes) + np.arange(ids_at[-1])
+    return keys[order], word_at.astype(np.int64), b"".join(words[i] for i in order), ids_at.astype(np.int64), flat[places]
+
+
+def look_up(known: Known, words: list[bytes]) -> list[bytes | None]:
+    """The ids of each word, or None. Stored words are compared, so that digests that collide do no harm."""
+    import xxhash
+
+    keys, word_at, text, ids_at, ids = known
+    if not len(keys) or not words:
+        return [None] * len(words)
+    sought = np.array([xxhash.xxh64_intdigest(w) for w in words], dtype=np.uint64)
+    at = np.minimum(np.searchsorted(keys, sought), len(keys) - 1)
+    a, b, c, d = word_at[at].tolist(), word_at[at + 1].tolist(), ids_at[at].tolist(), ids_at[at + 1].tolist()
+    return [ids[c[i] : d[i]].astype("<u4").tobytes() if text[a[i] : b[i]] == w else None for i, w in enumerate(words)]
+
+
+def encode(docs: DataFrame, pattern: str, ranks: dict[bytes, int], decoded: bool = False) -> DataFrame:
+    """doc_id and ids (little-endian unsigned 32-bit) of every whole text; null and empty texts have none. decoded: also what decode() would give, in the same pass.
 
     Other columns are not read, and repeated rows are encoded one by one. A word of many thousand bytes costs
     the square of its length.
     """
     sent = docs.sparkSession.sparkContext.broadcast(dictionary(docs, pattern, ranks))
+    byte_rank = [ranks[bytes([b])] for b in range(256)]
 
     def assemble(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        split, known = _splitter(pattern), dict(zip(*sent.value))
-        kept: dict[str, bytes] = {}
-
-        def chunk_ids(c: str, rare: dict[bytes, int]) -> bytes:
-            """Ids, with a word that is not in the dictionary as its place in `rare` from the top of the 32-bit numbers down."""
-            parts = []
-            for w in split(c):
-                w = w.encode()
-                if (ids := known.get(w)) is None:
-                    ids = le32([0xFFFFFFFF - rare.setdefault(w, len(rare))])
-                parts.append(ids)
-            return b"".join(parts)
+        split, known = _splitter(pattern), sent.value
+        kept: dict[str, list] = {}  # chunk with its space: ids, or words of which some are rare
+
+        def learn(chunks: list[str]) -> None:
+            """Finds chunks that are new to this task: joined ids if the dictionary has all their words, else ids or word for each."""
+            words = [[w.encode() for w in split(c)] for c in chunks]
+            flat = list(dict.fromkeys(w for ws in words for w in ws))
+            found = dict(zip(flat, look_up(known, flat)))
+            for c, ws in zip(chunks, words):
+                parts = [found[w] for w in ws]
+                kept[c] = b"".join(parts) if None not in parts else [w if p is None else p for w, p in zip(ws, parts)], None in parts and [p is None for p in parts]
 
         for batch in batches:
-            for at in range(0, batch.num_rows, 512):
-                b, out, unknown = batch.slice(at, 512), [], []
+            for at in range(0, batch.num_rows, 128):
+                b, out, unknown = batch.slice(at, 128), [], []
+                texts = []
                 for text in b.column("text").to_pylist():
+                    parts = space_chunks(text) if text else []
+                    texts.append(parts[:1] + [" " + c for c in parts[1:]])
+                if len(kept) > 200_000:
+                    kept.clear()
+                learn([c for c in dict.fromkeys(c for parts in texts for c in parts) if c not in kept])
+                for parts in texts:
                     rare: dict[bytes, int] = {}
-                    if text:
-                        parts = space_chunks(text)
-                        ids = [chunk_ids(parts[0], rare)]
-                        for c in parts[1:]:
-                            if (x := kept.get(c)) is None:
-                                n = len(rare)
-                                x = chunk_ids(" " + c, rare)
-                                if len(rare) == n and len(c) <= LONGEST_KEPT and not _has_rare(x):
-                                    if len(kept) >= 250_000:
-                                        kept.clear()
-                                    kept[c] = x
+                    ids = []
+                    for c in parts:
+                        x, missing = kept[c]
+                        if missing:
+                            ids += [le32([0xFFFFFFFF - rare.setdefault(w, len(rare))]) if m else w for w, m in zip(x, missing)]
+                        else:
                             ids.append(x)
-                        out.append(b"".join(ids))
-                    else:
-                        out.append(b"")
-                    unknown.append(list(rare))
-                yield pa.RecordBatch.from_arrays([b.column("doc_id"), pa.array(out, pa.binary()), pa.array(unknown, pa.list_(pa.binary()))], names=["doc_id", "ids", "rare"])
+                    out.append(b"".join(ids))
+                    unknown.append([[byte_rank[v] for v in w] for w in rare])
+                for c in [c for parts in texts for c in parts if len(c) > LONGEST_KEPT]:
+                    kept.pop(c, None)
+                yield pa.RecordBatch.from_arrays([b.column("doc_id"), pa.array(out, pa.binary()), pa.array(unknown, pa.list_(pa.list_(pa.int32())))], names=["doc_id", "ids", "rare"])
+
+    pieces = [t for t, _ in sorted(ranks.items(), key=lambda x: x[1])] if decoded else []
+    schema = "doc_id long, ids binary" + ", decoded binary" * decoded
 
     def complete(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            out = [patch(ids, rare) if rare else ids for ids, rare in zip(b.column("ids").to_pylist(), b.column("rare").to_pylist())]
-            yield pa.RecordBatch.from_arrays([b.column("doc_id"), pa.array(out, pa.binary())], names=["doc_id", "ids"])
+        for batch in batches:
+            for at in range(0, batch.num_rows, 512):
+                b = batch.slice(at, 512)
+                out = [patch(ids, rare) if rare else ids for ids, rare in zip(b.column("ids").to_pylist(), b.column("rare").to_pylist())]
+                more = [pa.array([joined(pieces, ids) for ids in out], pa.binary())] if decoded else []
+                yield pa.RecordBatch.from_arrays([b.column("doc_id"), pa.array(out, pa.binary()), *more], names=["doc_id", "ids", "decoded"][: 2 + decoded])
 
-    rows = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(assemble, "doc_id long, ids binary, rare array<binary>")
-    rows = rows.select("doc_id", "ids", merged("rare", ranks).alias("rare"))
-    return rows.mapInArrow(complete, "doc_id long, ids binary")
+    rows = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(assemble, "doc_id long, ids binary, rare array<array<int>>")
+    rows = rows.select("doc_id", "ids", merged("rare", ranks, bytes_given=True).alias("rare"))
+    return rows.mapInArrow(complete, schema)
 
 
-def _has_rare(ids: bytes) -> bool:
-    return any(ids[k] == 0xFF for k in range(3, len(ids), 4))
+def joined(pieces: list[bytes], ids: bytes) -> bytes:
+    """The bytes that ids stand for."""
+    return b"".join(map(pieces.__getitem__, np.frombuffer(ids, dtype="<u4").tolist()))
 
 
 def patch(ids: bytes, rare: list[list[int]]) -> bytes:
@@ -222,9 +263,8 @@ def decode(rows: DataFrame, ranks: dict[bytes, int]) -> DataFrame:
     sent = rows.sparkSession.sparkContext.broadcast([t for t, _ in sorted(ranks.items(), key=lambda x: x[1])])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        piece = sent.value.__getitem__
         for b in batches:
-            out = [b"".join(map(piece, np.frombuffer(ids, dtype="<u4").tolist())) for ids in b.column("ids").to_pylist()]
+            out = [joined(sent.value, ids) for ids in b.column("ids").to_pylist()]
             yield pa.RecordBatch.from_arrays([*b.columns, pa.array(out, pa.binary())], names=[*b.schema.names, "decoded"])
 
     return rows.mapInArrow(run, plus(rows, decoded="binary"))

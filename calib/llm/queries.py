@@ -49,10 +49,10 @@ def op5_top_k(spark: SparkSession, sf_dir: str) -> DataFrame:
 def op6_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     import public_tokenizers
 
-    from calib.llm.bpe_fold import decode, digests, encode, read_ranks
+    from calib.llm.bpe_fold import digests, encode, read_ranks
 
     ranks = read_ranks(vocabulary("byte_bpe_multi_50k.tiktoken"))
-    return digests(decode(encode(read_table(spark, sf_dir, "documents"), public_tokenizers.PATTERN, ranks), ranks))
+    return digests(encode(read_table(spark, sf_dir, "documents"), public_tokenizers.PATTERN, ranks, decoded=True))
 
 
 def op7_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
