@@ -169,7 +169,7 @@ def test_interval_rules():
 
 
 def test_joint_halt_policies():
-    est, std = np.array([[10.0, 5.0], [10.05, 5.0]]), np.array([[0.02, 4.0], [0.02, 4.0]])
+    est, std = np.array([[10.0, 5.0], [10.0395, 5.0]]), np.array([[0.02, 4.0], [0.02, 4.0]])
     assert len(halting.joint_halt(est, std, 0.05, policy="deferred").survivors) == 2
     std[:, 1] = 0.01
     assert halting.joint_halt(est, std, 0.05).done
