@@ -14,9 +14,9 @@ from calib.functions.losses import Spec
 from calib.operators.batch import Run
 from calib.operators.estimators import Estimate, estimate
 from calib.operators.halting import RULES, joint_halt
-from calib.operators.speculative import Grid, select_best, significant, trial_models
+from calib.operators.speculative import Grid, select_best, trial_models
 from calib.operators.stepdist import NormalPhi, loss_weights, update_normal
-from calib.plans.moments import CostMeter, Moments, full_gradient, multi_eval, objective
+from calib.plans.moments import CostMeter, Moments, multi_eval
 from calib.sources.order import block_sequence
 
 
@@ -182,6 +182,3 @@ def loss_ola(ex: DataFrame, w, spec: Spec, total: int, blocks: list[int], eps: f
         if 2 * z * e.std[0, 0] <= eps * abs(e.est[0, 0]):
             break
     return float(estimate(m, total).est[0, 0]), m.n
-
-
-__all__ = ["Schedule", "Wave", "full_gradient", "loss_ola", "loss_probe", "objective", "ola_async", "ola_run", "significant", "train_approx_bgd", "train_subsample"]

@@ -231,6 +231,7 @@ def multi_eval(examples: DataFrame, models: np.ndarray, spec: Spec, plan: str =
     s, d = models.shape
     if plan == "auto":
         plan = choose_plan(s, d, want_sq, "idx" in examples.columns)
+        plan = "arrow" if plan == "wide" and "x" in examples.columns else plan
     if plan == "wide":
         out = _eval_wide(examples, models, spec, want_sq)
     elif plan == "arrow":

@@ -10,13 +10,12 @@ from calib import oracle as O
 from calib.functions.losses import Spec
 from calib.operators import baselines, incremental, ola, speculative, stepdist
 from calib.operators.approx_igd import train_approx_igd
-from calib.operators.batch import Step, train_bgd, train_line_search, StopRule
+from calib.operators.batch import Step, trace_frame, train_line_search
 from calib.plans.moments import model_bytes, multi_eval
 from calib.queries_methods import BLOCKS, EX, GRID, KEY, N_SQL, SVM, LR, W, _n, _scaled, _spec_sql, approx_run, line, rows
 from calib.registry import query
 from calib.session import materialize
 from calib.sources import views
-from calib.sources.views import LINE_KEY
 
 _tables: dict = {}
 
@@ -34,7 +33,7 @@ def nested(n: int, s: int) -> speculative.Grid:
     return speculative.Grid(tuple(v / n for v in speculative.nested_grid(s, 2.0, 2.0).values))
 
 
-@query(f"SELECT count(*) AS n, true AS balanced FROM lineitem")
+@query("SELECT count(*) AS n, true AS balanced FROM lineitem")
 def view_star(spark, sf_dir):
     ex = star(spark, sf_dir)
     return ex.agg(F.count(F.lit(1)).alias("n"), F.avg((F.col("y") > 0).cast("double")).between(0.2, 0.8).alias("balanced"))
@@ -54,9 +53,9 @@ def fig3a_spec_bgd_svm(spark, sf_dir):
     """More concurrent steps lower the loss of every iteration; line search gets there with more passes."""
     ex, n, out = star(spark, sf_dir), _n(spark, sf_dir), []
     for s in (1, 2, 4, 8, 16, 32):
-        run = speculative.train_spec_bgd(ex, SVM, [0.0] * views.STAR_D, nested(n, s), iterations=5, plan="arrow")
+        run = speculative.train_spec_bgd(ex, SVM, [0.0] * views.STAR_D, nested(n, s), iterations=3, plan="arrow")
         out += [(f"s={s}", t["k"], round(t["loss"], 3), t["k"] + 1) for t in run.trace]
-    run = train_line_search(ex, SVM, [0.0] * views.STAR_D, 5, 64.0 / n, plan="arrow")
+    run = train_line_search(ex, SVM, [0.0] * views.STAR_D, 3, 64.0 / n, plan="arrow")
     passes = 1
     for t in run.trace:
         passes += t["tries"]
@@ -237,8 +236,6 @@ def spec_bgd_phi(spark, sf_dir):
 def spec_bgd_lr_trace(spark, sf_dir):
     n = _n(spark, sf_dir)
     run = speculative.train_spec_bgd(line(spark, sf_dir), LR, [0.0] * 5, speculative.Grid(tuple(a / n for a in GRID)), iterations=3)
-    from calib.operators.batch import trace_frame
-
     for t in run.trace:
         t["alpha"] = round(t["alpha"] * n, 6)
     return trace_frame(spark, run, {"k": "int", "s": "int", "best": "int", "alpha": "double", "loss": "double", "w": "w"}, {"alpha": 6})
@@ -257,4 +254,3 @@ def estimator_bias(spark, sf_dir):
     return rows(spark, out, "sample string, ratio double")
 
 
-__all__ = ["LINE_KEY", "StopRule", "train_bgd"]

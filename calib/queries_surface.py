@@ -2,21 +2,19 @@
 
 from __future__ import annotations
 
-import numpy as np
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from calib import oracle as O
 from calib.functions import udx
 from calib.functions.losses import Spec, dot_array, dot_sparse, dot_wide
 from calib.operators import baselines
-from calib.plans.moments import multi_eval
-from calib.queries_methods import EX, ID, INTERVALS, MODELS, N_SQL, START, W, X5, _ola_sql, _Z, line, r, rows
+from calib.queries_methods import EX, ID, INTERVALS, MODELS, N_SQL, START, W, X5, _Z, line, r, rows
 from calib.registry import query
 from calib.session import shared_dir
 from calib.sources import formats, views
-from calib.sources.order import BLOCKS, prepare
-from calib.sources.views import LINE_KEY, wide
+from calib.sources.order import prepare
+from calib.sources.views import LINE_KEY
 from calib.streaming import online
 
 SVM = Spec("svm")
@@ -162,8 +160,6 @@ def _loss_rows(spark, sf_dir) -> DataFrame:
 
 
 _CUBE = f"{EX} SELECT l_returnflag, l_linestatus, count(*) AS n, round(sum({O.loss('svm', _Z)}), 4) AS loss FROM ex GROUP BY "
-_SUMS = (F.count, F.sum)
-
 
 def _summed(g) -> DataFrame:
     return g.agg(F.count(F.lit(1)).alias("n"), r(F.sum("f")).alias("loss"))
@@ -397,6 +393,3 @@ def exact_dedup_texts(spark, sf_dir):
     t = F.md5(F.trim(F.regexp_replace(F.lower(F.coalesce("text", F.lit(""))), r"[ \t\n\x0B\f\r]+", " ")))
     g = views.table(spark, sf_dir, "documents").groupBy(t.alias("t")).agg(F.count(F.lit(1)).alias("n"))
     return g.agg(F.count(F.lit(1)).alias("texts"), F.sum("n").alias("n"))
-
-
-__all__ = ["BLOCKS", "_ola_sql", "np", "multi_eval", "wide", "SparkSession"]
