@@ -98,7 +98,8 @@ def judge(docs: DataFrame, thresholds=THRESHOLDS) -> DataFrame:
     """doc_id, the counts, base_failed and kept for every row. Null and empty texts have no words and fail the base."""
     base = (F.col("n_words") < 20) | (100 * F.col("n_repeat_words") > 30 * F.col("n_words"))
     rows = measures(docs.select("doc_id", "text"))
-    return rows.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", base.alias("base_failed"), (~base & verdict(thresholds)).alias("kept"))
+    out = F.struct("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", base.alias("base_failed"), (~base & verdict(thresholds)).alias("kept"))
+    return rows.select(F.explode(F.array(out)).alias("r")).select("r.*")  # a generator, so that filters of the caller are not pushed below the measures
 
 
 def keep_good(spark, docs: DataFrame, thresholds=THRESHOLDS) -> DataFrame:
