@@ -2,9 +2,9 @@
 
 The DOMs of one host are merged: a node stands for all elements with one path of tags and classes. How evenly
 its presentations (orders of child tags) and contents (texts) spread over the pages is an entropy, from which
-comes its importance: what looks and reads alike everywhere has little. A branch whose importance, averaged
-down the branch, stays under a threshold is removed from every page of the host, as are branches whose tag,
-role or class says that they are no content. All sums are additive, so a host of any size is merged in parts.
+comes its importance: what looks and reads alike everywhere has little. A branch is removed from every page of
+the host if its importance, averaged down the branch, and that of every branch within it stay under a threshold,
+as are branches whose tag, role or class says that they are no content. All sums are additive, so a host of any size is merged in parts.
 """
 
 from __future__ import annotations
@@ -138,21 +138,20 @@ def ancestors(node: Node) -> Iterator[Node]:
 def main_text(html: str | None, removed: frozenset | set = frozenset()) -> str:
     """The blocks of the page, joined by line feeds. removed: hashes of paths whose branches go.
 
-    Where an article or main element holds text, only such elements count. If the removal by importance
-    would leave nothing of a page, it is not done.
+    Where an article or main element holds text, only such elements count, less the branches that go from them.
+    If the removal by importance would leave nothing of a page, it is not done.
     """
     page = Page(html or "")
     blocks = [(n, t) for n, t in page.blocks if n.main] if page.has_main else []
-    if blocks:
-        return "\n".join(t for _, t in blocks)
-    rest = [t for n, t in page.blocks if not any(_hash(a.path) in removed for a in ancestors(n))] if removed else []
-    return "\n".join(rest or [t for _, t in page.blocks])
+    blocks = blocks or page.blocks
+    rest = [t for n, t in blocks if not any(_hash(a.path) in removed for a in ancestors(n))] if removed else []
+    return "\n".join(rest or [t for _, t in blocks])
 
 
 def style_statistics(pages: DataFrame) -> DataFrame:
     """host, path and depth of merged nodes with (kind, feature) sums: pages, occurrences c and c * ln(c).
 
-    Rows of one key are partial sums of different tasks. Nodes inside an article are not counted.
+    Rows of one key are partial sums of different tasks. Nodes inside an article count like all others.
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -172,7 +171,7 @@ def style_statistics(pages: DataFrame) -> DataFrame:
                 page = Page(html)
                 styles: dict[Node, tuple] = {}
                 for n in page.nodes:
-                    if not n.main and not n.no_content:
+                    if not n.no_content:
                         styles.setdefault(n.path, (n, set()))[1].add(" ".join(x for x, y in zip(n.children, [None, *n.children]) if x != y))
                 line = {p: tuple(_hash(a.path) for a in ancestors(n)) for p, (n, _) in styles.items()}
                 found = Counter((p, "style", _hash("\n".join(sorted(s)))) for p, (_, s) in styles.items())
@@ -191,7 +190,7 @@ def style_statistics(pages: DataFrame) -> DataFrame:
 
 
 def importance(pages: DataFrame) -> DataFrame:
-    """host, path, pages and importance (0 to 1) of every branch of every host's style tree."""
+    """host, path, pages and importance (0 to 1) of every branch of every host's style tree, and the peak of importance within it."""
     f = style_statistics(pages).groupBy("host", "path", "line", "kind", "feature").agg(F.sum("pages").alias("pages"), F.sum("c").alias("c"), F.sum("clogc").alias("clogc"))
     style, text = F.col("kind") == "style", F.col("kind") == "text"
     node = f.groupBy("host", "path", "line").agg(
@@ -203,16 +202,21 @@ def importance(pages: DataFrame) -> DataFrame:
     m = F.col("pages")
     node = node.withColumn("shape", F.when(m > 1, (F.log(m) - F.col("plogp") / m) / F.log(m)).otherwise(1.0))
     node = node.withColumn("content", F.when(F.col("features") > 0, F.when(m > 1, F.greatest(F.lit(0.0), 1 - F.col("entropy") / F.col("features") / F.log(m))).otherwise(1.0)))
+    node = materialize(node, "nodes")
     # a node weighs on itself and, less with each level, on every branch that it is part of
     own = F.greatest(F.coalesce("content", "shape"), F.when(F.col("features").isNull(), F.col("shape")).otherwise(0.0))
     up = node.select("host", "pages", own.alias("own"), F.posexplode("line").alias("level", "branch"))
     weight = F.pow(F.lit(DECAY), F.col("level"))
-    return up.groupBy("host", F.col("branch").alias("path")).agg(F.max("pages").alias("pages"), (F.sum(weight * F.col("own")) / F.sum(weight)).alias("importance"))
+    found = up.groupBy("host", F.col("branch").alias("path")).agg(F.max("pages").alias("pages"), (F.sum(weight * F.col("own")) / F.sum(weight)).alias("importance"))
+    # a root that is alike everywhere may hold the branch that is not
+    within = node.select("host", "path", F.explode("line").alias("branch")).join(found.select("host", "path", "importance"), ["host", "path"])
+    peak = within.groupBy("host", F.col("branch").alias("path")).agg(F.max("importance").alias("peak"))
+    return found.join(peak, ["host", "path"])
 
 
 def extract(pages: DataFrame) -> DataFrame:
     """page_id, url, text and n_chars of every row of pages (page_id, url, html). Null html gives an empty text; pages without a host are judged by themselves."""
-    low = importance(pages).where((F.col("pages") >= PAGES) & (F.col("importance") < IMPORTANCE)).groupBy("host").agg(F.collect_set("path").alias("removed"))
+    low = importance(pages).where((F.col("pages") >= PAGES) & (F.col("peak") < IMPORTANCE)).groupBy("host").agg(F.collect_set("path").alias("removed"))
     low = materialize(low, "branches")
     size = low.agg(F.sum(F.size("removed") * 8 + F.length("host") + 32)).first()[0] or 0
     if size <= BROADCAST_BYTES:

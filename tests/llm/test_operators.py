@@ -74,6 +74,16 @@ def test_style_tree_removes_what_is_alike(spark):
     assert style_tree.extract(pages.where("1 = 0")).count() == 0
 
 
+@pytest.mark.parametrize("around", ["main", "article"])
+def test_style_tree_removes_what_is_alike_in_articles(spark, around):
+    page = lambda k: f"<body><p>out</p><{around}><h1>Story {k}</h1><p>It tells of thing {k * 7}</p><div class='box'><p>Written by us</p><p>Terms of use</p></div></{around}></body>"
+    rows = [(k, f"http://h.example/{k}", page(k)) for k in range(30)] + [(98, "http://one.example/", page(98)), (99, "http://h.example/t", f"<{around}><div class='box'><p>Terms of use</p></div></{around}>")]
+    got = {r.page_id: r.text for r in style_tree.extract(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()}
+    assert all(got[k] == f"Story {k}\nIt tells of thing {k * 7}" for k in range(30))
+    # a host of one page is no evidence, and a page is never emptied
+    assert got[98].endswith("Written by us\nTerms of use") and got[99] == "Terms of use"
+
+
 # op2
 
 
