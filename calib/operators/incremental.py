@@ -207,6 +207,34 @@ def train_minibatch(ex: DataFrame, spec: Spec, w0, alpha: float, batch: int, epo
     return run
 
 
+def minibatch_steps(ex: DataFrame, spec: Spec, w0, alpha: float, batch: int, key: list[str]) -> DataFrame:
+    """(step, n, w): the model after each step of one whole pass, and how many examples the step took."""
+    d, w0 = len(w0), np.asarray(w0, dtype=float)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        w, step, g, inside = w0.copy(), 0, np.zeros(d), 0
+
+        def row() -> pa.RecordBatch:
+            return pa.RecordBatch.from_arrays([pa.array([step], pa.int64()), pa.array([inside], pa.int64()), pa.array([w], pa.list_(pa.float64()))], names=["step", "n", "w"])
+
+        for _, x, y in by_part(batches, d):
+            at = 0
+            while at < len(y):
+                take = min(batch - inside, len(y) - at)
+                xs, ys = x[at : at + take], y[at : at + take]
+                g += spec.f.slope(xs @ w, ys) @ xs
+                inside, at = inside + take, at + take
+                if inside == batch:
+                    w, step = w - alpha * (g * spec.per(inside) + spec.reg_grad(w)), step + 1
+                    yield row()
+                    g, inside = np.zeros(d), 0
+        if inside:
+            w, step = w - alpha * (g * spec.per(inside) + spec.reg_grad(w)), step + 1
+            yield row()
+
+    return ordered(ex, None, key, d).mapInArrow(run, "step long, n long, w array<double>")
+
+
 def train_hybrid(ex: DataFrame, spec: Spec, w0, igd_step: Step, bgd_step: Step, key: list[str], part: str, switch_tol: float = 0.01, max_igd: int = 5, max_bgd: int = 5) -> Run:
     """Incremental passes until they gain little, then batch descent."""
     w, run, before = np.array(w0, dtype=float), Run(np.array(w0, dtype=float)), None

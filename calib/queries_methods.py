@@ -305,6 +305,13 @@ def minibatch_trace(spark, sf_dir):
     return rows(spark, out, "step int, " + ", ".join(f"w{j} double" for j in range(5)))
 
 
+@query()
+def minibatch_pass(spark, sf_dir):
+    """The model after every step of a whole pass over all line items, of which minibatch_trace has the first six."""
+    steps = incremental.minibatch_steps(line(spark, sf_dir), Spec("svm", scale="mean"), [0.0] * 5, 0.5, 1000, KEY)
+    return steps.select("step", "n", *(r(F.element_at("w", j + 1), 6).alias(f"w{j}") for j in range(5)))
+
+
 @query()
 def hybrid_trace(spark, sf_dir):
     ex = line(spark, sf_dir).withColumn("part", F.col("ord") % 4)

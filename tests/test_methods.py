@@ -233,3 +233,18 @@ def test_triggers_and_intervals():
     assert [t.fires(r, 0) for r in (50, 100, 150, 210)] == [False, True, False, True]
     i = halting.CheckInterval(1000, 0.5, 300)
     assert [i.next(None, 10), i.next(10, 10), i.next(10, 10), i.next(10, 5)] == [1000, 500, 300, 300]
+
+
+def test_minibatch_pass_takes_every_line(spark, sf):
+    from calib.queries_methods import minibatch_pass
+
+    big = sf.replace("sf0.001", "sf0.01")  # more than six steps
+    p = line(spark, big).orderBy("ord", *LINE_KEY).select(*wide(5), "y").toPandas()
+    x, y, w, want = p[wide(5)].to_numpy(), p["y"].to_numpy(), np.zeros(5), []
+    for at in range(0, len(y), 1000):
+        xs, ys = x[at : at + 1000], y[at : at + 1000]
+        w = w + 0.5 * ((ys * (xs @ w) < 1) * ys) @ xs / len(ys)
+        want.append((len(ys), *w))
+    got = minibatch_pass(spark, big).orderBy("step").toPandas()
+    assert len(y) > 6000 and got["n"].sum() == len(y)
+    assert got[["n", *(f"w{j}" for j in range(5))]].to_numpy() == pytest.approx(np.array(want), abs=1e-5)
