@@ -19,7 +19,7 @@ from calib.functions.losses import Spec
 from calib.operators.batch import Run
 from calib.operators.estimators import estimate
 from calib.operators.halting import RULES, CheckInterval, stop_igd_loss, stop_loss
-from calib.operators.incremental import by_part, ordered
+from calib.operators.incremental import by_part, descend, margins, ordered
 from calib.operators.speculative import select_best
 from calib.plans.moments import Moments, multi_eval, objective
 from calib.sources.order import block_sequence
@@ -37,11 +37,10 @@ def wave_kernel(ex: DataFrame, spec: Spec, starts: dict[int, np.ndarray], shared
             if p not in states:
                 states[p] = [0, starts.get(p, shared).copy(), np.zeros(len(frozen)), np.zeros(len(frozen))]
             st = states[p]
-            v = spec.f.value(x @ frozen.T, y[:, None])
+            v = spec.f.value(margins(x, frozen), y[:, None])
             st[2] += v.sum(axis=0)
             st[3] += (v * v).sum(axis=0)
-            for i in range(len(y)):
-                st[1] -= (spec.f.slope(st[1] @ x[i], y[i]) * alphas)[:, None] * x[i]
+            descend(st[1], x, y, alphas, spec)
             st[0] += len(y)
         cols = list(zip(*((p, n, w.ravel(), a, b) for p, (n, w, a, b) in states.items()))) or [()] * 5
         kinds = (pa.int64(), pa.int64(), pa.list_(pa.float64()), pa.list_(pa.float64()), pa.list_(pa.float64()))

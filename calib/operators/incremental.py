@@ -35,10 +35,48 @@ def sgd(x: np.ndarray, y: np.ndarray, w: np.ndarray, alpha: np.ndarray, spec: Sp
         w -= g[:, None] * row
 
 
+class SparseRows:
+    """Examples by the places and values of what is not zero."""
+
+    def __init__(self, edges: np.ndarray, idx: np.ndarray, val: np.ndarray):
+        self.edges, self.idx, self.val = edges, idx, val
+
+    def row(self, i: int) -> tuple[np.ndarray, np.ndarray]:
+        a, z = self.edges[i], self.edges[i + 1]
+        return self.idx[a:z], self.val[a:z]
+
+    def __getitem__(self, at: slice) -> SparseRows:
+        a, z, _ = at.indices(len(self.edges) - 1)
+        return SparseRows(self.edges[a : z + 1], self.idx, self.val)
+
+
+def sparse_rows(b: pa.RecordBatch) -> SparseRows:
+    idx = b.column("idx")
+    edges = np.concatenate([[0], np.cumsum(idx.value_lengths().fill_null(0).to_numpy(zero_copy_only=False))]).astype(int)
+    return SparseRows(edges, idx.flatten().to_numpy(zero_copy_only=False), b.column("val").flatten().to_numpy(zero_copy_only=False))
+
+
+def margins(x: np.ndarray | SparseRows, models: np.ndarray) -> np.ndarray:
+    """Dot products, (examples, models)."""
+    if isinstance(x, SparseRows):
+        return np.array([models[:, j] @ v for j, v in map(x.row, range(len(x.edges) - 1))])
+    return x @ models.T
+
+
+def descend(w: np.ndarray, x: np.ndarray | SparseRows, y: np.ndarray, alpha: np.ndarray, spec: Spec) -> None:
+    """Steps of all rows of w (models) by losses alone, over dense or sparse examples one by one; changes w."""
+    for i in range(len(y)):
+        if isinstance(x, SparseRows):
+            j, v = x.row(i)
+            w[:, j] -= (spec.f.slope(w[:, j] @ v, y[i]) * alpha)[:, None] * v
+        else:
+            w -= (spec.f.slope(w @ x[i], y[i]) * alpha)[:, None] * x[i]
+
+
 def ordered(ex: DataFrame, part: str | None, key: list[str], d: int) -> DataFrame:
-    """Columns (part, x or x0.., y), each part whole in one partition and in random order."""
+    """Columns (part, x or x0.. or idx and val, y), each part whole in one partition and in random order."""
     part_col = F.col(part).cast("long") if part else F.lit(0).cast("long")
-    cols = ["x"] if "x" in ex.columns else wide(d)
+    cols = ["x"] if "x" in ex.columns else ["idx", "val"] if "idx" in ex.columns else wide(d)
     rows = ex.select(part_col.alias("part"), "ord", *key, *cols, "y")
     rows = rows.repartition("part") if part else rows.repartition(1)
     return rows.sortWithinPartitions("part", "ord", *key).select("part", *cols, "y")
@@ -50,7 +88,7 @@ def by_part(batches: Iterator[pa.RecordBatch], d: int) -> Iterator[tuple[int, np
         if not b.num_rows:
             continue
         part = b.column("part").to_numpy(zero_copy_only=False)
-        x, y = batch_matrix(b, d)
+        x, y = (sparse_rows(b), b.column("y").to_numpy(zero_copy_only=False)) if "idx" in b.schema.names else batch_matrix(b, d)
         edges = np.flatnonzero(np.diff(part)) + 1
         for a, z in zip([0, *edges], [*edges, len(part)]):
             yield int(part[a]), x[a:z], y[a:z]

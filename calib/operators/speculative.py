@@ -13,9 +13,9 @@ from pyspark.sql import functions as F
 
 from calib.functions.losses import Spec
 from calib.operators.batch import Run, StopRule
-from calib.operators.incremental import by_part, ordered
+from calib.operators.incremental import by_part, descend, margins, ordered
 from calib.operators.stepdist import BivariatePhi, NormalPhi, StepCountController, loss_weights, update_bivariate, update_normal
-from calib.plans.moments import CostMeter, full_gradient, multi_eval, objective
+from calib.plans.moments import WIDE_SUMS, CostMeter, full_gradient, multi_eval, objective
 
 
 @dataclass(frozen=True)
@@ -106,10 +106,9 @@ def igd_children(ex: DataFrame, spec: Spec, parents: np.ndarray, alphas: np.ndar
                 states[p] = [0, np.repeat(parents, c, axis=0), np.zeros(s), np.zeros((s * c, d)), np.zeros(s * c, dtype=int)]
             st = states[p]
             a = np.tile(alphas, s)
-            st[2] += spec.f.value(x @ parents.T, y[:, None]).sum(axis=0)
+            st[2] += spec.f.value(margins(x, parents), y[:, None]).sum(axis=0)
             if batches_of is None:
-                for i in range(len(y)):
-                    st[1] -= (spec.f.slope(st[1] @ x[i], y[i]) * a)[:, None] * x[i]
+                descend(st[1], x, y, a, spec)
             else:
                 b = np.tile(batches_of, s)
                 for m in range(s * c):
@@ -140,6 +139,15 @@ def igd_children(ex: DataFrame, spec: Spec, parents: np.ndarray, alphas: np.ndar
 
 def merge_children(rows: DataFrame, d: int) -> dict[tuple, np.ndarray]:
     """Averages of models by count, and sums of losses, over parts: keys (i, l) and (i,)."""
+    if d > WIDE_SUMS:  # too many columns for generated code: a row for each place
+        places = rows.select("kind", "i", "l", "n", "loss", F.posexplode_outer("w").alias("j", "v"))
+        sums, out = places.groupBy("kind", "i", "l", "j").agg(F.sum("loss").alias("loss"), F.sum("n").alias("n"), F.sum(F.col("n") * F.col("v")).alias("v")), {}
+        for r in sums.toLocalIterator():
+            if r["kind"] == "loss":
+                out[(r["i"],)] = r["loss"]
+            else:
+                out.setdefault((r["i"], r["l"]), np.zeros(d))[r["j"]] = r["v"] / r["n"]
+        return out
     agg = rows.groupBy("kind", "i", "l").agg(F.sum("loss").alias("loss"), F.sum("n").alias("n"), *(F.sum(F.col("n") * F.element_at("w", j + 1)).alias(f"w{j}") for j in range(d)))
     out = {}
     for r in agg.collect():

@@ -192,8 +192,8 @@ def _eval_long(examples: DataFrame, models: np.ndarray, spec: Spec) -> Moments:
     return Moments(found[0]["n"] if found else 0, get("s1"), get("s2"))
 
 
-def sparse_sums(examples: DataFrame, models: DataFrame, s: int, spec: Spec) -> tuple[DataFrame, DataFrame]:
-    """Losses by model and gradients by feature of sparse examples (ex_id, idx, val, y).
+def sparse_sums(examples: DataFrame, models: DataFrame, s: int, spec: Spec, want_sq: bool = False) -> tuple[DataFrame, DataFrame]:
+    """Losses by model and gradients by feature of sparse examples (ex_id, idx, val, y), with want_sq also sums of squares.
 
     models holds (j, ws): the weights of feature j in all s models, a table of any size that is joined by j, so
     that neither models nor gradients need fit anywhere as a whole. Every entry is exploded once for all models.
@@ -203,9 +203,13 @@ def sparse_sums(examples: DataFrame, models: DataFrame, s: int, spec: Spec) -> t
     zero = F.array(*(F.lit(0.0),) * s)
     part = joined.groupBy("ex_id", "y").agg(*(F.sum(F.col("v") * F.coalesce(F.get("ws", F.lit(m)), F.lit(0.0))).alias(f"d{m}") for m in range(s)))
     dots = examples.select("ex_id", "y").join(part.drop("y"), "ex_id", "left").fillna(0.0)
-    loss = dots.agg(F.count(F.lit(1)).alias("n"), *(F.sum(spec.f.column(F.col(f"d{m}"), F.col("y"))).alias(f"loss{m}") for m in range(s)))
+    f = [spec.f.column(F.col(f"d{m}"), F.col("y")) for m in range(s)]
+    squares = [F.sum(c * c).alias(f"square{m}") for m, c in enumerate(f)] if want_sq else []
+    loss = dots.agg(F.count(F.lit(1)).alias("n"), *(F.sum(c).alias(f"loss{m}") for m, c in enumerate(f)), *squares)
     slopes = dots.select("ex_id", F.array(*(spec.f.column_slope(F.col(f"d{m}"), F.col("y")) for m in range(s)) or zero).alias("g"))
-    grad = entries.join(slopes, "ex_id").groupBy("j").agg(F.array(*(F.sum(F.col("v") * F.get("g", F.lit(m))) for m in range(s))).alias("gs"))
+    terms = [F.col("v") * F.get("g", F.lit(m)) for m in range(s)]
+    squares = [F.array(*(F.sum(t * t) for t in terms)).alias("qs")] if want_sq else []
+    grad = entries.join(slopes, "ex_id").groupBy("j").agg(F.array(*(F.sum(t) for t in terms)).alias("gs"), *squares)
     return loss, grad
 
 
@@ -215,14 +219,18 @@ def sparse_models(examples: DataFrame, models: np.ndarray) -> DataFrame:
     return examples.sparkSession.createDataFrame([(int(j), [float(v) for v in models[:, j]]) for j in used], "j long, ws array<double>")
 
 
-def _eval_sparse(examples: DataFrame, models: np.ndarray, spec: Spec) -> Moments:
+def _eval_sparse(examples: DataFrame, models: np.ndarray, spec: Spec, want_sq: bool = False) -> Moments:
     s, d = models.shape
-    loss, grad = sparse_sums(examples, sparse_models(examples, models), s, spec)
-    row, s1 = loss.first(), np.zeros((s, d + 1))
+    loss, grad = sparse_sums(examples, sparse_models(examples, models), s, spec, want_sq)
+    row, s1, s2 = loss.first(), np.zeros((s, d + 1)), np.zeros((s, d + 1))
     s1[:, 0] = [row[f"loss{m}"] or 0.0 for m in range(s)]
+    if want_sq:
+        s2[:, 0] = [row[f"square{m}"] or 0.0 for m in range(s)]
     for r in grad.toLocalIterator():
         s1[:, 1 + r["j"]] = r["gs"]
-    return Moments(row["n"], s1, np.zeros((s, d + 1)))
+        if want_sq:
+            s2[:, 1 + r["j"]] = r["qs"]
+    return Moments(row["n"], s1, s2)
 
 
 def multi_eval(examples: DataFrame, models: np.ndarray, spec: Spec, plan: str = "auto", want_sq: bool = False, merge: str = "central", meter: CostMeter | None = None) -> Moments:
@@ -239,7 +247,7 @@ def multi_eval(examples: DataFrame, models: np.ndarray, spec: Spec, plan: str =
     elif plan == "long":
         out = _eval_long(examples, models, spec)
     elif plan == "sparse":
-        out = _eval_sparse(examples, models, spec)
+        out = _eval_sparse(examples, models, spec, want_sq)
     else:
         raise ValueError(f"no plan is called {plan}")
     if meter is not None:

@@ -248,3 +248,25 @@ def test_minibatch_pass_takes_every_line(spark, sf):
     got = minibatch_pass(spark, big).orderBy("step").toPandas()
     assert len(y) > 6000 and got["n"].sum() == len(y)
     assert got[["n", *(f"w{j}" for j in range(5))]].to_numpy() == pytest.approx(np.array(want), abs=1e-5)
+
+
+def test_sparse_examples_give_what_dense_ones_do(ex):
+    sparse = ex.where("blk < 8").select(F.monotonically_increasing_id().alias("ex_id"), "ord", "blk", *LINE_KEY, F.array(*(F.lit(j).cast("long") for j in range(5))).alias("idx"), F.array(*wide(5)).alias("val"), "y")
+    sparse = sparse.withColumn("part", F.col("ord") % 2).localCheckpoint()
+    dense = sparse.select("ord", "blk", *LINE_KEY, "part", F.col("val").alias("x"), "y")
+    models = np.array([[0.5, 0.2, -0.3, 0.1, 0.05], [0.0] * 5])
+    a, b = (moments.multi_eval(f, models, Spec("svm"), plan, want_sq=True) for f, plan in ((sparse, "sparse"), (dense, "arrow")))
+    assert a.n == b.n and a.s1 == pytest.approx(b.s1) and a.s2 == pytest.approx(b.s2) and a.s2[:, 0].all()
+    a, b = (speculative.train_spec_igd(f, Spec("lr"), [0.0] * 5, (0.01, 0.1), 2, LINE_KEY, "part") for f in (sparse, dense))
+    assert a.w == pytest.approx(b.w) and [t["loss"] for t in a.trace] == pytest.approx([t["loss"] for t in b.trace])
+    a, b = (train_approx_igd(f, Spec("lr"), [0.0] * 5, (0.01, 0.1), sparse.count(), 8, LINE_KEY, "part") for f in (sparse, dense))
+    assert a.w == pytest.approx(b.w) and [t["n_read"] for t in a.trace] == [t["n_read"] for t in b.trace]
+
+
+def test_sparse_workload_compares_all_four(spark, sf):
+    from calib.queries_experiments import fig4c_sparse
+
+    got = fig4c_sparse(spark, sf).toPandas()
+    print(got)
+    assert set(got["method"]) == {"batch", "batch_online", "incremental", "incremental_online"}
+    assert (got.groupby("method")["loss"].last() < spark.read.parquet(f"{sf}/documents.parquet").count()).all()
