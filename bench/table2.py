@@ -14,7 +14,7 @@ from pyspark.sql import functions as F
 
 from calib.functions.losses import Spec
 from calib.operators.baselines import time_per_iteration
-from calib.operators.incremental import train_igd_shared
+from calib.operators.incremental import in_turns
 from calib.operators.speculative import igd_children, merge_children
 from calib.plans.moments import multi_eval
 from calib.queries_experiments import star
@@ -34,13 +34,12 @@ def main(sf_dir: str) -> None:
             models = np.random.default_rng(0).standard_normal((s, STAR_D)) * 0.01
             secs = time_per_iteration(lambda: multi_eval(ex, models, spec, "arrow"), 3)
             print(json.dumps({"task": task, "method": "batch", "s": s, "secs": round(secs, 3)}), flush=True)
-        for s in (1, 2, 4):
-            parents, alphas = np.zeros((s, STAR_D)), np.full(s, 1e-3)
-            secs = time_per_iteration(lambda: merge_children(igd_children(ex, spec, parents, alphas, LINE_KEY, "part"), STAR_D), 1)
-            print(json.dumps({"task": task, "method": "merge", "s": s, "secs": round(secs, 3)}), flush=True)
-        for mode in ("lock", "nolock"):
-            secs = time_per_iteration(lambda: train_igd_shared(ex, spec, np.zeros(STAR_D), 1e-3, LINE_KEY, 8, 4, mode)[0], 1)
-            print(json.dumps({"task": task, "method": mode, "s": 1, "secs": round(secs, 3)}), flush=True)
+        turns = in_turns(ex, LINE_KEY, 8, 4)
+        for method, frame, part, late in (("merge", ex, "part", 0), ("lock", turns, "node", 0), ("nolock", turns, "node", 4)):
+            for s in (1, 2, 4, 8, 16):
+                parents, alphas = np.zeros((s, STAR_D)), np.full(s, 1e-3)
+                secs = time_per_iteration(lambda: merge_children(igd_children(frame, spec, parents, alphas, LINE_KEY, part, late=late), STAR_D), 1)
+                print(json.dumps({"task": task, "method": method, "s": s, "secs": round(secs, 3)}), flush=True)
 
 
 if __name__ == "__main__":

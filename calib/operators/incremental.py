@@ -63,14 +63,17 @@ def margins(x: np.ndarray | SparseRows, models: np.ndarray) -> np.ndarray:
     return x @ models.T
 
 
-def descend(w: np.ndarray, x: np.ndarray | SparseRows, y: np.ndarray, alpha: np.ndarray, spec: Spec) -> None:
-    """Steps of all rows of w (models) by losses alone, over dense or sparse examples one by one; changes w."""
+def descend(w: np.ndarray, x: np.ndarray | SparseRows, y: np.ndarray, alpha: np.ndarray, spec: Spec, late: deque | None = None) -> None:
+    """Steps of all rows of w (models) by losses alone, over dense or sparse examples one by one; changes w. late: as in sgd_shared."""
     for i in range(len(y)):
+        seen = w if late is None else late[0]
         if isinstance(x, SparseRows):
             j, v = x.row(i)
-            w[:, j] -= (spec.f.slope(w[:, j] @ v, y[i]) * alpha)[:, None] * v
+            w[:, j] -= (spec.f.slope(seen[:, j] @ v, y[i]) * alpha)[:, None] * v
         else:
-            w -= (spec.f.slope(w @ x[i], y[i]) * alpha)[:, None] * x[i]
+            w -= (spec.f.slope(seen @ x[i], y[i]) * alpha)[:, None] * x[i]
+        if late is not None:
+            late.append(w.copy())
 
 
 def ordered(ex: DataFrame, part: str | None, key: list[str], d: int) -> DataFrame:
@@ -187,6 +190,15 @@ def sgd_shared(x: np.ndarray, y: np.ndarray, w: np.ndarray, alpha: float, spec:
             late.append(w.copy())
 
 
+def in_turns(ex: DataFrame, key: list[str], nodes: int, threads: int) -> DataFrame:
+    """Examples with their node, in the order in which its threads take turns."""
+    from pyspark.sql import Window
+
+    rows = ex.withColumn("node", F.col("ord") % nodes).withColumn("thread", F.floor(F.col("ord") / nodes) % threads)
+    turn = F.row_number().over(Window.partitionBy("node", "thread").orderBy("ord", *key))
+    return rows.withColumn("ord", turn * threads + F.col("thread"))
+
+
 def train_igd_shared(ex: DataFrame, spec: Spec, w0, alpha: float, key: list[str], nodes: int = 1, threads: int = 4, mode: str = "lock") -> tuple[np.ndarray, DataFrame]:
     """One pass with a model for each node that its threads share; nodes are averaged by their counts.
 
@@ -195,11 +207,7 @@ def train_igd_shared(ex: DataFrame, spec: Spec, w0, alpha: float, key: list[str]
     """
     d = len(w0)
     w0 = np.asarray(w0, dtype=float)
-    rows = ex.withColumn("node", F.col("ord") % nodes).withColumn("thread", F.floor(F.col("ord") / nodes) % threads)
-    from pyspark.sql import Window
-
-    turn = F.row_number().over(Window.partitionBy("node", "thread").orderBy("ord", *key))
-    rows = rows.withColumn("ord", turn * threads + F.col("thread"))
+    rows = in_turns(ex, key, nodes, threads)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         states: dict[int, tuple[int, np.ndarray, deque | None]] = {}

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import time
+from collections import deque
 from collections.abc import Callable, Iterator
 from dataclasses import dataclass
 
@@ -13,7 +14,7 @@ from pyspark.sql import functions as F
 
 from calib.functions.losses import Spec
 from calib.operators.batch import Run, StopRule
-from calib.operators.incremental import by_part, descend, margins, ordered
+from calib.operators.incremental import by_part, descend, in_turns, margins, ordered
 from calib.operators.stepdist import BivariatePhi, NormalPhi, StepCountController, loss_weights, update_bivariate, update_normal
 from calib.plans.moments import WIDE_SUMS, CostMeter, full_gradient, multi_eval, objective
 
@@ -91,11 +92,11 @@ def independent_runs(ex: DataFrame, spec: Spec, w, models: np.ndarray, plan: str
 CHILDREN = "kind string, i int, l int, n long, w array<double>, loss double"
 
 
-def igd_children(ex: DataFrame, spec: Spec, parents: np.ndarray, alphas: np.ndarray, key: list[str], part: str, batches_of: np.ndarray | None = None) -> DataFrame:
+def igd_children(ex: DataFrame, spec: Spec, parents: np.ndarray, alphas: np.ndarray, key: list[str], part: str, batches_of: np.ndarray | None = None, late: int = 0) -> DataFrame:
     """One pass: every parent's loss, and its children's models after it, by part.
 
     Children of parent i start there and step with each of alphas; with batches_of, child l takes one step for
-    each batches_of[l] examples. Rows: (loss, i) sums and (model, i, l) models with the part's count.
+    each batches_of[l] examples. late: an update sees the models of late - 1 updates ago; 0: the newest. Rows: (loss, i) sums and (model, i, l) models with the part's count.
     """
     s, d, c = len(parents), parents.shape[1], len(alphas)
 
@@ -103,12 +104,12 @@ def igd_children(ex: DataFrame, spec: Spec, parents: np.ndarray, alphas: np.ndar
         states: dict[int, list] = {}
         for p, x, y in by_part(rows, d):
             if p not in states:
-                states[p] = [0, np.repeat(parents, c, axis=0), np.zeros(s), np.zeros((s * c, d)), np.zeros(s * c, dtype=int)]
+                states[p] = [0, np.repeat(parents, c, axis=0), np.zeros(s), np.zeros((s * c, d)), np.zeros(s * c, dtype=int), deque([np.repeat(parents, c, axis=0)] * late, maxlen=late) if late else None]
             st = states[p]
             a = np.tile(alphas, s)
             st[2] += spec.f.value(margins(x, parents), y[:, None]).sum(axis=0)
             if batches_of is None:
-                descend(st[1], x, y, a, spec)
+                descend(st[1], x, y, a, spec, st[5])
             else:
                 b = np.tile(batches_of, s)
                 for m in range(s * c):
@@ -124,7 +125,7 @@ def igd_children(ex: DataFrame, spec: Spec, parents: np.ndarray, alphas: np.ndar
                             st[3][m], st[4][m] = 0, 0
             st[0] += len(y)
         out = []
-        for n, w, loss, g, held in states.values():
+        for n, w, loss, g, held, _ in states.values():
             if batches_of is not None:
                 for m in np.flatnonzero(held):
                     w[m] -= np.tile(alphas, s)[m] * g[m] * spec.per(int(held[m]))
@@ -155,17 +156,23 @@ def merge_children(rows: DataFrame, d: int) -> dict[tuple, np.ndarray]:
     return out
 
 
-def train_spec_igd(ex: DataFrame, spec: Spec, w0, alphas, iterations: int, key: list[str], part: str, batches_of=None, final_eval: bool = True) -> Run:
+def train_spec_igd(ex: DataFrame, spec: Spec, w0, alphas, iterations: int, key: list[str], part: str, batches_of=None, final_eval: bool = True, variant: str = "merge", nodes: int = 1, threads: int = 4) -> Run:
     """Incremental descent with s * s models: while children move on, their parents' losses are summed.
 
     After a pass only the children of the best parent stay, as the next parents. Losses are those of parents,
-    so they lag one pass; the closing evaluation makes up for the last.
+    so they lag one pass; the closing evaluation makes up for the last. variant: merge has models for each part;
+    with lock and nolock the threads of a node share them, as in train_igd_shared, and part is not used.
     """
+    if variant not in ("merge", "lock", "nolock"):
+        raise ValueError(f"no variant is called {variant}")
+    if variant != "merge":
+        ex, part = in_turns(ex, key, nodes, threads), "node"
+    late = threads if variant == "nolock" else 0
     alphas = np.asarray(alphas, dtype=float)
     parents, run, d = np.array([np.asarray(w0, dtype=float)]), Run(np.asarray(w0, dtype=float)), len(w0)
     sizes = None if batches_of is None else np.asarray(batches_of, dtype=int)
     for k in range(iterations):
-        found = merge_children(igd_children(ex, spec, parents, alphas, key, part, sizes), d)
+        found = merge_children(igd_children(ex, spec, parents, alphas, key, part, sizes, late), d)
         losses = [found[(i,)] for i in range(len(parents))]
         run.cost.add(0, len(parents) + len(parents) * len(alphas), len(parents) * len(alphas))
         best = select_best(losses)

@@ -10,7 +10,7 @@ from calib import oracle as O
 from calib.functions.losses import Spec
 from calib.operators import baselines, incremental, ola, speculative, stepdist
 from calib.operators.approx_igd import train_approx_igd
-from calib.operators.batch import Step, trace_frame, train_line_search
+from calib.operators.batch import trace_frame, train_line_search
 from calib.plans.moments import model_bytes, multi_eval
 from calib.queries_methods import BLOCKS, EX, GRID, KEY, N_SQL, SVM, LR, W, _n, _scaled, _spec_sql, approx_run, line, rows
 from calib.registry import query
@@ -74,18 +74,14 @@ def fig3b_spec_igd_lr(spark, sf_dir):
 
 @query()
 def fig3c_methods_svm(spark, sf_dir):
-    """Batch against the three incremental variants, by iteration."""
+    """Batch against the three incremental variants, each with 16 steps, by iteration."""
     ex, n, d = star(spark, sf_dir), _n(spark, sf_dir), views.STAR_D
     parted, out = ex.withColumn("part", F.col("ord") % 4), []
     run = speculative.train_spec_bgd(ex, SVM, [0.0] * d, nested(n, 16), iterations=2, plan="arrow")
     out += [("batch", t["k"], round(t["loss"], 3)) for t in run.trace]
-    run = incremental.train_igd_merge(parted, SVM, [0.0] * d, Step("inverse", 0.005, 1.0), 2, KEY, "part")
-    out += [("merge", t["k"], round(t["loss"], 3)) for t in run.trace]
-    for mode in ("lock", "nolock"):
-        w = np.zeros(d)
-        for k in range(2):
-            w = incremental.train_igd_shared(ex, SVM, w, 0.005 / (1 + k), KEY, 1, 4, mode)[0]
-            out.append((mode, k + 1, round(float(multi_eval(ex, w, SVM, "arrow").loss[0]), 3)))
+    for variant in ("merge", "lock", "nolock"):
+        run = speculative.train_spec_igd(parted, SVM, [0.0] * d, speculative.nested_grid(16, 0.005, 2.0).values, 2, KEY, "part", variant=variant)
+        out += [(variant, t["k"] - 1, round(t["loss"], 3)) for t in run.trace[1:]]  # the first loss is that of the start
     return rows(spark, out, "method string, k int, loss double")
 
 

@@ -270,3 +270,16 @@ def test_sparse_workload_compares_all_four(spark, sf):
     print(got)
     assert set(got["method"]) == {"batch", "batch_online", "incremental", "incremental_online"}
     assert (got.groupby("method")["loss"].last() < spark.read.parquet(f"{sf}/documents.parquet").count()).all()
+
+
+@pytest.mark.parametrize("variant", ["lock", "nolock"])
+def test_spec_igd_with_shared_models(ex, variant):
+    small, alphas = ex.where("blk < 8").localCheckpoint(), (0.01, 0.1, 0.001)
+    alone = {a: incremental.train_igd_shared(small, Spec("lr"), [0.0] * 5, a, LINE_KEY, 2, 4, variant)[0] for a in alphas}
+    run = speculative.train_spec_igd(small, Spec("lr"), [0.0] * 5, alphas, 1, LINE_KEY, "part", variant=variant, nodes=2)
+    assert any(run.w == pytest.approx(w) for w in alone.values())
+    run = speculative.train_spec_igd(small, Spec("lr"), [0.0] * 5, alphas, 2, LINE_KEY, "part", variant=variant, nodes=2)
+    best = alone[min(alphas, key=lambda a: float(moments.multi_eval(small, alone[a], Spec("lr")).loss[0]))]
+    assert run.trace[1]["models"] == 9 and run.trace[1]["w"] == pytest.approx(best)
+    two = [incremental.train_igd_shared(small, Spec("lr"), best, a, LINE_KEY, 2, 4, variant)[0] for a in alphas]
+    assert any(run.w == pytest.approx(w) for w in two)
