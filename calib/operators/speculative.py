@@ -16,7 +16,7 @@ from calib.functions.losses import Spec
 from calib.operators.batch import Run, StopRule
 from calib.operators.incremental import by_part, descend, in_turns, margins, ordered
 from calib.operators.stepdist import BivariatePhi, NormalPhi, StepCountController, loss_weights, update_bivariate, update_normal
-from calib.plans.moments import WIDE_SUMS, CostMeter, full_gradient, multi_eval, objective
+from calib.plans.moments import WIDE_SUMS, CostMeter, full_gradient, losses_of, multi_eval, objective
 
 
 @dataclass(frozen=True)
@@ -52,8 +52,8 @@ def train_spec_bgd(ex: DataFrame, spec: Spec, w0, grid: Grid | None = None, phi:
     """Batch descent over s trial models an iteration.
 
     One scan gives every trial's loss and gradient; the best goes on. The steps come from a grid or from phi,
-    which is refitted to the losses; control adapts s to the measured time. Without overlap the gradients take
-    a second scan. keep_best also keeps the old model as a candidate, so that losses never rise.
+    which is refitted to the losses; control adapts s to the measured time. Without overlap a scan sums losses
+    alone, and a second one the gradient of the best model. keep_best also keeps the old model as a candidate, so that losses never rise.
     """
     w, run, losses = np.array(w0, dtype=float), Run(np.array(w0, dtype=float)), []
     m = multi_eval(ex, w, spec, plan, meter=run.cost)
@@ -63,14 +63,13 @@ def train_spec_bgd(ex: DataFrame, spec: Spec, w0, grid: Grid | None = None, phi:
         alphas = grid.at(k) if grid else phi.sample(s, None if seed is None else seed + k)
         began = clock()
         models = trial_models(w, g, alphas)
-        m = multi_eval(ex, models, spec, plan, meter=run.cost)
-        if not overlap:
-            multi_eval(ex, models, spec, plan, meter=run.cost)
+        m = multi_eval(ex, models, spec, plan, meter=run.cost) if overlap else losses_of(ex, models, spec, run.cost)
         found = objective(m, models, spec)
         best = select_best(found)
-        secs = clock() - began
         if not (keep_best and not significant(found[best]) < significant(loss)):
-            w, loss, g = models[best], float(found[best]), full_gradient(m.pick([best]), models[best], spec)[0]
+            m = m.pick([best]) if overlap else multi_eval(ex, models[best], spec, plan, meter=run.cost)
+            w, loss, g = models[best], float(found[best]), full_gradient(m, models[best], spec)[0]
+        secs = clock() - began
         losses.append(loss)
         run.trace.append({"k": k + 1, "s": len(alphas), "best": best, "alpha": float(alphas[best]), "loss": loss, "w": w.copy(), "secs": secs, "phi": phi, "candidates": [(i, float(a), float(x)) for i, (a, x) in enumerate(zip(alphas, found))]})
         if phi is not None and grid is None:

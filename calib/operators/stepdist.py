@@ -28,6 +28,10 @@ class NormalPhi:
     hi: float = float("inf")
     log: bool = False
 
+    def __post_init__(self):
+        for name in ("mu", "sigma", "lo", "hi"):  # numpy's numbers would not go into rows
+            object.__setattr__(self, name, float(getattr(self, name)))
+
     def _at(self, v: float) -> float:
         return (v - self.mu) / max(self.sigma, FLOOR)
 

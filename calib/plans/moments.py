@@ -193,23 +193,29 @@ def _eval_long(examples: DataFrame, models: np.ndarray, spec: Spec) -> Moments:
 
 
 def sparse_sums(examples: DataFrame, models: DataFrame, s: int, spec: Spec, want_sq: bool = False) -> tuple[DataFrame, DataFrame]:
-    """Losses by model and gradients by feature of sparse examples (ex_id, idx, val, y), with want_sq also sums of squares.
+    """Losses by model and gradients by feature of sparse examples (idx, val, y), with want_sq also sums of squares.
 
     models holds (j, ws): the weights of feature j in all s models, a table of any size that is joined by j, so
-    that neither models nor gradients need fit anywhere as a whole. Every entry is exploded once for all models.
+    that neither models nor gradients need fit anywhere as a whole; a frequent feature is a skewed key of that
+    join, which adaptive execution splits. The entries of a row meet again by a number of its own, so rows may
+    repeat in every column.
     """
-    entries = examples.select("ex_id", "y", F.explode(F.arrays_zip("idx", "val")).alias("e")).select("ex_id", "y", F.col("e.idx").alias("j"), F.col("e.val").alias("v"))
-    joined = entries.join(models, "j", "left")
-    zero = F.array(*(F.lit(0.0),) * s)
-    part = joined.groupBy("ex_id", "y").agg(*(F.sum(F.col("v") * F.coalesce(F.get("ws", F.lit(m)), F.lit(0.0))).alias(f"d{m}") for m in range(s)))
-    dots = examples.select("ex_id", "y").join(part.drop("y"), "ex_id", "left").fillna(0.0)
+    rows = examples.select("y", "idx", "val").withColumn("row", F.monotonically_increasing_id())  # numbered before entries are taken apart
+    rows = rows.select("row", "y", F.explode_outer(F.arrays_zip("idx", "val")).alias("e"))
+    entries = rows.select("row", "y", F.col("e.idx").alias("j"), F.col("e.val").alias("v"))
+    whole = entries.join(models, "j", "left").groupBy("row", "y").agg(F.collect_list(F.struct("j", "v", "ws")).alias("es"))
+
+    def dot(m: int) -> Column:
+        return F.aggregate("es", F.lit(0.0), lambda a, e: a + F.coalesce(e["v"], F.lit(0.0)) * F.coalesce(F.get(e["ws"], F.lit(m)), F.lit(0.0)))
+
+    dots = whole.select("y", F.transform("es", lambda e: F.struct(e["j"].alias("j"), e["v"].alias("v"))).alias("es"), *(dot(m).alias(f"d{m}") for m in range(s)))
     f = [spec.f.column(F.col(f"d{m}"), F.col("y")) for m in range(s)]
     squares = [F.sum(c * c).alias(f"square{m}") for m, c in enumerate(f)] if want_sq else []
     loss = dots.agg(F.count(F.lit(1)).alias("n"), *(F.sum(c).alias(f"loss{m}") for m, c in enumerate(f)), *squares)
-    slopes = dots.select("ex_id", F.array(*(spec.f.column_slope(F.col(f"d{m}"), F.col("y")) for m in range(s)) or zero).alias("g"))
-    terms = [F.col("v") * F.get("g", F.lit(m)) for m in range(s)]
+    slopes = dots.select(F.explode("es").alias("e"), F.array(*(spec.f.column_slope(F.col(f"d{m}"), F.col("y")) for m in range(s))).alias("g"))
+    terms = [F.col("e.v") * F.get("g", F.lit(m)) for m in range(s)]
     squares = [F.array(*(F.sum(t * t) for t in terms)).alias("qs")] if want_sq else []
-    grad = entries.join(slopes, "ex_id").groupBy("j").agg(F.array(*(F.sum(t) for t in terms)).alias("gs"), *squares)
+    grad = slopes.where("e.j IS NOT NULL").groupBy(F.col("e.j").alias("j")).agg(F.array(*(F.sum(t) for t in terms)).alias("gs"), *squares)
     return loss, grad
 
 
@@ -255,6 +261,19 @@ def multi_eval(examples: DataFrame, models: np.ndarray, spec: Spec, plan: str =
     return out
 
 
+def losses_of(examples: DataFrame, models: np.ndarray, spec: Spec, meter: CostMeter | None = None) -> Moments:
+    """The losses alone of dense examples, s sums in one pass; the gradients of the result are zero."""
+    models = np.atleast_2d(np.asarray(models, dtype=float))
+    s, d = models.shape
+    dot = (lambda w: dot_array("x", F.array(*map(F.lit, w.tolist())))) if "x" in examples.columns else (lambda w: dot_wide(wide(d), w))
+    row = examples.agg(F.count(F.lit(1)).alias("n"), *(F.sum(spec.f.column(dot(w), F.col("y"))).alias(f"l{m}") for m, w in enumerate(models))).first()
+    s1 = np.zeros((s, d + 1))
+    s1[:, 0] = [row[f"l{m}"] or 0.0 for m in range(s)]
+    if meter is not None:
+        meter.add(row["n"], s, s)
+    return Moments(row["n"], s1, np.zeros_like(s1))
+
+
 def objective(m: Moments, models: np.ndarray, spec: Spec) -> np.ndarray:
     """The objective of each model, with its regulariser."""
     return m.loss * spec.per(m.n) + spec.reg_value(models)

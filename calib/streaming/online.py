@@ -56,8 +56,8 @@ def windowed(events: DataFrame, kind: str = "tumbling") -> DataFrame:
 
 
 def watermarked(events: DataFrame, delay: str = "1 hour") -> DataFrame:
-    """Events without repeats of an id within the watermark; later ones are dropped."""
-    return events.withWatermark("ts", delay).dropDuplicatesWithinWatermark(["event_id"])
+    """Events without repeats of an id within the watermark; later ones are dropped. ts may be without a time zone: it is read in the session's."""
+    return events.withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", delay).dropDuplicatesWithinWatermark(["event_id"])
 
 
 def user_models(events: DataFrame, d: int = 6, alpha: float = 0.1, loss: str = "lr") -> DataFrame:

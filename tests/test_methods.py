@@ -9,6 +9,7 @@ from calib.operators.batch import Step, StopRule, train_bgd, train_lbfgs, train_
 from calib.operators.estimators import Estimate, estimate, estimate_bernoulli, rel_error, required_n
 from calib.plans import moments
 from calib.queries_methods import INTERVALS, MODELS, line
+from calib.session import materialize
 from calib.sources.order import block_sequence
 from calib.sources.views import LINE_KEY, wide
 
@@ -252,7 +253,7 @@ def test_minibatch_pass_takes_every_line(spark, sf):
 
 def test_sparse_examples_give_what_dense_ones_do(ex):
     sparse = ex.where("blk < 8").select(F.monotonically_increasing_id().alias("ex_id"), "ord", "blk", *LINE_KEY, F.array(*(F.lit(j).cast("long") for j in range(5))).alias("idx"), F.array(*wide(5)).alias("val"), "y")
-    sparse = sparse.withColumn("part", F.col("ord") % 2).localCheckpoint()
+    sparse = materialize(sparse.withColumn("part", F.col("ord") % 2), "sparse")
     dense = sparse.select("ord", "blk", *LINE_KEY, "part", F.col("val").alias("x"), "y")
     models = np.array([[0.5, 0.2, -0.3, 0.1, 0.05], [0.0] * 5])
     a, b = (moments.multi_eval(f, models, Spec("svm"), plan, want_sq=True) for f, plan in ((sparse, "sparse"), (dense, "arrow")))
@@ -263,6 +264,21 @@ def test_sparse_examples_give_what_dense_ones_do(ex):
     assert a.w == pytest.approx(b.w) and [t["n_read"] for t in a.trace] == [t["n_read"] for t in b.trace]
 
 
+def test_sparse_rows_may_repeat_and_be_empty(spark):
+    rows = [(1, [0, 2], [1.0, 2.0], 1.0)] * 3 + [(1, [], [], -1.0), (2, [1], [0.5], -1.0), (None, None, None, 1.0)]
+    sparse = spark.createDataFrame(rows, "ex_id long, idx array<long>, val array<double>, y double")
+    x = np.array([[1.0, 0, 2.0]] * 3 + [[0, 0, 0], [0, 0.5, 0], [0, 0, 0]])
+    y, w = np.array([r[3] for r in rows]), np.array([[0.1, 3.0, -0.2], [0, 0, 0]])
+    m = moments.multi_eval(sparse, w, Spec("svm"), "sparse", want_sq=True)
+    f, g = np.maximum(0, 1 - y[:, None] * (x @ w.T)), -y[:, None] * (y[:, None] * (x @ w.T) < 1)
+    assert m.n == 6 and np.allclose(m.loss, f.sum(axis=0)) and np.allclose(m.grad, g.T @ x) and np.allclose(m.s2[:, 1:], (g**2).T @ x**2)
+
+
+def test_losses_alone(ex):
+    models = np.random.default_rng(2).standard_normal((3, 5))
+    assert np.allclose(moments.losses_of(ex, models, Spec("lr")).loss, moments.multi_eval(ex, models, Spec("lr")).loss)
+
+
 def test_sparse_workload_compares_all_four(spark, sf):
     from calib.queries_experiments import fig4c_sparse
 
