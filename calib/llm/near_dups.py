@@ -23,10 +23,12 @@ PERCENT = 75
 #: Signature positions; four of 16 bits each make the 64-bit key of a band. A pair at 0.75 shares one of the 32 bands but for 5 in a million.
 POSITIONS = 128
 BANDS = POSITIONS // 4
-#: Positions that must agree before full sets are compared: at 0.75 fewer agree only beyond four standard deviations.
-AGREE = 76
-#: Leaders that a class is compared with before the rest is compared in full, and edges of one task's union-find.
+#: Positions that must agree before full sets are compared. At 0.75 fewer agree in 2 of ten million pairs, so the bands decide what is lost.
+AGREE = 70
+#: Leaders that a class is compared with before the rest of its buckets, and edges of one task's union-find.
 LEADS, EDGES = 8, 200_000
+#: Set elements and members of a block; a bucket is compared by pairs of blocks.
+BLOCK_ELEMENTS, BLOCK_MEMBERS = 1 << 20, 2048
 #: Ids that may be broadcast.
 BROADCAST_IDS = 2_000_000
 #: Text bytes that are hashed together.
@@ -259,38 +261,29 @@ def components(edges: DataFrame) -> DataFrame:
 def near_duplicates(docs: DataFrame) -> DataFrame:
     """doc_id, n_shingles, component_id and kept for every row of docs (doc_id, text).
 
-    Rows with the same set are one class, of which the least doc_id stands for all. In each band's bucket
-    every class is compared with two leaders, and after grouping with two leaders of the bucket's largest group;
-    whatever a bucket then still holds of different groups is compared in full. So a bucket of one group never
-    needs all its pairs, and none is cut off. Null and empty
-    texts are linked with nothing; rows with one doc_id count as one document; a null doc_id is never linked.
+    Rows with the same set are one class, of which the least doc_id stands for all. Every class is first compared
+    with leaders of its bands' buckets, so that a bucket of one group never needs all its pairs. Buckets that then
+    still hold several groups are compared in full, block by block, inside tasks that give out only the links by
+    which groups grow together. No bucket is cut off. Null and empty texts are linked with nothing; rows with one
+    doc_id count as one document; a null doc_id is never linked.
     """
     found = materialize(signatures(docs), "signatures")
     usable = found.where("n_shingles > 0 AND doc_id IS NOT NULL")
-    least = usable.groupBy("digest").agg(F.min(F.struct("doc_id", "bands")).alias("x"))
-    reps = materialize(least.select("digest", F.col("x.doc_id").alias("rep"), F.col("x.bands").alias("bands")), "classes")
-    buckets = reps.select("rep", F.posexplode("bands").alias("band", "value")).select(F.xxhash64("band", "value").alias("key"), "rep")
+    least = usable.groupBy("digest").agg(F.min(F.struct("doc_id", "bands", "n_shingles")).alias("x"))
+    reps = materialize(least.select("digest", F.col("x.doc_id").alias("rep"), F.col("x.bands").alias("bands"), F.col("x.n_shingles").alias("n")), "classes")
+    buckets = reps.select("rep", "n", F.posexplode("bands").alias("band", "value")).select(F.xxhash64("band", "value").alias("key"), "band", "rep", "n")
     shared = buckets.groupBy("key").agg(F.min("rep").alias("lo"), F.max("rep").alias("hi")).where("lo < hi")
     members = materialize(buckets.join(shared, "key"), "members")
     sets = materialize(full_sets(only(docs.select("doc_id", "text"), materialize(members.select(F.col("rep").alias("doc_id")).distinct(), "wanted"))), "sets")
     links = confirmed(nearest(members.select("rep", F.explode(F.array("lo", "hi")).alias("lead")).where("rep <> lead")), reps, sets)
     groups = components(links)
-    rest = materialize(mixed_buckets(members.select("key", "rep"), groups), "mixed")
-    leads = rest.select("grp", "rep", F.explode(F.array("x", "y")).alias("l")).where("grp <> l.grp").select("rep", F.col("l.rep").alias("lead"))
-    more = confirmed(nearest(leads), reps, sets)
-    if not more.isEmpty():
-        links = links.union(more)
-        groups = components(links)
-        rest = materialize(mixed_buckets(rest.select("key", "rep"), groups), "mixed")
-    rest = rest.select("key", "rep", "grp").join(reps.select("rep", "bands"), "rep")
-    other = rest.select("key", F.col("rep").alias("b"), F.col("grp").alias("b_grp"), F.col("bands").alias("b_bands"))
-    pairs = rest.withColumnRenamed("rep", "a").join(other, "key").where((F.col("grp") < F.col("b_grp")) & (_agreeing("bands", "b_bands") >= AGREE)).select("a", "b").distinct()
-    more = confirmed(pairs, reps, sets)
+    more = materialize(block_links(block_pairs(mixed_buckets(members.drop("lo", "hi"), groups)), reps, sets), "links")
     if not more.isEmpty():
         groups = components(links.union(more))
-    group = F.coalesce("component", "rep")
-    classes = reps.select("digest", "rep").join(groups, reps.rep == groups.node, "left").select("digest", group.alias("component_id"))
-    out = found.select("doc_id", "n_shingles", "digest").join(classes, "digest", "left")
+    moved = reps.join(groups, reps.rep == groups.node).where("component <> rep").select("digest", F.col("component").alias("component_id"))
+    first = reps.select("digest", "rep").join(moved, "digest", "left").select("digest", F.coalesce("component_id", "rep").alias("component_id"))
+    linked = found.where("digest IS NOT NULL").select("doc_id", "n_shingles", "digest").join(first, "digest", "left")
+    out = linked.drop("digest").union(found.where("digest IS NULL").select("doc_id", "n_shingles", F.lit(None).cast("long")))
     own = F.coalesce("component_id", "doc_id")
     return out.select("doc_id", "n_shingles", F.when(F.col("doc_id").isNotNull(), own).alias("component_id"), F.coalesce(F.col("doc_id") == own, F.lit(False)).alias("kept"))
 
@@ -303,15 +296,92 @@ def nearest(leads: DataFrame) -> DataFrame:
 
 
 def mixed_buckets(members: DataFrame, groups: DataFrame) -> DataFrame:
-    """Members (key, rep) of buckets that hold several groups, with their group grp and two leaders x and y of the bucket's largest group."""
-    sizes = groups.groupBy("component").agg((F.count("*") + 1).alias("n"))
-    known = groups.join(sizes, "component").select("node", "component", "n").union(sizes.select(F.col("component").alias("node"), "component", "n"))
-    placed = members.join(known, members.rep == known.node, "left").select("key", "rep", F.coalesce("component", "rep").alias("grp"), F.coalesce("n", F.lit(1)).alias("n"))
-    order = F.xxhash64("rep", F.lit(1))
-    several = placed.groupBy("key").agg(F.min("grp").alias("lo"), F.max("grp").alias("hi")).where("lo < hi").select("key")
-    placed = materialize(placed.join(several, "key"), "placed")
-    lead = placed.groupBy("key").agg(F.min(F.struct(-F.col("n"), order, "rep", "grp")).alias("x"), F.max(F.struct("n", order, "rep", "grp")).alias("y"))
-    return placed.select("key", "rep", "grp").join(lead.select("key", F.struct("x.rep", "x.grp").alias("x"), F.struct("y.rep", "y.grp").alias("y")), "key")
+    """Members (key, band, rep, n) of buckets that hold several groups, with their group grp and the bucket's size.
+
+    Of buckets with the same members only that of the first band stays: a pair is compared in the first band that it shares.
+    """
+    label = groups.union(groups.select("component", "component").distinct())
+    placed = members.join(label, members.rep == label.node, "left").select("key", "band", "rep", "n", F.coalesce("component", "rep").alias("grp"))
+    size = [F.count("*").alias("members"), F.sum("n").alias("elements"), F.bit_xor(F.xxhash64("rep")).alias("x"), F.bit_xor(F.xxhash64("rep", F.lit(1))).alias("y")]
+    several = placed.groupBy("key").agg(F.min("band").alias("first"), F.min("grp").alias("lo"), F.max("grp").alias("hi"), *size).where("lo < hi")
+    several = several.groupBy("x", "y", "members", "elements").agg(F.min(F.struct("first", "key")).alias("k")).select("k.key", "members", "elements")
+    return placed.join(several, "key")
+
+
+def block_pairs(rows: DataFrame) -> DataFrame:
+    """Each bucket's members in blocks of bounded size, a row for every pair (i, j) of blocks that a member's own block is part of."""
+    blocks = F.ceil(F.greatest(F.col("elements") / BLOCK_ELEMENTS, F.col("members") / BLOCK_MEMBERS)).cast("int")
+    rows = rows.withColumn("blocks", blocks).withColumn("block", F.pmod(F.xxhash64("rep", "key"), F.col("blocks")).cast("int"))
+    other = F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))
+    return rows.withColumn("other", other).select("key", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"), "block", "band", "rep", "grp")
+
+
+def block_links(rows: DataFrame, reps: DataFrame, sets: DataFrame) -> DataFrame:
+    """Links (a, b) that join the groups of each pair of blocks, from full sets; a forest for each pair, not all its links."""
+    rows = rows.join(reps.select("rep", "bands"), "rep").join(sets.select(F.col("doc_id").alias("rep"), "shingles"), "rep")
+    rows = rows.select("key", "i", "j", "block", "band", "rep", "grp", "bands", "shingles").repartition("key", "i", "j").sortWithinPartitions("key", "i", "j", "rep")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: list[pa.RecordBatch] = []  # slices of one pair of blocks
+
+        def done() -> pa.RecordBatch:
+            links = forest(pa.Table.from_batches(held).combine_chunks())
+            held.clear()
+            return pa.RecordBatch.from_arrays([pa.array([x for x, _ in links], pa.int64()), pa.array([x for _, x in links], pa.int64())], names=["a", "b"])
+
+        now = None
+        for b in batches:
+            if not b.num_rows:
+                continue
+            key = np.stack([b.column(c).to_numpy(zero_copy_only=False).astype(np.int64) for c in ("key", "i", "j")], axis=1)
+            edges = [0, *(np.flatnonzero((key[1:] != key[:-1]).any(axis=1)) + 1).tolist(), len(key)]
+            for start, end in zip(edges, edges[1:]):
+                if held and tuple(key[start]) != now:
+                    yield done()
+                now = tuple(key[start])
+                held.append(b.slice(start, end - start))
+        if held:
+            yield done()
+
+    return rows.mapInArrow(run, "a long, b long").distinct()
+
+
+def forest(rows: pa.Table) -> list[tuple[int, int]]:
+    """Links that join the groups in a pair of blocks. A row is compared with the later ones that are not yet in its group, whose first shared band this is."""
+    get = lambda c: rows.column(c).to_numpy()
+    rep, block, band, n = get("rep"), get("block"), int(rows.column("band")[0].as_py()), rows.num_rows
+    label = np.unique(get("grp"), return_inverse=True)[1]
+    two = rows.column("i")[0] != rows.column("j")[0]
+    bands = rows.column("bands").combine_chunks().flatten().to_numpy().reshape(n, BANDS)
+    lanes = np.ascontiguousarray(bands).view(np.uint16).reshape(n, POSITIONS)
+    held = rows.column("shingles").combine_chunks()
+    size = held.value_lengths().to_numpy().astype(np.int64)
+    place = np.unique(held.flatten().to_numpy(), return_inverse=True)[1]
+    start, mine, out = np.cumsum(size) - size, np.zeros(int(place.max(initial=-1)) + 1, dtype=np.int64), []
+    for a in range(n - 1):
+        b = np.flatnonzero(label[a + 1 :] != label[a]) + a + 1
+        if two:
+            b = b[block[b] != block[a]]
+        b = b[100 * np.minimum(size[b], size[a]) >= PERCENT * np.maximum(size[b], size[a])]
+        if band:
+            b = b[~(bands[b, :band] == bands[a, :band]).any(axis=1)]
+        b = b[(lanes[b] == lanes[a]).sum(axis=1) >= AGREE]
+        if not len(b):
+            continue
+        mine[place[start[a] : start[a] + size[a]]] = 1
+        cuts = [0, *(np.flatnonzero(np.diff(np.cumsum(size[b]) // ELEMENTS)) + 1).tolist(), len(b)]
+        for c in (b[x:y] for x, y in zip(cuts, cuts[1:])):
+            c = c[label[c] != label[a]]
+            if not len(c):
+                continue
+            first = np.cumsum(size[c]) - size[c]
+            common = np.add.reduceat(mine[place[np.repeat(start[c] - first, size[c]) + np.arange(int(size[c].sum()))]], first)
+            for x in c[common * (100 + PERCENT) >= PERCENT * (size[a] + size[c])].tolist():
+                if label[x] != label[a]:
+                    out.append((int(max(rep[a], rep[x])), int(min(rep[a], rep[x]))))
+                    label[label == label[x]] = label[a]
+        mine[place[start[a] : start[a] + size[a]]] = 0
+    return out
 
 
 def keep_one_of_each(spark: SparkSession, docs: DataFrame) -> DataFrame:

@@ -393,6 +393,24 @@ def test_chains_of_near_copies(spark):
     assert [r.doc_id for r in kept.collect()] == [89] and kept.columns == t.columns
 
 
+def test_one_bucket_of_many_groups(spark, monkeypatch):
+    """Copies of one text that differ among themselves, on both sides of the threshold, in blocks far smaller than their buckets."""
+    r = np.random.default_rng(3)
+    base = [f"w{i}" for i in range(160)]
+    texts = []
+    for k in range(900):
+        words = list(base)
+        for at in r.choice(160, 1 + k % 9, replace=False):
+            words[at] = f"x{k}.{at}"
+        texts.append((int(k * 7919 % 10007), " ".join(words)))
+    want = brute_groups(texts)
+    assert 100 < len({c for _, c in want.values()}) < 800
+    t = spark.createDataFrame(texts, "doc_id long, text string").repartition(8)
+    for members in (near_dups.BLOCK_MEMBERS, 100):
+        monkeypatch.setattr(near_dups, "BLOCK_MEMBERS", members)
+        assert {x.doc_id: (x.n_shingles, x.component_id) for x in near_dups.near_duplicates(t).collect()} == want
+
+
 def test_signature_estimates_similarity():
     r = np.random.default_rng(5)
     for share in (30, 75, 95):
