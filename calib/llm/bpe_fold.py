@@ -2,31 +2,38 @@
 
 A word starts as the ids of its bytes. A fold then merges, one at a time, the leftmost adjacent pair of least
 rank, looked up in a literal rank map, until no pair of the word is in it. The most frequent words of the
-corpus are merged once and sent to all tasks as a dictionary of bounded size; a task's other words are merged
-where they occur. Python only splits texts into words and puts ids and pieces together.
+corpus are merged once and sent to all tasks as a dictionary of bounded size; other words are merged once in
+each task that has them. Python only splits texts into words and puts ids and pieces together.
 """
 
 from __future__ import annotations
 
 import base64
+import heapq
 from collections import Counter
 from collections.abc import Iterator
+from itertools import chain
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from calib.llm.encoding import LONGEST_KEPT, le32, space_chunks
+from calib.llm.encoding import le32, space_chunks
 from calib.llm.shared import materialize, plus
 
 #: Most words in the dictionary that is sent to the tasks, and most bytes of a word there.
 DICTIONARY, WORD_BYTES = 1_000_000, 64
-#: The two halves of the rank map: size, and factors of left and right id whose sum's remainder is a pair's place.
-_HALVES = ((150_001, 92_821, 68_917), (150_011, 31_337, 52_711))
-NO_RANK = 1 << 16
-#: Digests, ends of words and their bytes, ends of ids and ids (16 bits each).
-Known = tuple[np.ndarray, np.ndarray, bytes, np.ndarray, np.ndarray]
+#: Bits of an id; ids from MARK on stand for words whose ids are not known yet.
+ID_BITS = 21
+MARK = 1 << 31
+#: Words of more bytes are merged with a heap, because the fold copies a word with every merge.
+LONGEST_FOLDED = 400
+#: Distinct chunks of text that a task knows before it starts afresh.
+CHUNKS = 300_000
+#: Digests, ends of words and their bytes, ends of ids and ids (32 bits each).
+Known = tuple[np.ndarray, np.ndarray, bytes, np.ndarray, bytes]
 
 
 def read_ranks(path: str) -> dict[bytes, int]:
@@ -45,56 +52,91 @@ def pair_ranks(ranks: dict[bytes, int]) -> dict[tuple[int, int], int]:
     return out
 
 
-def place(a: int, b: int, side: int) -> int:
-    size, left, right = _HALVES[side]
-    return (a * left + b * right) % size + side * _HALVES[0][0]
+def rank_map(pairs: dict[tuple[int, int], int]) -> tuple[np.ndarray, np.ndarray]:
+    """(starts, table): the rank of (a, b) is in table[starts[a] + b], beside a + 1, which tells whether the entry is a's.
 
-
-def rank_map(pairs: dict[tuple[int, int], int]) -> list[int]:
-    """The pairs in an array with two places for each, so that two reads find a rank. An entry is left id, right id and rank, 16 bits each; 0 is empty."""
-    table = [0] * (_HALVES[0][0] + _HALVES[1][0])
-    for (a, b), r in pairs.items():
-        entry, side = (a << 16 | b) << 16 | r, 0
-        for _ in range(500):
-            at = place(entry >> 32, entry >> 16 & 0xFFFF, side)
-            entry, table[at] = table[at], entry
-            if not entry:
+    The rows of all left ids lie over one another, each shifted to the first place where its entries fall on free ones.
+    """
+    ab, rank = np.array(list(pairs), dtype=np.int64).reshape(-1, 2), np.array(list(pairs.values()), dtype=np.int64)
+    top = int(max(ab.max(initial=0), rank.max(initial=0), 255)) + 1
+    if top >> ID_BITS:
+        raise ValueError(f"ids of more than {ID_BITS} bits")
+    order = np.lexsort((ab[:, 1], ab[:, 0]))
+    ab, rank = ab[order], rank[order]
+    left, first, count = np.unique(ab[:, 0], return_index=True, return_counts=True)
+    starts, table = np.zeros(top, dtype=np.int64), np.zeros(2 * top + 2 * len(rank) + 4096, dtype=np.int64)
+    at, before = 0, 0
+    for k in np.argsort(-count, kind="stable").tolist():
+        n = int(count[k])
+        row = ab[first[k] : first[k] + n, 1]
+        if n != before:
+            at, before = 0, n  # rows of one size search on from where the last of them was put
+        while True:
+            if at + 2048 + top > len(table):
+                table = np.concatenate([table, np.zeros_like(table)])
+            free = np.arange(at, at + 2048)
+            for b in row[:4].tolist():
+                free = free[table[free + b] == 0]
+            free = free[(table[free[:, None] + row] == 0).all(axis=1)] if len(free) else free
+            if len(free):
+                at = int(free[0])
                 break
-            side = 0 if at >= _HALVES[0][0] else 1
-        else:
-            raise ValueError("too many pairs for the rank map")
-    return table
+            at += 2048
+        starts[left[k]] = at
+        table[at + row] = (left[k] + 1) << ID_BITS | rank[first[k] : first[k] + n]
+    return starts, table[: int(starts.max()) + top]
 
 
 def _rank_sql(a: str, b: str) -> str:
-    key = f"({a} * 65536L + {b})"
-    places = [f"t[cast(({a} * {x}L + {b} * {y}L) % {n} as int) + {k * _HALVES[0][0]}]" for k, (n, x, y) in enumerate(_HALVES)]
-    return "cast(coalesce(" + ", ".join(f"if(shiftright({p}, 16) = {key}, {p} & 65535L, null)" for p in places) + f", {NO_RANK}) as int)"
+    """A pair's rank, or a number of more bits."""
+    return f"(m.t[m.s[{a}] + {b}] ^ shiftleft({a} + 1, {ID_BITS}))"
 
 
 def fold_sql(ids: str) -> str:
-    """SQL for the ids of one word, from the ids of its bytes; t is the rank map."""
-    none = "cast(array() as array<int>)"
-    step = f"""transform(array(cast(array_position(s.rk, s.least) as int)), p -> named_struct(
-        'ids', concat(slice(s.ids, 1, p - 1), array(s.least), slice(s.ids, p + 2, size(s.ids))),
-        'rk', concat(slice(s.rk, 1, greatest(p - 2, 0)),
-                     if(p > 1, array({_rank_sql("s.ids[p - 2]", "s.least")}), {none}),
-                     if(p + 2 <= size(s.ids), array({_rank_sql("s.least", "s.ids[p + 1]")}), {none}),
-                     slice(s.rk, p + 2, size(s.rk)))))[0]"""
-    least = lambda x: f"transform(array({x}), v -> named_struct('ids', v.ids, 'rk', v.rk, 'least', coalesce(array_min(v.rk), {NO_RANK})))[0]"
-    start = f"named_struct('ids', {ids}, 'rk', if(size({ids}) < 2, {none}, zip_with(slice({ids}, 1, size({ids}) - 1), slice({ids}, 2, size({ids}) - 1), (a, b) -> {_rank_sql('a', 'b')})))"
-    return f"if(size({ids}) < 2, {ids}, aggregate(sequence(2, size({ids})), {least(start)}, (s, _) -> if(s.least < {NO_RANK}, {least(step)}, s), s -> s.ids))"
-
-
-def merged(words: str, ranks: dict[bytes, int], bytes_given: bool = False):
-    """Column: the ids of each word of an array column: binary words, or (bytes_given) arrays of their bytes' ids. The rank map is a literal that is read once a row."""
-    table = ",".join(map(str, rank_map(pair_ranks(ranks))))
-    byte = ",".join(str(ranks[bytes([b])]) for b in range(256))
-    lit = lambda xs, kind: f"cast(split('{xs}', ',') as array<{kind}>)"
+    """SQL for the ids of one word, from the ids of its bytes; m holds the rank map."""
+    ranks = f"transform(s, (x, i) -> {_rank_sql('x', 'get(s, i + 1)')})"
+    merge = "transform(array(cast(array_position(r, least) as int)), p -> concat(slice(s, 1, p - 1), array(least), slice(s, p + 2, size(s))))[0]"
+    step = f"transform(array({ranks}), r -> transform(array(array_min(r)), least -> if(least < {1 << ID_BITS}L, {merge}, s))[0])[0]"
+    return f"if(size({ids}) < 2, {ids}, aggregate(sequence(2, size({ids})), {ids}, (s, _) -> {step}))"
+
+
+def merged(words: str, ranks: dict[bytes, int], maps: tuple[np.ndarray, np.ndarray], bytes_given: bool = False):
+    """Column: the ids of each word of an array column: binary words, or (bytes_given) arrays of their bytes' ids. The rank map is a literal."""
+    starts, table = maps
+    lit = lambda xs: f"cast(split('{','.join(map(str, xs))}', ',') as array<bigint>)"
     if not bytes_given:
-        cut = "if(length(x) = 0, cast(array() as array<int>), transform(sequence(1, length(x)), i -> m.b[cast(conv(hex(substring(x, i, 1)), 16, 10) as int)]))"
+        cut = "if(length(x) = 0, cast(array() as array<bigint>), transform(sequence(1, length(x)), i -> m.b[cast(conv(hex(substring(x, i, 1)), 16, 10) as int)]))"
         words = f"transform({words}, x -> {cut})"
-    return F.expr(f"transform(array(named_struct('t', {lit(table, 'bigint')}, 'b', {lit(byte, 'int')})), m -> transform({words}, w -> {fold_sql('w').replace('t[', 'm.t[')}))[0]")
+    literal = f"named_struct('t', {lit(table.tolist())}, 's', {lit(starts.tolist())}, 'b', {lit(ranks[bytes([b])] for b in range(256))})"
+    return F.expr(f"transform(array({literal}), m -> transform({words}, w -> {fold_sql('w')}))[0]")
+
+
+def heap_merged(word: bytes, byte_rank: np.ndarray, starts: np.ndarray, table: np.ndarray) -> bytes:
+    """The ids of one very long word, by the same merges in the same order."""
+    ids = byte_rank[np.frombuffer(word, np.uint8)].tolist()
+    n = len(ids)
+    before, after = list(range(-1, n - 1)), list(range(1, n + 1))
+
+    def rank(a: int, b: int) -> int:
+        return int(table[starts[a] + b]) ^ (a + 1) << ID_BITS
+
+    x = np.array(ids, dtype=np.int64)
+    found = table[starts[x[:-1]] + x[1:]] ^ (x[:-1] + 1) << ID_BITS
+    heap = [(r, i) for i, r in enumerate(found.tolist()) if r < 1 << ID_BITS]
+    heapq.heapify(heap)
+    while heap:
+        r, i = heapq.heappop(heap)
+        j = after[i] if ids[i] >= 0 else n
+        if j >= n or rank(ids[i], ids[j]) != r:
+            continue  # one of the two has been merged meanwhile
+        ids[i], ids[j], after[i] = r, -1, after[j]
+        if after[i] < n:
+            before[after[i]] = i
+            if (up := rank(r, ids[after[i]])) < 1 << ID_BITS:
+                heapq.heappush(heap, (up, i))
+        if before[i] >= 0 and (up := rank(ids[before[i]], r)) < 1 << ID_BITS:
+            heapq.heappush(heap, (up, before[i]))
+    return le32([v for v in ids if v >= 0])
 
 
 def _splitter(pattern: str):
@@ -103,6 +145,11 @@ def _splitter(pattern: str):
     return regex.compile(pattern).findall
 
 
+def words_of_chunk(split, chunk: str) -> list[str]:
+    """The words of a chunk that a space precedes. Plain letters are one word, as the splitting pattern has it."""
+    return [" " + chunk] if chunk.isascii() and chunk.isalpha() else split(" " + chunk)
+
+
 def word_counts(docs: DataFrame, pattern: str) -> DataFrame:
     """(word, n) over all texts; n is partial where a task gives a word again."""
 
@@ -110,11 +157,11 @@ def word_counts(docs: DataFrame, pattern: str) -> DataFrame:
         split, chunks, first = _splitter(pattern), Counter(), Counter()
 
         def flush() -> pa.RecordBatch:
-            words = Counter()
-            for sep, held in ((" ", chunks), ("", first)):
+            words: dict[str, int] = {}
+            for held, cut in ((chunks, words_of_chunk), (first, lambda split, c: split(c))):
                 for c, n in held.items():
-                    for w in split(sep + c):
-                        words[w] += n
+                    for w in cut(split, c):
+                        words[w] = words.get(w, 0) + n
                 held.clear()
             return pa.RecordBatch.from_arrays([pa.array(list(words), pa.string()), pa.array(list(words.values()), pa.int64())], names=["word", "n"])
 
@@ -131,7 +178,7 @@ def word_counts(docs: DataFrame, pattern: str) -> DataFrame:
     return docs.select(F.col("text").cast("string")).mapInArrow(run, "word string, n long")
 
 
-def dictionary(docs: DataFrame, pattern: str, ranks: dict[bytes, int], limit: int = DICTIONARY) -> Known:
+def dictionary(docs: DataFrame, pattern: str, ranks: dict[bytes, int], maps: tuple[np.ndarray, np.ndarray], limit: int = DICTIONARY) -> Known:
     """The most frequent words, at most `limit`, and the ids of each. Which counts make the limit is read off a histogram."""
     counts = word_counts(docs, pattern).groupBy("word").agg(F.sum("n").alias("n")).where(F.expr(f"n > 1 AND octet_length(word) <= {WORD_BYTES}"))
     counts = materialize(counts, "words")
@@ -143,26 +190,22 @@ def dictionary(docs: DataFrame, pattern: str, ranks: dict[bytes, int], limit: in
             break
         least = r["step"]
     if least is None:
-        return np.zeros(0, np.uint64), np.zeros(1, np.int64), b"", np.zeros(1, np.int64), np.zeros(0, "<u2")
+        return np.zeros(0, np.uint64), np.zeros(1, np.int64), b"", np.zeros(1, np.int64), b""
     words = counts.where(step >= least).select(F.encode("word", "UTF-8").alias("word"))
-    return packed(words.withColumn("ids", merged("array(word)", ranks)[0]).toArrow())
+    return packed(words.withColumn("ids", merged("array(word)", ranks, maps)[0]).toArrow())
 
 
 def packed(found: pa.Table) -> Known:
     """A dictionary in arrays that are sorted by digest; it takes a few dozen bytes a word."""
     import xxhash
 
-    keys, order_words, order_ids, word_at, ids_at = np.zeros(found.num_rows, np.uint64), [], [], [0], [0]
-    words = found.column("word").to_pylist()
-    keys[:] = [xxhash.xxh64_intdigest(w) for w in words]
-    order = np.argsort(keys, kind="stable")
-    ids = found.column("ids").combine_chunks()
-    flat, at = ids.values.to_numpy(zero_copy_only=False).astype("<u2"), ids.offsets.to_numpy()
-    word_at = np.concatenate(([0], np.cumsum([len(words[i]) for i in order])))
-    sizes = np.diff(at)[order]
-    ids_at = np.concatenate(([0], np.cumsum(sizes)))
-    places = np.repeat(at[:-1][order] - ids_at[:-1], sizes) + np.arange(ids_at[-1])
-    return keys[order], word_at.astype(np.int64), b"".join(words[i] for i in order), ids_at.astype(np.int64), flat[places]
+    words = found.column("word").combine_chunks()
+    keys = np.fromiter((xxhash.xxh64_intdigest(w.as_buffer()) for w in words), np.uint64, len(words))
+    order = pa.array(np.argsort(keys, kind="stable"))
+    words, ids = words.take(order), found.column("ids").combine_chunks().take(order)
+    word_at = np.concatenate(([0], np.cumsum(pc.binary_length(words).to_numpy())))
+    ids_at = np.concatenate(([0], np.cumsum(ids.value_lengths().to_numpy())))
+    return keys[order.to_numpy()], word_at.astype(np.int64), b"".join(words.to_pylist()), ids_at.astype(np.int64), ids.flatten().to_numpy(zero_copy_only=False).astype("<u4").tobytes()
 
 
 def look_up(known: Known, words: list[bytes]) -> list[bytes | None]:
@@ -172,92 +215,174 @@ def look_up(known: Known, words: list[bytes]) -> list[bytes | None]:
     keys, word_at, text, ids_at, ids = known
     if not len(keys) or not words:
         return [None] * len(words)
-    sought = np.array([xxhash.xxh64_intdigest(w) for w in words], dtype=np.uint64)
+    sought = np.fromiter(map(xxhash.xxh64_intdigest, words), np.uint64, len(words))
     at = np.minimum(np.searchsorted(keys, sought), len(keys) - 1)
-    a, b, c, d = word_at[at].tolist(), word_at[at + 1].tolist(), ids_at[at].tolist(), ids_at[at + 1].tolist()
-    return [ids[c[i] : d[i]].astype("<u4").tobytes() if text[a[i] : b[i]] == w else None for i, w in enumerate(words)]
+    places = (word_at[at].tolist(), word_at[at + 1].tolist(), (4 * ids_at[at]).tolist(), (4 * ids_at[at + 1]).tolist())
+    return [ids[c:d] if text[a:b] == w else None for w, a, b, c, d in zip(words, *places)]
+
+
+class Chunks:
+    """What a task knows of its chunks of text: the number of each, in the order in which they came."""
+
+    def __init__(self, split, known: Known, merge_long):
+        self.split, self.known, self.merge_long = split, known, merge_long
+        self.forget()
+
+    def forget(self) -> None:
+        self.after: dict[str, int] = {}  # chunks that a space precedes
+        self.first: dict[str, int] = {}
+        self.ids: dict[str, bytes] = {}  # of words; a mark for one that is still to be merged
+        self.marks = 0
+
+    def learn(self, after: list[str], first: list[str]) -> tuple[list[bytes], list[bytes]]:
+        """Numbers chunks that are new. Their ids, with marks, and the words to be merged for the new marks, in order."""
+        cut = [words_of_chunk(self.split, c) for c in after] + [self.split(c) for c in first]
+        new = [w for w in dict.fromkeys(chain.from_iterable(cut)) if w not in self.ids]
+        raw, rare = [w.encode() for w in new], []
+        for w, x, found in zip(new, raw, look_up(self.known, raw)):
+            if found is None and len(x) > LONGEST_FOLDED:
+                found = self.merge_long(x)
+            if found is None:
+                found = le32([MARK + self.marks])
+                self.marks += 1
+                rare.append(x)
+            self.ids[w] = found
+        n = len(self.after) + len(self.first)
+        self.after.update(zip(after, range(n, n + len(after))))
+        self.first.update(zip(first, range(n + len(after), n + len(cut))))
+        return [self.ids[ws[0]] if len(ws) == 1 else b"".join(map(self.ids.__getitem__, ws)) for ws in cut], rare
+
+
+_TASK = "doc_id long, chunks binary, news boolean, afresh boolean, sizes binary, ids binary, rare array<array<long>>"
 
 
 def encode(docs: DataFrame, pattern: str, ranks: dict[bytes, int], decoded: bool = False) -> DataFrame:
     """doc_id and ids (little-endian unsigned 32-bit) of every whole text; null and empty texts have none. decoded: also what decode() would give, in the same pass.
 
-    Other columns are not read, and repeated rows are encoded one by one. A word of many thousand bytes costs
-    the square of its length.
+    A task turns each text into numbers of chunks, and before a number's first use sends a row of news: the
+    chunk's ids, as far as known, and words to be merged. The fold runs over the news, and the task's second
+    half puts ids in place of numbers. Other columns are not read, and repeated rows are encoded one by one.
+    Words of more than LONGEST_FOLDED bytes are merged with a heap, in time that grows little faster than they.
     """
-    sent = docs.sparkSession.sparkContext.broadcast(dictionary(docs, pattern, ranks))
-    byte_rank = [ranks[bytes([b])] for b in range(256)]
+    sc = docs.sparkSession.sparkContext
+    maps = rank_map(pair_ranks(ranks))
+    byte_rank = np.array([ranks[bytes([b])] for b in range(256)], dtype=np.int64)
+    sent, sent_maps = sc.broadcast(dictionary(docs, pattern, ranks, maps)), sc.broadcast(maps)
 
     def assemble(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        split, known = _splitter(pattern), sent.value
-        kept: dict[str, list] = {}  # chunk with its space: ids, or words of which some are rare
-
-        def learn(chunks: list[str]) -> None:
-            """Finds chunks that are new to this task: joined ids if the dictionary has all their words, else ids or word for each."""
-            words = [[w.encode() for w in split(c)] for c in chunks]
-            flat = list(dict.fromkeys(w for ws in words for w in ws))
-            found = dict(zip(flat, look_up(known, flat)))
-            for c, ws in zip(chunks, words):
-                parts = [found[w] for w in ws]
-                kept[c] = b"".join(parts) if None not in parts else [w if p is None else p for w, p in zip(ws, parts)], None in parts and [p is None for p in parts]
-
+        task = Chunks(_splitter(pattern), sent.value, lambda w: heap_merged(w, byte_rank, *sent_maps.value))
+        afresh = False
         for batch in batches:
-            for at in range(0, batch.num_rows, 128):
-                b, out, unknown = batch.slice(at, 128), [], []
-                texts = []
-                for text in b.column("text").to_pylist():
-                    parts = space_chunks(text) if text else []
-                    texts.append(parts[:1] + [" " + c for c in parts[1:]])
-                if len(kept) > 200_000:
-                    kept.clear()
-                learn([c for c in dict.fromkeys(c for parts in texts for c in parts) if c not in kept])
+            for at in range(0, batch.num_rows, 256):
+                b = batch.slice(at, 256)
+                texts = [space_chunks(t) if t else [] for t in b.column("text").to_pylist()]
+                first = [parts[0] for parts in texts if parts]
                 for parts in texts:
-                    rare: dict[bytes, int] = {}
-                    ids = []
-                    for c in parts:
-                        x, missing = kept[c]
-                        if missing:
-                            ids += [le32([0xFFFFFFFF - rare.setdefault(w, len(rare))]) if m else w for w, m in zip(x, missing)]
-                        else:
-                            ids.append(x)
-                    out.append(b"".join(ids))
-                    unknown.append([[byte_rank[v] for v in w] for w in rare])
-                for c in [c for parts in texts for c in parts if len(c) > LONGEST_KEPT]:
-                    kept.pop(c, None)
-                yield pa.RecordBatch.from_arrays([b.column("doc_id"), pa.array(out, pa.binary()), pa.array(unknown, pa.list_(pa.list_(pa.int32())))], names=["doc_id", "ids", "rare"])
+                    del parts[:1]
+                if len(task.after) > CHUNKS:
+                    task.forget()
+                    afresh = True
+                new = set()
+                for parts in texts:
+                    new.update(parts)
+                ids, rare = task.learn([c for c in new if c not in task.after], [c for c in dict.fromkeys(first) if c not in task.first])
+                heads, number, codes = iter(first), task.after.__getitem__, []
+                for parts, text in zip(texts, b.column("text").to_pylist()):
+                    codes.append(np.fromiter(chain((task.first[next(heads)],), map(number, parts)), np.int32, 1 + len(parts)).tobytes() if text else b"")
+                flat = byte_rank[np.frombuffer(b"".join(rare), np.uint8)]
+                ends = np.cumsum([0, *map(len, rare)])
+                words = pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(flat, pa.int64()))
+                words = pa.ListArray.from_arrays(pa.array([0, len(rare), *[len(rare)] * b.num_rows], pa.int32()), words)
+                n = b.num_rows
+                yield pa.RecordBatch.from_arrays(
+                    [
+                        pa.concat_arrays([pa.nulls(1, pa.int64()), b.column("doc_id")]), pa.array([b"", *codes], pa.binary()), pa.array([True] + [False] * n), pa.array([afresh] + [False] * n),
+                        pa.array([np.array([len(x) // 4 for x in ids], np.int32).tobytes()] + [b""] * n, pa.binary()), pa.array([b"".join(ids)] + [b""] * n, pa.binary()), words,
+                    ],
+                    names=["doc_id", "chunks", "news", "afresh", "sizes", "ids", "rare"],
+                )
+                afresh = False
 
     pieces = [t for t, _ in sorted(ranks.items(), key=lambda x: x[1])] if decoded else []
     schema = "doc_id long, ids binary" + ", decoded binary" * decoded
 
     def complete(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        known = Grown()
         for batch in batches:
-            for at in range(0, batch.num_rows, 512):
-                b = batch.slice(at, 512)
-                out = [patch(ids, rare) if rare else ids for ids, rare in zip(b.column("ids").to_pylist(), b.column("rare").to_pylist())]
-                more = [pa.array([joined(pieces, ids) for ids in out], pa.binary())] if decoded else []
-                yield pa.RecordBatch.from_arrays([b.column("doc_id"), pa.array(out, pa.binary()), *more], names=["doc_id", "ids", "decoded"][: 2 + decoded])
-
-    rows = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(assemble, "doc_id long, ids binary, rare array<array<int>>")
-    rows = rows.select("doc_id", "ids", merged("rare", ranks, bytes_given=True).alias("rare"))
+            news = np.flatnonzero(batch.column("news").to_numpy(zero_copy_only=False)).tolist()
+            if not news or news[0]:
+                yield finished(batch.slice(0, news[0] if news else batch.num_rows), known)
+            for at, end in zip(news, [*news[1:], batch.num_rows]):
+                known.add(batch.slice(at, 1))
+                if end > at + 1:
+                    yield finished(batch.slice(at + 1, end - at - 1), known)
+
+    def finished(b: pa.RecordBatch, known: Grown) -> pa.RecordBatch:
+        ids = [known.ids_of(np.frombuffer(c, np.int32)) for c in b.column("chunks").to_pylist()]
+        more = [pa.array([b"".join(map(pieces.__getitem__, x.tolist())) for x in ids], pa.binary())] if decoded else []
+        return pa.RecordBatch.from_arrays([b.column("doc_id"), pa.array([x.tobytes() for x in ids], pa.binary()), *more], names=["doc_id", "ids", "decoded"][: 2 + decoded])
+
+    rows = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(assemble, _TASK)
+    rows = rows.withColumn("rare", merged("rare", ranks, maps, bytes_given=True))
     return rows.mapInArrow(complete, schema)
 
 
+class Grown:
+    """The ids of a task's chunks by their numbers, as its news come in."""
+
+    def __init__(self):
+        self.forget()
+
+    def forget(self) -> None:
+        self.rare, self.rare_at = np.zeros(0, "<u4"), np.zeros(1, np.int64)
+        self.flat, self.start, self.size, self.n, self.used = np.zeros(1 << 16, "<u4"), np.zeros(1 << 14, np.int64), np.zeros(1 << 14, np.int64), 0, 0
+
+    def add(self, row: pa.RecordBatch) -> None:
+        if row.column("afresh")[0].as_py():
+            self.forget()
+        words = row.column("rare").flatten()
+        if len(words):
+            ends = self.rare_at[-1] + np.cumsum(words.value_lengths().to_numpy())
+            self.rare, self.rare_at = np.concatenate([self.rare, words.flatten().to_numpy(zero_copy_only=False).astype("<u4")]), np.concatenate([self.rare_at, ends])
+        size = np.frombuffer(row.column("sizes")[0].as_py(), np.int32).astype(np.int64)
+        ids = np.frombuffer(row.column("ids")[0].as_py(), "<u4")
+        marks = np.flatnonzero(ids >= MARK)
+        if len(marks):
+            k = ids[marks].astype(np.int64) - MARK
+            long = self.rare_at[k + 1] - self.rare_at[k]
+            each = np.ones(len(ids), np.int64)
+            each[marks] = long
+            owner = np.repeat(np.arange(len(size)), size)
+            size = np.bincount(owner, each, len(size)).astype(np.int64)
+            out = np.repeat(ids, each)
+            ends = np.cumsum(each)[marks]
+            out[spread(ends - long, long)] = self.rare[spread(self.rare_at[k], long)]
+            ids = out
+        self.flat, self.start, self.size = _room(self.flat, self.used + len(ids)), _room(self.start, self.n + len(size)), _room(self.size, self.n + len(size))
+        self.flat[self.used : self.used + len(ids)] = ids
+        self.start[self.n : self.n + len(size)] = self.used + np.cumsum(size) - size
+        self.size[self.n : self.n + len(size)] = size
+        self.n, self.used = self.n + len(size), self.used + len(ids)
+
+    def ids_of(self, chunks: np.ndarray) -> np.ndarray:
+        return self.flat[spread(self.start[chunks], self.size[chunks])]
+
+
+def _room(x: np.ndarray, n: int) -> np.ndarray:
+    return x if n <= len(x) else np.concatenate([x, np.zeros(max(n, 2 * len(x)) - len(x), x.dtype)])
+
+
+def spread(start: np.ndarray, size: np.ndarray) -> np.ndarray:
+    """start, start + 1, .. for each run, one after the other."""
+    ends = np.cumsum(size)
+    return np.repeat(start - ends + size, size) + np.arange(int(ends[-1]) if len(ends) else 0)
+
+
 def joined(pieces: list[bytes], ids: bytes) -> bytes:
     """The bytes that ids stand for."""
     return b"".join(map(pieces.__getitem__, np.frombuffer(ids, dtype="<u4").tolist()))
 
 
-def patch(ids: bytes, rare: list[list[int]]) -> bytes:
-    """ids with every placeholder replaced by the ids of its word."""
-    x = np.frombuffer(ids, dtype="<u4")
-    spots = np.flatnonzero(x >= 0xFF000000)
-    pieces, at = [], 0
-    words = [le32(w) for w in rare]
-    for s, k in zip(spots.tolist(), (0xFFFFFFFF - x[spots]).tolist()):
-        pieces += (ids[4 * at : 4 * s], words[k])
-        at = s + 1
-    return b"".join(pieces) + ids[4 * at :]
-
-
 def decode(rows: DataFrame, ranks: dict[bytes, int]) -> DataFrame:
     """Adds `decoded`, the joined bytes of the pieces, to rows with ids."""
     sent = rows.sparkSession.sparkContext.broadcast([t for t, _ in sorted(ranks.items(), key=lambda x: x[1])])
@@ -273,5 +398,3 @@ def decode(rows: DataFrame, ranks: dict[bytes, int]) -> DataFrame:
 def digests(rows: DataFrame) -> DataFrame:
     """doc_id, n_tokens, ids_sha256 and decoded_sha256 of encoded and decoded rows."""
     return rows.select("doc_id", (F.octet_length("ids") / 4).cast("long").alias("n_tokens"), F.sha2("ids", 256).alias("ids_sha256"), F.sha2("decoded", 256).alias("decoded_sha256"))
-
-

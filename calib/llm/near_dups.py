@@ -29,8 +29,8 @@ AGREE = 70
 LEADS, EDGES = 8, 200_000
 #: Set elements and members of a block; a bucket is compared by pairs of blocks.
 BLOCK_ELEMENTS, BLOCK_MEMBERS = 1 << 20, 2048
-#: Ids that may be broadcast.
-BROADCAST_IDS = 2_000_000
+#: Ids that may be broadcast, and classes of very many copies.
+BROADCAST_IDS, HEAVY = 2_000_000, 100_000
 #: Text bytes that are hashed together.
 BLOCK = 1 << 20
 #: Set elements that are signed together.
@@ -269,8 +269,8 @@ def near_duplicates(docs: DataFrame) -> DataFrame:
     """
     found = materialize(signatures(docs), "signatures")
     usable = found.where("n_shingles > 0 AND doc_id IS NOT NULL")
-    least = usable.groupBy("digest").agg(F.min(F.struct("doc_id", "bands", "n_shingles")).alias("x"))
-    reps = materialize(least.select("digest", F.col("x.doc_id").alias("rep"), F.col("x.bands").alias("bands"), F.col("x.n_shingles").alias("n")), "classes")
+    least = usable.groupBy("digest").agg(F.min(F.struct("doc_id", "bands", "n_shingles")).alias("x"), F.count("*").alias("copies"))
+    reps = materialize(least.select("digest", F.col("x.doc_id").alias("rep"), F.col("x.bands").alias("bands"), F.col("x.n_shingles").alias("n"), "copies"), "classes")
     buckets = reps.select("rep", "n", F.posexplode("bands").alias("band", "value")).select(F.xxhash64("band", "value").alias("key"), "band", "rep", "n")
     shared = buckets.groupBy("key").agg(F.min("rep").alias("lo"), F.max("rep").alias("hi")).where("lo < hi")
     members = materialize(buckets.join(shared, "key"), "members")
@@ -281,9 +281,13 @@ def near_duplicates(docs: DataFrame) -> DataFrame:
     if not more.isEmpty():
         groups = components(links.union(more))
     moved = reps.join(groups, reps.rep == groups.node).where("component <> rep").select("digest", F.col("component").alias("component_id"))
-    first = reps.select("digest", "rep").join(moved, "digest", "left").select("digest", F.coalesce("component_id", "rep").alias("component_id"))
-    linked = found.where("digest IS NOT NULL").select("doc_id", "n_shingles", "digest").join(first, "digest", "left")
-    out = linked.drop("digest").union(found.where("digest IS NULL").select("doc_id", "n_shingles", F.lit(None).cast("long")))
+    first = reps.select("digest", "rep", "copies").join(moved, "digest", "left").select("digest", F.coalesce("component_id", "rep").alias("component_id"), "copies")
+    first = materialize(first, "firsts")
+    # classes of very many copies, of which there are HEAVY at most, are broadcast
+    heavy = F.col("copies") > max(1000, found.count() // HEAVY)
+    rows = found.select("doc_id", "n_shingles", "digest").join(F.broadcast(first.where(heavy).select("digest", F.col("component_id").alias("heavy"))), "digest", "left")
+    rest = rows.where("heavy IS NULL AND digest IS NOT NULL").join(first.where(~heavy).select("digest", "component_id"), "digest", "left")
+    out = rest.select("doc_id", "n_shingles", "component_id").union(rows.where("heavy IS NOT NULL OR digest IS NULL").select("doc_id", "n_shingles", F.col("heavy")))
     own = F.coalesce("component_id", "doc_id")
     return out.select("doc_id", "n_shingles", F.when(F.col("doc_id").isNotNull(), own).alias("component_id"), F.coalesce(F.col("doc_id") == own, F.lit(False)).alias("kept"))
 

@@ -241,11 +241,45 @@ def test_bpe(spark, docs, none, ranks):
     assert bpe_fold.encode(none, P.PATTERN, ranks).count() == 0
 
 
+def own_tiktoken(ranks):
+    import tiktoken
+
+    return tiktoken.Encoding("own", pat_str=P.PATTERN, mergeable_ranks=ranks, special_tokens={})
+
+
+def test_bpe_query_on_all_documents(spark, sf, corpus, ranks, monkeypatch):
+    """The registered query against the library; once more with tasks that forget and a dictionary of few words."""
+    t = own_tiktoken(ranks)
+    want = {}
+    for i, x in corpus:
+        ids = np.array(t.encode_ordinary(x or ""), "<u4")
+        want[i] = (len(ids), hashlib.sha256(ids.tobytes()).hexdigest(), hashlib.sha256((x or "").encode()).hexdigest())
+    for chunks in (bpe_fold.CHUNKS, 500):
+        monkeypatch.setattr(bpe_fold, "CHUNKS", chunks)
+        got = queries.op6_byte_bpe(spark, sf).collect()
+        assert {r.doc_id: (r.n_tokens, r.ids_sha256, r.decoded_sha256) for r in got} == want and len(got) == len(corpus)
+
+
+def test_bpe_of_very_long_words(spark, ranks):
+    t, r = own_tiktoken(ranks), np.random.default_rng(2)
+    long = "".join(chr(97 + k) for k in r.integers(0, 26, 1_000_000))
+    texts = ["a" + long, "x" * 5000, "日本" * 300, " ".join([long[:401], long[:400], long[:399]])]
+    rows = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    got = {x.doc_id: bytes(x.ids) for x in bpe_fold.encode(rows, P.PATTERN, ranks).collect()}
+    for k in (1, 2, 3):
+        assert got[k] == np.array(t.encode_ordinary(texts[k]), "<u4").tobytes()
+    ids = np.frombuffer(got[0], "<u4").tolist()
+    assert t.decode(ids) == texts[0] and got[0] == np.array(t.encode_ordinary(texts[0]), "<u4").tobytes()
+
+
 def test_rank_map_finds_every_pair(ranks):
     pairs = bpe_fold.pair_ranks(ranks)
-    table = bpe_fold.rank_map(pairs)
-    for (a, b), r in list(pairs.items())[::97]:
-        assert (a << 16 | b) << 16 | r in (table[bpe_fold.place(a, b, 0)], table[bpe_fold.place(a, b, 1)])
+    starts, table = bpe_fold.rank_map(pairs)
+    find = lambda a, b: int(table[starts[a] + b]) ^ (a + 1) << bpe_fold.ID_BITS
+    assert all(find(a, b) == r for (a, b), r in pairs.items())
+    r = np.random.default_rng(1).integers(0, len(ranks), (20_000, 2)).tolist()
+    assert all(find(a, b) >> bpe_fold.ID_BITS for a, b in r if (a, b) not in pairs)
+    assert starts.max() + len(ranks) <= len(table)
 
 
 @settings(max_examples=150, deadline=None)
