@@ -30,8 +30,10 @@ ID_BITS = 21
 MARK = 1 << 31
 #: Words of more bytes are merged with a heap, because the fold copies a word with every merge.
 LONGEST_FOLDED = 400
+#: Ids that are decoded together.
+PIECES = 1 << 18
 #: Distinct chunks of text that a task knows before it starts afresh.
-CHUNKS = 300_000
+CHUNKS = 150_000
 #: Digests, ends of words and their bytes, ends of ids and ids (32 bits each).
 Known = tuple[np.ndarray, np.ndarray, bytes, np.ndarray, bytes]
 
@@ -171,7 +173,7 @@ def word_counts(docs: DataFrame, pattern: str) -> DataFrame:
                     parts = space_chunks(text)
                     first[parts[0]] += 1
                     chunks.update(parts[1:])
-                if len(chunks) > 400_000:
+                if len(chunks) > CHUNKS:
                     yield flush()
         yield flush()
 
@@ -221,6 +223,19 @@ def look_up(known: Known, words: list[bytes]) -> list[bytes | None]:
     return [ids[c:d] if text[a:b] == w else None for w, a, b, c, d in zip(words, *places)]
 
 
+class Numbers(dict):
+    """Numbers for chunks as they come up; `new` has those since it was emptied. Two of them may share it and count on from each other."""
+
+    def __init__(self, new: list[str], total: list[int]):
+        self.new, self.total = new, total
+
+    def __missing__(self, chunk: str) -> int:
+        n = self[chunk] = self.total[0]
+        self.total[0] += 1
+        self.new.append(chunk)
+        return n
+
+
 class Chunks:
     """What a task knows of its chunks of text: the number of each, in the order in which they came."""
 
@@ -229,15 +244,14 @@ class Chunks:
         self.forget()
 
     def forget(self) -> None:
-        self.after: dict[str, int] = {}  # chunks that a space precedes
-        self.first: dict[str, int] = {}
+        self.total, self.marks = [0], 0
+        self.after, self.first = Numbers([], self.total), Numbers([], self.total)  # by whether a space precedes a chunk
         self.ids: dict[str, bytes] = {}  # of words; a mark for one that is still to be merged
-        self.marks = 0
 
-    def learn(self, after: list[str], first: list[str]) -> tuple[list[bytes], list[bytes]]:
-        """Numbers chunks that are new. Their ids, with marks, and the words to be merged for the new marks, in order."""
-        cut = [words_of_chunk(self.split, c) for c in after] + [self.split(c) for c in first]
-        new = [w for w in dict.fromkeys(chain.from_iterable(cut)) if w not in self.ids]
+    def learn(self, first: list[str], after: list[str]) -> tuple[list[bytes], list[bytes]]:
+        """For new chunks, in the order of their numbers: ids, with marks, and the words to be merged for the new marks."""
+        cut = [self.split(c) for c in first] + [words_of_chunk(self.split, c) for c in after]
+        new = list(set(chain.from_iterable(cut)).difference(self.ids))
         raw, rare = [w.encode() for w in new], []
         for w, x, found in zip(new, raw, look_up(self.known, raw)):
             if found is None and len(x) > LONGEST_FOLDED:
@@ -247,9 +261,6 @@ class Chunks:
                 self.marks += 1
                 rare.append(x)
             self.ids[w] = found
-        n = len(self.after) + len(self.first)
-        self.after.update(zip(after, range(n, n + len(after))))
-        self.first.update(zip(first, range(n + len(after), n + len(cut))))
         return [self.ids[ws[0]] if len(ws) == 1 else b"".join(map(self.ids.__getitem__, ws)) for ws in cut], rare
 
 
@@ -275,20 +286,18 @@ def encode(docs: DataFrame, pattern: str, ranks: dict[bytes, int], decoded: bool
         for batch in batches:
             for at in range(0, batch.num_rows, 256):
                 b = batch.slice(at, 256)
-                texts = [space_chunks(t) if t else [] for t in b.column("text").to_pylist()]
-                first = [parts[0] for parts in texts if parts]
-                for parts in texts:
-                    del parts[:1]
-                if len(task.after) > CHUNKS:
+                if task.total[0] > CHUNKS:
                     task.forget()
                     afresh = True
-                new = set()
-                for parts in texts:
-                    new.update(parts)
-                ids, rare = task.learn([c for c in new if c not in task.after], [c for c in dict.fromkeys(first) if c not in task.first])
-                heads, number, codes = iter(first), task.after.__getitem__, []
-                for parts, text in zip(texts, b.column("text").to_pylist()):
-                    codes.append(np.fromiter(chain((task.first[next(heads)],), map(number, parts)), np.int32, 1 + len(parts)).tobytes() if text else b"")
+                texts = [space_chunks(t) if t else [] for t in b.column("text").to_pylist()]
+                heads = [task.first[parts[0]] if parts else -1 for parts in texts]  # these first, so that the new ones have the first numbers
+                number, codes = task.after.__getitem__, []
+                for head, parts in zip(heads, texts):
+                    code = np.fromiter(map(number, parts[1:]), np.int32, len(parts) - 1) if parts else np.zeros(0, np.int32)
+                    codes.append(head.to_bytes(4, "little") + code.tobytes() if parts else b"")
+                ids, rare = task.learn(task.first.new, task.after.new)
+                task.first.new.clear()
+                task.after.new.clear()
                 flat = byte_rank[np.frombuffer(b"".join(rare), np.uint8)]
                 ends = np.cumsum([0, *map(len, rare)])
                 words = pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(flat, pa.int64()))
@@ -303,24 +312,25 @@ def encode(docs: DataFrame, pattern: str, ranks: dict[bytes, int], decoded: bool
                 )
                 afresh = False
 
-    pieces = [t for t, _ in sorted(ranks.items(), key=lambda x: x[1])] if decoded else []
+    pieces = Pieces(ranks) if decoded else None
     schema = "doc_id long, ids binary" + ", decoded binary" * decoded
 
     def complete(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         known = Grown()
         for batch in batches:
             news = np.flatnonzero(batch.column("news").to_numpy(zero_copy_only=False)).tolist()
-            if not news or news[0]:
-                yield finished(batch.slice(0, news[0] if news else batch.num_rows), known)
-            for at, end in zip(news, [*news[1:], batch.num_rows]):
-                known.add(batch.slice(at, 1))
-                if end > at + 1:
-                    yield finished(batch.slice(at + 1, end - at - 1), known)
+            for at, end in zip([0, *news], [*news, batch.num_rows]):
+                if at in news:
+                    known.add(batch.slice(at, 1))
+                    at += 1
+                if end > at:
+                    yield finished(batch.slice(at, end - at), known)
 
     def finished(b: pa.RecordBatch, known: Grown) -> pa.RecordBatch:
-        ids = [known.ids_of(np.frombuffer(c, np.int32)) for c in b.column("chunks").to_pylist()]
-        more = [pa.array([b"".join(map(pieces.__getitem__, x.tolist())) for x in ids], pa.binary())] if decoded else []
-        return pa.RecordBatch.from_arrays([b.column("doc_id"), pa.array([x.tobytes() for x in ids], pa.binary()), *more], names=["doc_id", "ids", "decoded"][: 2 + decoded])
+        codes, ends = _flat(b.column("chunks"))
+        ids, ends = known.ids_of(codes.view(np.int32), ends // 4)
+        more = [pieces.joined(ids, ends)] if decoded else []
+        return pa.RecordBatch.from_arrays([b.column("doc_id"), _binary(ids, 4 * ends), *more], names=["doc_id", "ids", "decoded"][: 2 + decoded])
 
     rows = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(assemble, _TASK)
     rows = rows.withColumn("rare", merged("rare", ranks, maps, bytes_given=True))
@@ -364,8 +374,33 @@ class Grown:
         self.size[self.n : self.n + len(size)] = size
         self.n, self.used = self.n + len(size), self.used + len(ids)
 
-    def ids_of(self, chunks: np.ndarray) -> np.ndarray:
-        return self.flat[spread(self.start[chunks], self.size[chunks])]
+    def ids_of(self, chunks: np.ndarray, ends: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """The ids of texts by their chunks, and where each text's end; ends: where its chunks do, with 0 in front."""
+        size = self.size[chunks]
+        return self.flat[spread(self.start[chunks], size)], np.concatenate(([0], np.cumsum(size)))[ends]
+
+
+class Pieces:
+    """The binary piece of every id, end to end."""
+
+    def __init__(self, ranks: dict[bytes, int]):
+        pieces = [b""] * (max(ranks.values(), default=-1) + 1)
+        for t, r in ranks.items():
+            pieces[r] = t
+        self.bytes = np.frombuffer(b"".join(pieces), np.uint8)
+        self.size = np.array(list(map(len, pieces)), np.int64)
+        self.start = np.cumsum(self.size) - self.size
+
+    def joined(self, ids: np.ndarray, ends: np.ndarray) -> pa.Array:
+        """The bytes that ids stand for, of all texts; ends: where each text's ids end, with 0 in front. Texts are taken together up to some size."""
+        out, a = [], 0
+        while a < len(ends) - 1:
+            b = max(a + 1, int(np.searchsorted(ends, ends[a] + PIECES, side="right")) - 1)
+            x = ids[ends[a] : ends[b]]
+            size = self.size[x]
+            out.append(_binary(self.bytes[spread(self.start[x], size)], np.concatenate(([0], np.cumsum(size)))[ends[a : b + 1] - ends[a]]))
+            a = b
+        return pa.concat_arrays(out) if out else pa.array([], pa.binary())
 
 
 def _room(x: np.ndarray, n: int) -> np.ndarray:
@@ -378,19 +413,27 @@ def spread(start: np.ndarray, size: np.ndarray) -> np.ndarray:
     return np.repeat(start - ends + size, size) + np.arange(int(ends[-1]) if len(ends) else 0)
 
 
-def joined(pieces: list[bytes], ids: bytes) -> bytes:
-    """The bytes that ids stand for."""
-    return b"".join(map(pieces.__getitem__, np.frombuffer(ids, dtype="<u4").tolist()))
+def _flat(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+    """The bytes of a binary column without nulls, and where each value ends, with 0 in front."""
+    ends = np.frombuffer(column.buffers()[1], np.int32)[column.offset : column.offset + len(column) + 1].astype(np.int64)
+    data = np.frombuffer(column.buffers()[2], np.uint8) if column.buffers()[2] else np.zeros(0, np.uint8)
+    return data[ends[0] : ends[-1]], ends - ends[0]
+
+
+def _binary(data: np.ndarray, ends: np.ndarray) -> pa.Array:
+    if int(ends[-1]) >= 1 << 31:
+        raise ValueError("the texts of one batch need more than 2 GB")
+    return pa.BinaryArray.from_buffers(pa.binary(), len(ends) - 1, [None, pa.py_buffer(ends.astype(np.int32)), pa.py_buffer(np.ascontiguousarray(data))])
 
 
 def decode(rows: DataFrame, ranks: dict[bytes, int]) -> DataFrame:
     """Adds `decoded`, the joined bytes of the pieces, to rows with ids."""
-    sent = rows.sparkSession.sparkContext.broadcast([t for t, _ in sorted(ranks.items(), key=lambda x: x[1])])
+    sent = rows.sparkSession.sparkContext.broadcast(Pieces(ranks))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            out = [joined(sent.value, ids) for ids in b.column("ids").to_pylist()]
-            yield pa.RecordBatch.from_arrays([*b.columns, pa.array(out, pa.binary())], names=[*b.schema.names, "decoded"])
+            data, ends = _flat(pc.fill_null(b.column("ids"), b""))
+            yield pa.RecordBatch.from_arrays([*b.columns, sent.value.joined(data.view("<u4"), ends // 4)], names=[*b.schema.names, "decoded"])
 
     return rows.mapInArrow(run, plus(rows, decoded="binary"))
 
