@@ -73,17 +73,18 @@ def rank_map(pairs: dict[tuple[int, int], int]) -> tuple[np.ndarray, np.ndarray]
         row = ab[first[k] : first[k] + n, 1]
         if n != before:
             at, before = 0, n  # rows of one size search on from where the last of them was put
+        step = max(1, min(2048, 200_000 // n))  # places tried at once
         while True:
-            if at + 2048 + top > len(table):
+            if at + step + top > len(table):
                 table = np.concatenate([table, np.zeros_like(table)])
-            free = np.arange(at, at + 2048)
+            free = np.arange(at, at + step)
             for b in row[:4].tolist():
                 free = free[table[free + b] == 0]
             free = free[(table[free[:, None] + row] == 0).all(axis=1)] if len(free) else free
             if len(free):
                 at = int(free[0])
                 break
-            at += 2048
+            at += step
         starts[left[k]] = at
         table[at + row] = (left[k] + 1) << ID_BITS | rank[first[k] : first[k] + n]
     return starts, table[: int(starts.max()) + top]

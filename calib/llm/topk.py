@@ -15,6 +15,7 @@ from calib.llm.shared import materialize
 QUERY_BLOCK, BINS = 4096, 256
 #: Rows of one score matrix.
 ROWS = 512
+FOUND = "query_id long, rank int, vec_id long, score long"
 
 
 def quantised(table: DataFrame, scale: int = 64) -> DataFrame:
@@ -53,7 +54,7 @@ def search(table: DataFrame, queries: DataFrame, k: int = 20, scale: int = 64) -
     spark = table.sparkSession
     rows = materialize(quantised(table, scale), "vectors")
     asked = materialize(quantised(queries, scale).groupBy("vec_id").agg(F.min("v").alias("v")), "queries")
-    dims, n = (asked.agg(F.max(F.size("v")), F.count("*")).first()[i] or 0 for i in (0, 1))
+    dims, n = (x or 0 for x in asked.agg(F.max(F.size("v")), F.count("*")).first())
     blocks = -(-n // QUERY_BLOCK)
     out = None
     for block in range(blocks):
@@ -61,7 +62,7 @@ def search(table: DataFrame, queries: DataFrame, k: int = 20, scale: int = 64) -
         if part.num_rows:
             found = _block(spark, rows, part.column("vec_id").to_numpy(), _matrix(part.column("v").combine_chunks(), dims), k)
             out = found if out is None else out.union(found)
-    return out if out is not None else spark.createDataFrame([], "query_id long, rank int, vec_id long, score long")
+    return out if out is not None else spark.createDataFrame([], FOUND)
 
 
 def _scores(ids: np.ndarray, vectors: np.ndarray):
@@ -90,6 +91,8 @@ def _block(spark: SparkSession, rows: DataFrame, ids: np.ndarray, vectors: np.nd
             yield pa.RecordBatch.from_arrays([pa.array(np.arange(len(ids))), pa.array(low), pa.array(high), pa.array(seen)], names=["q", "low", "high", "n"])
 
     found = rows.mapInArrow(extremes, "q long, low long, high long, n long").groupBy("q").agg(F.min("low").alias("low"), F.max("high").alias("high"), F.sum("n").alias("n")).toArrow().sort_by("q")
+    if not found.num_rows:
+        return spark.createDataFrame([], FOUND)
     low, high, n = (found.column(c).to_numpy() for c in ("low", "high", "n"))
     live = n > 0
     low, high = np.where(live, low, 0), np.where(live, high, 0)
