@@ -3,8 +3,9 @@
 The DOMs of one host are merged: a node stands for all elements with one path of tags and classes. How evenly
 its presentations (orders of child tags) and contents (texts) spread over the pages is an entropy, from which
 comes its importance: what looks and reads alike everywhere has little. A branch is removed from every page of
-the host if its importance, averaged down the branch, and that of every branch within it stay under a threshold,
-as are branches whose tag, role or class says that they are no content. All sums are additive, so a host of any size is merged in parts.
+the host if its importance, averaged down the branch, and that of every branch within it stay under a threshold.
+Tags, roles and classes are what is known beforehand: some name what is never content, and what stands outside
+a page's article has its importance scaled down by how little text there is beside that of the article. All sums are additive, so a host of any size is merged in parts.
 """
 
 from __future__ import annotations
@@ -13,6 +14,7 @@ import math
 import re
 from collections import Counter
 from collections.abc import Iterator
+from functools import lru_cache
 from html.parser import HTMLParser
 
 import pyarrow as pa
@@ -24,6 +26,8 @@ from calib.llm.url_filter import url_parts
 
 #: Branches under this importance go, if at least so many pages of the host have them.
 IMPORTANCE, PAGES = 0.2, 4
+#: Importance of a branch outside the article that fewer pages have.
+UNKNOWN = 0.4
 #: Weight of a level against the one above it.
 DECAY = 0.9
 #: Bytes of branches to remove up to which they are broadcast; beyond, pages are joined by host.
@@ -40,6 +44,11 @@ _CLOSES = {"li": ({"li"}, {"ul", "ol", "menu"}), "dt": ({"dt", "dd"}, {"dl"}), "
 _WORDS = re.compile(r"[^a-z0-9]+")
 
 
+@lru_cache(1 << 16)
+def _path_hash(path: str) -> int:
+    return _hash(path)
+
+
 def _hash(x: str) -> int:
     import xxhash
 
@@ -61,7 +70,6 @@ class Page(HTMLParser):
         self.top = Node("", "", None, False, False)
         self.nodes: list[Node] = []
         self.blocks: list[tuple[Node, str]] = []
-        self.has_main = False
         self.here, self.parts, self.owner = self.top, [], self.top
         self.feed(html)
         self.close()
@@ -102,7 +110,6 @@ class Page(HTMLParser):
         node = Node(tag, f"{up.path}/{tag}" + "".join(f".{x}" for x in sorted(words)), up, main and tag != "body", bad)
         up.children.append(tag)
         self.nodes.append(node)
-        self.has_main |= node.main and not bad
         if tag not in VOID:
             self.here = node
 
@@ -135,17 +142,23 @@ def ancestors(node: Node) -> Iterator[Node]:
         node = node.up
 
 
-def main_text(html: str | None, removed: frozenset | set = frozenset()) -> str:
-    """The blocks of the page, joined by line feeds. removed: hashes of paths whose branches go.
+def main_text(html: str | None, peaks: dict[int, float] | None = None) -> str:
+    """The blocks of the page, joined by line feeds. peaks: importance by hash of path, of branches that enough pages have.
 
-    Where an article or main element holds text, only such elements count, less the branches that go from them.
-    If the removal by importance would leave nothing of a page, it is not done.
+    Branches of little importance go, wherever they stand. Beside an article or main element with text, a block
+    must be important enough in spite of that element: its importance counts by the share of such text to the
+    article's, so that a story beside a teaser stays. If removal would leave nothing of a page, it is not done.
     """
-    page = Page(html or "")
-    blocks = [(n, t) for n, t in page.blocks if n.main] if page.has_main else []
-    blocks = blocks or page.blocks
-    rest = [t for n, t in blocks if not any(_hash(a.path) in removed for a in ancestors(n))] if removed else []
-    return "\n".join(rest or [t for _, t in blocks])
+    peaks, page = peaks or {}, Page(html or "")
+    inside = sum(len(t) for n, t in page.blocks if n.main)
+    beside = min(1.0, sum(len(t) for n, t in page.blocks if not n.main) / inside) if inside else 1.0
+
+    def stays(n: Node) -> bool:
+        if any(peaks.get(_path_hash(a.path), 1.0) < IMPORTANCE for a in ancestors(n)):
+            return False
+        return n.main or not inside or beside * peaks.get(_path_hash(n.path), UNKNOWN) >= IMPORTANCE
+
+    return "\n".join([t for n, t in page.blocks if stays(n)] or [t for _, t in page.blocks])
 
 
 def style_statistics(pages: DataFrame) -> DataFrame:
@@ -173,11 +186,11 @@ def style_statistics(pages: DataFrame) -> DataFrame:
                 for n in page.nodes:
                     if not n.no_content:
                         styles.setdefault(n.path, (n, set()))[1].add(" ".join(x for x, y in zip(n.children, [None, *n.children]) if x != y))
-                line = {p: tuple(_hash(a.path) for a in ancestors(n)) for p, (n, _) in styles.items()}
+                line = {p: tuple(_path_hash(a.path) for a in ancestors(n)) for p, (n, _) in styles.items()}
                 found = Counter((p, "style", _hash("\n".join(sorted(s)))) for p, (_, s) in styles.items())
                 found.update((n.path, "text", _hash(t)) for n, t in page.blocks if n.path in line)
                 for (p, kind, feature), c in found.items():
-                    x = held.setdefault((host, _hash(p), line[p], kind, feature), [0, 0, 0.0])
+                    x = held.setdefault((host, _path_hash(p), line[p], kind, feature), [0, 0, 0.0])
                     x[0] += 1
                     x[1] += c
                     x[2] += c * math.log(c)
@@ -215,17 +228,22 @@ def importance(pages: DataFrame) -> DataFrame:
 
 
 def extract(pages: DataFrame) -> DataFrame:
-    """page_id, url, text and n_chars of every row of pages (page_id, url, html). Null html gives an empty text; pages without a host are judged by themselves."""
-    low = importance(pages).where((F.col("pages") >= PAGES) & (F.col("peak") < IMPORTANCE)).groupBy("host").agg(F.collect_set("path").alias("removed"))
-    low = materialize(low, "branches")
-    size = low.agg(F.sum(F.size("removed") * 8 + F.length("host") + 32)).first()[0] or 0
+    """page_id, url, text and n_chars of every row of pages (page_id, url, html).
+
+    Null html gives an empty text; pages without a host are judged by themselves. Repeated rows count as pages of
+    their own and come out one by one. Other columns are not read, so their names may clash.
+    """
+    known = importance(pages).where(F.col("pages") >= PAGES).groupBy("host").agg(F.collect_list(F.struct("path", F.col("peak").cast("float").alias("peak"))).alias("known"))
+    known = materialize(known.select("host", F.col("known.path").alias("paths"), F.col("known.peak").alias("peaks")), "branches")
+    size = known.agg(F.sum(F.size("paths") * 12 + F.length("host") + 32)).first()[0] or 0
     if size <= BROADCAST_BYTES:
-        low = F.broadcast(low)
-    rows = url_parts(pages.select("page_id", "url", "html")).join(low, "host", "left").select("page_id", "url", "html", "removed")
+        known = F.broadcast(known)
+    rows = url_parts(pages.select("page_id", "url", "html")).join(known, "host", "left").select("page_id", "url", "html", "paths", "peaks")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            texts = [main_text(h, set(r) if r else frozenset()) for h, r in zip(b.column("html").to_pylist(), b.column("removed").to_pylist())]
+            held = (dict(zip(p, x)) if p else None for p, x in zip(b.column("paths").to_pylist(), b.column("peaks").to_pylist()))
+            texts = [main_text(h, p) for h, p in zip(b.column("html").to_pylist(), held)]
             yield pa.RecordBatch.from_arrays([b.column("page_id"), b.column("url"), pa.array(texts, pa.string()), pa.array([len(t) for t in texts], pa.int64())], names=["page_id", "url", "text", "n_chars"])
 
     return rows.mapInArrow(run, plus(pages.select("page_id", "url"), text="string", n_chars="long"))

@@ -84,6 +84,16 @@ def test_style_tree_removes_what_is_alike_in_articles(spark, around):
     assert got[98].endswith("Written by us\nTerms of use") and got[99] == "Terms of use"
 
 
+def test_story_beside_a_teaser(spark):
+    story = lambda k: " ".join(f"word{k}x{j}" for j in range(40))
+    page = lambda k: f"<body><article><p>Teaser {k * 3}</p></article><div class='text'><p>{story(k)}</p></div><div class='end'><p>Part of our network</p></div></body>"
+    rows = [(k, f"http://h.example/{k}", page(k)) for k in range(20)] + [(50, None, page(50)), (51, "http://h.example/x", f"<article><p>{story(51)}</p></article><div class='text'><p>Short</p></div>")] * 2
+    got = style_tree.extract(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()
+    text = {r.page_id: r.text for r in got}
+    assert len(got) == len(rows) and all(text[k] == f"Teaser {k * 3}\n{story(k)}" for k in range(20))
+    assert story(50) in text[50] and text[51] == story(51)
+
+
 # op2
 
 
