@@ -1,7 +1,7 @@
 """Approximate incremental descent: speculative children, estimated parents, and snapshots that tell when to stop.
 
 A pass is cut into waves of blocks. Within a wave each part moves its own children of every live parent and adds
-up, for parents and for snapshots (frozen copies of the moving models), sums of losses and of their squares.
+up, for parents and for snapshots (a frozen copy of every moving model, by parent and step), sums of losses and of their squares.
 Between waves the driver merges, prunes parents whose losses are clearly worse, and ends the pass once enough
 snapshots' losses are known and agree.
 """
@@ -67,6 +67,7 @@ def train_approx_igd(ex: DataFrame, spec: Spec, w0, alphas, total: int, blocks:
     alphas = np.asarray(alphas, dtype=float)
     s, run = len(alphas), Run(np.asarray(w0, dtype=float))
     parents, d = np.asarray(w0, dtype=float)[None, :], len(w0)
+    objective_of = lambda loss, w: float(loss) * spec.per(total) + float(np.sum(spec.reg_value(w)))
     for k in range(iterations):
         order = block_sequence(blocks, k, seed)
         alive = list(range(len(parents)))
@@ -100,29 +101,34 @@ def train_approx_igd(ex: DataFrame, spec: Spec, w0, alphas, total: int, blocks:
             run.cost.add(n, len(names), len(keep))
             # parents that are clearly worse go, with their children and snapshots
             e = [estimate(known["parent", i], total) for i in alive]
-            low, high = [float(x.bounds(z)[0][0, 0]) for x in e], [float(x.bounds(z)[1][0, 0]) for x in e]
+            low, high = ([objective_of(x.bounds(z)[side][0, 0], parents[i]) for i, x in zip(alive, e)] for side in (0, 1))
             alive = [alive[i] for i in stop_loss(low, high, eps, rules)]
             frozen = {n_: w for n_, w in frozen.items() if n_[1] in alive}
-            best = alive[select_best([float(estimate(known["parent", i], total).est[0, 0]) for i in alive])]
-            snaps = [n_ for n_ in frozen if n_[0] == "snap" and n_[1] == best and known[n_].n > 1]
-            if len(alive) == 1 and snaps:
-                found = [estimate(known[n_], total) for n_ in snaps]
-                est, std = [x.est[0, 0] for x in found], [x.std[0, 0] for x in found]
-                if stop_igd_loss(est, std, eps, m, beta, z):
+            best = alive[select_best([objective_of(estimate(known["parent", i], total).est[0, 0], parents[i]) for i in alive])]
+            tracks = {c: [n_ for n_ in frozen if n_[:3] == ("snap", best, c) and known[n_].n > 1] for c in range(s)}
+            if len(alive) == 1 and all(tracks.values()):
+                # the child that is ahead by its newest snapshot decides whether the pass ends
+                seen = {c: [estimate(known[n_], total) for n_ in names_] for c, names_ in tracks.items()}
+                est = {c: [objective_of(x.est[0, 0], frozen[n_]) for n_, x in zip(tracks[c], seen[c])] for c in tracks}
+                std = {c: [x.std[0, 0] * spec.per(total) for x in seen[c]] for c in tracks}
+                ahead = select_best([est[c][-1] for c in range(s)])
+                if stop_igd_loss(est[ahead], std[ahead], eps, m, beta, z):
                     halted = True
                     break
-                stable = [n_ for n_, a, b in zip(snaps, est, std) if 2 * z * b <= eps * abs(a)]
-                for n_ in stable[:-m] if len(stable) > m else []:  # a stable estimator need not be read on
-                    frozen.pop(n_)
-                step = min(step, size.next(before, est[-1]))
-                before = est[-1]
+                for c in tracks:
+                    stable = [n_ for n_, a, b in zip(tracks[c], est[c], std[c]) if 2 * z * b <= eps * abs(a)]
+                    for n_ in stable[:-m] if len(stable) > m else []:  # a stable estimator need not be read on
+                        frozen.pop(n_)
+                step = min(step, size.next(before, est[ahead][-1]))
+                before = est[ahead][-1]
             for i in alive:
-                snap = ("snap", i, wave)
-                frozen[snap] = children[i * s : (i + 1) * s].mean(axis=0) if len(alive) > 1 else children[i * s]
-                known[snap] = Moments(0, np.zeros((1, 1)), np.zeros((1, 1)))
+                for c in range(s):
+                    snap = ("snap", i, c, wave)
+                    frozen[snap] = children[i * s + c].copy()
+                    known[snap] = Moments(0, np.zeros((1, 1)), np.zeros((1, 1)))
             starts = resync(sync, local, counts, children, stale, stale_n)
             stale, stale_n, wave = children, n, wave + 1
-        loss = float(estimate(known["parent", best], total).est[0, 0])
+        loss = objective_of(estimate(known["parent", best], total).est[0, 0], parents[best])
         run.trace.append({"k": k + 1, "parents": len(parents), "left": len(alive), "best": best, "loss": loss, "n_read": read, "ratio": read / total, "halted": halted, "waves": wave, "w": parents[best].copy()})
         parents = children[best * s : (best + 1) * s]
         if halted:

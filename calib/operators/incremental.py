@@ -64,14 +64,17 @@ def margins(x: np.ndarray | SparseRows, models: np.ndarray) -> np.ndarray:
 
 
 def descend(w: np.ndarray, x: np.ndarray | SparseRows, y: np.ndarray, alpha: np.ndarray, spec: Spec, late: deque | None = None) -> None:
-    """Steps of all rows of w (models) by losses alone, over dense or sparse examples one by one; changes w. late: as in sgd_shared."""
+    """Steps of all rows of w (models) over dense or sparse examples one by one; changes w. late: as in sgd_shared."""
     for i in range(len(y)):
         seen = w if late is None else late[0]
+        shrink = None if spec.reg == "none" else alpha[:, None] * spec.reg_grad(seen)
         if isinstance(x, SparseRows):
             j, v = x.row(i)
             w[:, j] -= (spec.f.slope(seen[:, j] @ v, y[i]) * alpha)[:, None] * v
         else:
             w -= (spec.f.slope(seen @ x[i], y[i]) * alpha)[:, None] * x[i]
+        if shrink is not None:
+            w -= shrink
         if late is not None:
             late.append(w.copy())
 
@@ -310,7 +313,7 @@ def progressive_loss(ex: DataFrame, spec: Spec, w0, alpha: float, key: list[str]
             for i in range(len(y)):
                 dot = w @ x[i]
                 total += float(spec.f.value(dot, y[i]))
-                w -= alpha * spec.f.slope(dot, y[i]) * x[i]
+                w -= alpha * (spec.f.slope(dot, y[i]) * x[i] + spec.reg_grad(w))
                 n += 1
                 if n % every == 0:
                     out.append((n, total / n))

@@ -120,14 +120,14 @@ def igd_children(ex: DataFrame, spec: Spec, parents: np.ndarray, alphas: np.ndar
                         st[4][m] += take
                         at += take
                         if st[4][m] == b[m]:
-                            st[1][m] -= a[m] * st[3][m] * spec.per(int(b[m]))
+                            st[1][m] -= a[m] * (st[3][m] * spec.per(int(b[m])) + spec.reg_grad(st[1][m]))
                             st[3][m], st[4][m] = 0, 0
             st[0] += len(y)
         out = []
         for n, w, loss, g, held, _ in states.values():
             if batches_of is not None:
                 for m in np.flatnonzero(held):
-                    w[m] -= np.tile(alphas, s)[m] * g[m] * spec.per(int(held[m]))
+                    w[m] -= np.tile(alphas, s)[m] * (g[m] * spec.per(int(held[m])) + spec.reg_grad(w[m]))
             out += [("loss", i, None, n, None, float(loss[i])) for i in range(s)]
             out += [("model", m // c, m % c, n, w[m].tolist(), None) for m in range(s * c)]
         cols = list(zip(*out)) or [()] * 6
@@ -138,20 +138,23 @@ def igd_children(ex: DataFrame, spec: Spec, parents: np.ndarray, alphas: np.ndar
 
 
 def merge_children(rows: DataFrame, d: int) -> dict[tuple, np.ndarray]:
-    """Averages of models by count, and sums of losses, over parts: keys (i, l) and (i,)."""
+    """Averages of models by count, and sums of losses, over parts: keys (i, l) and (i,); under () the number of examples."""
     if d > WIDE_SUMS:  # too many columns for generated code: a row for each place
         places = rows.select("kind", "i", "l", "n", "loss", F.posexplode_outer("w").alias("j", "v"))
         sums, out = places.groupBy("kind", "i", "l", "j").agg(F.sum("loss").alias("loss"), F.sum("n").alias("n"), F.sum(F.col("n") * F.col("v")).alias("v")), {}
         for r in sums.toLocalIterator():
             if r["kind"] == "loss":
-                out[(r["i"],)] = r["loss"]
+                out[(r["i"],)], out[()] = r["loss"], r["n"]
             else:
                 out.setdefault((r["i"], r["l"]), np.zeros(d))[r["j"]] = r["v"] / r["n"]
         return out
     agg = rows.groupBy("kind", "i", "l").agg(F.sum("loss").alias("loss"), F.sum("n").alias("n"), *(F.sum(F.col("n") * F.element_at("w", j + 1)).alias(f"w{j}") for j in range(d)))
     out = {}
     for r in agg.collect():
-        out[(r["i"],) if r["kind"] == "loss" else (r["i"], r["l"])] = r["loss"] if r["kind"] == "loss" else np.array([r[f"w{j}"] for j in range(d)]) / r["n"]
+        if r["kind"] == "loss":
+            out[(r["i"],)], out[()] = r["loss"], r["n"]
+        else:
+            out[(r["i"], r["l"])] = np.array([r[f"w{j}"] for j in range(d)]) / r["n"]
     return out
 
 
@@ -172,7 +175,7 @@ def train_spec_igd(ex: DataFrame, spec: Spec, w0, alphas, iterations: int, key:
     sizes = None if batches_of is None else np.asarray(batches_of, dtype=int)
     for k in range(iterations):
         found = merge_children(igd_children(ex, spec, parents, alphas, key, part, sizes, late), d)
-        losses = [found[(i,)] for i in range(len(parents))]
+        losses = [found[(i,)] * spec.per(found.get((), 0)) + float(np.sum(spec.reg_value(p))) for i, p in enumerate(parents)]
         run.cost.add(0, len(parents) + len(parents) * len(alphas), len(parents) * len(alphas))
         best = select_best(losses)
         run.trace.append({"k": k + 1, "parents": len(parents), "models": len(parents) * len(alphas), "best": best, "loss": float(losses[best]), "w": parents[best].copy()})

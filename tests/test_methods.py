@@ -274,6 +274,30 @@ def test_sparse_rows_may_repeat_and_be_empty(spark):
     assert m.n == 6 and np.allclose(m.loss, f.sum(axis=0)) and np.allclose(m.grad, g.T @ x) and np.allclose(m.s2[:, 1:], (g**2).T @ x**2)
 
 
+def test_regulariser_in_every_kernel(spark):
+    """With L2: single steps, steps of small batches and approximate descent over one part, against plain loops."""
+    r = np.random.default_rng(4)
+    x, y = r.standard_normal((60, 3)), np.sign(r.standard_normal(60))
+    t = spark.createDataFrame([(i, i, i % 4, 0, *map(float, x[i]), float(y[i])) for i in range(60)], "ex_id long, ord long, blk int, part int, x0 double, x1 double, x2 double, y double")
+    spec, alphas = Spec("lr", reg="l2", mu=0.3), np.array([0.02, 0.1])
+    one, many = [], []
+    for a in alphas:
+        w = np.zeros(3)
+        for i in range(60):
+            w = w - a * (spec.f.slope(w @ x[i], y[i]) * x[i] + spec.reg_grad(w))
+        one.append(w)
+        w = np.zeros(3)
+        for i in range(0, 60, 25):
+            w = w - a * (spec.f.slope(x[i : i + 25] @ w, y[i : i + 25]) @ x[i : i + 25] * spec.per(min(25, 60 - i)) + spec.reg_grad(w))
+        many.append(w)
+    for sizes, want in ((None, one), (np.array([25, 25]), many)):
+        got = speculative.merge_children(speculative.igd_children(t, spec, np.zeros((1, 3)), alphas, ["ex_id"], "part", sizes), 3)
+        assert got[()] == 60 and all(np.allclose(got[(0, c)], want[c]) for c in range(2))
+    run = train_approx_igd(t, spec, [0.0] * 3, alphas, 60, 4, ["ex_id"], "part", iterations=1, eps=0.0, waves=1)
+    best = min(one, key=lambda w: spec.f.value(x @ w, y).sum() * spec.per(60) + spec.reg_value(w))
+    assert np.allclose(run.w, best)
+
+
 def test_losses_alone(ex):
     models = np.random.default_rng(2).standard_normal((3, 5))
     assert np.allclose(moments.losses_of(ex, models, Spec("lr")).loss, moments.multi_eval(ex, models, Spec("lr")).loss)
