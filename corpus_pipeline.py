@@ -1,4 +1,9 @@
-"""A corpus through quality classifier, quality rules, near-duplicate removal and packing."""
+"""A corpus through quality classifier, quality rules, near-duplicate removal and packing.
+
+All stages take nulls in any column, repeated rows, an empty table and further columns of any name; the first
+three return the columns that they were given. Null and empty texts have no words: the classifier keeps them, as
+it does whatever it knows nothing of, and the rules then reject them.
+"""
 
 from __future__ import annotations
 
@@ -12,21 +17,25 @@ from calib.session import shipped
 
 @shipped
 def quality_classifier(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """The documents that the scorer does not reject, by their whole texts."""
     return weak_labels.keep_good(spark, docs)
 
 
 @shipped
 def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """The documents that pass base and thresholds."""
     return rules.keep_good(spark, docs)
 
 
 @shipped
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """One document of each group of near duplicates, that of the least doc_id; rows with one doc_id go or stay together."""
     return near_dups.keep_one_of_each(spark, docs)
 
 
 @shipped
 def best_fit_packing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """The pieces of all documents with their places in sequences."""
     return packing.pack_documents(docs, vocabulary("byte_bpe_50k.json"))
 
 
@@ -43,6 +52,7 @@ ORACLE_SQL = None
 
 @shipped
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The packed pieces of what the first three stages leave of `documents`."""
     docs = read_table(spark, sf_dir, "documents")
     for name, stage in STAGES[:-1]:
         docs = materialize(stage(spark, docs, sf_dir), name)
