@@ -240,7 +240,11 @@ def _local_unions(edges: DataFrame) -> DataFrame:
 
 
 def components(edges: DataFrame) -> DataFrame:
-    """(node, component) for every node of edges (a, b): the least node that it reaches. Stars are joined until nothing changes; no node's neighbours meet in one task."""
+    """(node, component) for every node of edges (a, b): the least node that it reaches.
+
+    Stars are joined until nothing changes. The neighbours of one node meet in one task, as far as union-find inside
+    the tasks before has left any; nothing is gathered from them there but their least.
+    """
     edges = materialize(_local_unions(edges), "unions")
     mark = (0, None)
     while True:
