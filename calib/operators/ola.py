@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import time
 from collections.abc import Callable, Iterator
 from dataclasses import dataclass
 
@@ -13,7 +14,7 @@ from pyspark.sql import functions as F
 from calib.functions.losses import Spec
 from calib.operators.batch import Run
 from calib.operators.estimators import Estimate, estimate
-from calib.operators.halting import RULES, joint_halt
+from calib.operators.halting import RULES, Trigger, joint_halt
 from calib.operators.speculative import Grid, select_best, trial_models
 from calib.operators.stepdist import NormalPhi, loss_weights, update_normal
 from calib.plans.moments import CostMeter, Moments, multi_eval
@@ -108,8 +109,11 @@ def train_approx_bgd(ex: DataFrame, spec: Spec, w0, total: int, blocks: int, gri
     return run
 
 
-def ola_async(ex: DataFrame, models: np.ndarray, spec: Spec, total: int, every: int, stop: Callable[[Estimate, int], bool]) -> tuple[Estimate, int]:
-    """Without waves: each task gives its sums after every so many rows, and the driver stops the job once it likes the estimate."""
+def ola_async(ex: DataFrame, models: np.ndarray, spec: Spec, total: int, every: int, stop: Callable[[Estimate, int], bool], trigger: Trigger | None = None) -> tuple[Estimate, int]:
+    """Without waves: each task gives its sums after every so many rows, and the driver stops the job once it likes the estimate.
+
+    trigger says when the estimate is judged; without one that is whenever sums arrive.
+    """
     s, d = models.shape
     from calib.plans.moments import batch_matrix
     from calib.sources.views import wide
@@ -137,13 +141,12 @@ def ola_async(ex: DataFrame, models: np.ndarray, spec: Spec, total: int, every:
         if n:
             yield row()
 
-    cols = ["x"] if "x" in ex.columns else wide(d)
+    cols, began = ["x"] if "x" in ex.columns else wide(d), time.perf_counter()
     m = Moments(0, np.zeros((s, d + 1)), np.zeros((s, d + 1)))
     for r in ex.select(*cols, "y").mapInArrow(run, "n long, sums array<double>").toLocalIterator():
         flat = np.array(r["sums"]).reshape(2, s, d + 1)
         m = m + Moments(r["n"], flat[0], flat[1])
-        e = estimate(m, total)
-        if stop(e, m.n):
+        if (trigger is None or trigger.fires(m.n, time.perf_counter() - began)) and stop(estimate(m, total), m.n):
             break
     return estimate(m, total), m.n
 

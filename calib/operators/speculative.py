@@ -158,34 +158,51 @@ def merge_children(rows: DataFrame, d: int) -> dict[tuple, np.ndarray]:
     return out
 
 
-def train_spec_igd(ex: DataFrame, spec: Spec, w0, alphas, iterations: int, key: list[str], part: str, batches_of=None, final_eval: bool = True, variant: str = "merge", nodes: int = 1, threads: int = 4) -> Run:
+def train_spec_igd(ex: DataFrame, spec: Spec, w0, alphas, iterations: int, key: list[str], part: str, batches_of=None, final_eval: bool = True, variant: str = "merge", nodes: int = 1, threads: int = 4, phi: NormalPhi | None = None, s: int = 4, control: StepCountController | None = None, clock: Callable[[], float] = time.perf_counter, kappa: float = 1.0, weights: str = "gap", stop: StopRule | None = None, seed: int | None = None) -> Run:
     """Incremental descent with s * s models: while children move on, their parents' losses are summed.
 
     After a pass only the children of the best parent stay, as the next parents. Losses are those of parents,
-    so they lag one pass; the closing evaluation makes up for the last. variant: merge has models for each part;
-    with lock and nolock the threads of a node share them, as in train_igd_shared, and part is not used.
+    so they lag one pass; the closing evaluation makes up for the last, unless stop ended the passes at the best parent.
+    Steps are alphas or, with phi, draws from it; it is refitted to the steps of the pass before as soon as the losses
+    of what they gave are known. control adapts s to the measured time of a pass; of alphas it takes the first s.
+    variant: merge has models for each part; with lock and nolock the threads of a node share them, as in
+    train_igd_shared, and part is not used.
     """
     if variant not in ("merge", "lock", "nolock"):
         raise ValueError(f"no variant is called {variant}")
+    if batches_of is not None and (phi is not None or control is not None):
+        raise ValueError("batches_of goes with fixed alphas")
     if variant != "merge":
         ex, part = in_turns(ex, key, nodes, threads), "node"
     late = threads if variant == "nolock" else 0
-    alphas = np.asarray(alphas, dtype=float)
     parents, run, d = np.array([np.asarray(w0, dtype=float)]), Run(np.asarray(w0, dtype=float)), len(w0)
     sizes = None if batches_of is None else np.asarray(batches_of, dtype=int)
+    lowest, before = [], None
     for k in range(iterations):
-        found = merge_children(igd_children(ex, spec, parents, alphas, key, part, sizes, late), d)
+        s = control.s if control else s
+        tried = np.asarray(alphas if phi is None and control is None else alphas[:s] if phi is None else phi.sample(s, None if seed is None else seed + k), dtype=float)
+        began = clock()
+        found = merge_children(igd_children(ex, spec, parents, tried, key, part, sizes, late), d)
+        secs = clock() - began
         losses = [found[(i,)] * spec.per(found.get((), 0)) + float(np.sum(spec.reg_value(p))) for i, p in enumerate(parents)]
-        run.cost.add(0, len(parents) + len(parents) * len(alphas), len(parents) * len(alphas))
+        run.cost.add(0, len(parents) + len(parents) * len(tried), len(parents) * len(tried))
         best = select_best(losses)
-        run.trace.append({"k": k + 1, "parents": len(parents), "models": len(parents) * len(alphas), "best": best, "loss": float(losses[best]), "w": parents[best].copy()})
-        parents = np.array([found[(best, c)] for c in range(len(alphas))])
+        lowest.append(float(losses[best]))
+        run.trace.append({"k": k + 1, "s": len(tried), "parents": len(parents), "models": len(parents) * len(tried), "best": best, "loss": lowest[-1], "w": parents[best].copy(), "secs": secs, "phi": phi})
+        if stop is not None and stop.done(lowest):
+            run.w = parents[best]
+            return run
+        if phi is not None and before is not None:
+            phi = update_normal(phi, before, loss_weights(losses, weights), kappa)
+        if control:
+            control.next(secs)
+        parents, before = np.array([found[(best, c)] for c in range(len(tried))]), tried
     run.w = parents[0]
     if final_eval:
         losses = objective(multi_eval(ex, parents, spec, meter=run.cost), parents, spec)
         best = select_best(losses)
         run.w = parents[best]
-        run.trace.append({"k": iterations + 1, "parents": len(parents), "models": 0, "best": best, "loss": float(losses[best]), "w": run.w.copy()})
+        run.trace.append({"k": iterations + 1, "s": len(parents), "parents": len(parents), "models": 0, "best": best, "loss": float(losses[best]), "w": run.w.copy(), "secs": 0.0, "phi": phi})
     return run
 
 

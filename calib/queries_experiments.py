@@ -10,7 +10,7 @@ from calib import oracle as O
 from calib.functions.losses import Spec
 from calib.operators import baselines, incremental, ola, speculative, stepdist
 from calib.operators.approx_igd import train_approx_igd
-from calib.operators.batch import trace_frame, train_line_search
+from calib.operators.batch import StopRule, trace_frame, train_line_search
 from calib.plans.moments import model_bytes, multi_eval
 from calib.queries_methods import BLOCKS, EX, GRID, KEY, N_SQL, SVM, LR, W, _n, _scaled, _spec_sql, approx_run, line, rows
 from calib.registry import query
@@ -211,6 +211,8 @@ def table3_systems(spark, sf_dir):
         out.append((kind, "ours", round(run.trace[-1]["loss"], 2)))
         w, _ = baselines.library_model(ex, kind, 5, 20)
         out.append((kind, "library", round(float(multi_eval(ex, w, spec).loss[0]), 2)))
+        w = baselines.library_minibatch(ex, spec, [0.0] * 5, 1.0, 0.1, 10)
+        out.append((kind, "library_minibatch", round(float(multi_eval(ex, w, spec).loss[0]), 2)))
         w = np.array(incremental.passes(ex, spec, [0.0] * 5, 0.001, KEY).first()["w"])
         out.append((kind, "online", round(float(multi_eval(ex, w, spec).loss[0]), 2)))
     return rows(spark, out, "task string, system string, loss double")
@@ -234,6 +236,15 @@ def spec_bgd_phi(spark, sf_dir):
     return rows(spark, [(t["k"], t["s"], round(t["alpha"] * n, 6), round(t["loss"], 4), round(t["phi"].mu, 6), round(t["phi"].sigma, 6)) for t in run.trace], "k int, s int, alpha double, loss double, mu double, sigma double")
 
 
+@query()
+def spec_igd_phi(spark, sf_dir):
+    """Incremental descent whose steps come from a refitted distribution, with s by a simulated clock, until losses settle."""
+    ex = line(spark, sf_dir).withColumn("part", F.col("ord") % 4)
+    ticks = iter(range(10_000))
+    run = speculative.train_spec_igd(ex, LR, [0.0] * 5, None, 5, KEY, "part", phi=stepdist.NormalPhi(np.log(0.005), 1.0, log=True), control=stepdist.StepCountController(most=4), clock=lambda: float(next(ticks)), stop=StopRule(rel_tol=1e-2))
+    return rows(spark, [(t["k"], t["s"], t["parents"], t["models"], round(t["loss"], 4), round(t["phi"].mu, 6), round(t["phi"].sigma, 6)) for t in run.trace], "k int, s int, parents int, models int, loss double, mu double, sigma double")
+
+
 @query(lambda: _spec_sql("trace", "lr", 3))
 def spec_bgd_lr_trace(spark, sf_dir):
     n = _n(spark, sf_dir)

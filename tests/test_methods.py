@@ -323,3 +323,41 @@ def test_spec_igd_with_shared_models(ex, variant):
     assert run.trace[1]["models"] == 9 and run.trace[1]["w"] == pytest.approx(best)
     two = [incremental.train_igd_shared(small, Spec("lr"), best, a, LINE_KEY, 2, 4, variant)[0] for a in alphas]
     assert any(run.w == pytest.approx(w) for w in two)
+
+
+def test_spec_igd_refits_its_steps(spark):
+    """Against plain loops over one part: steps from the distribution, s by the clock, the best parent's children, refitting, and the stop."""
+    r = np.random.default_rng(5)
+    x, y = r.standard_normal((40, 3)), np.sign(r.standard_normal(40))
+    t = spark.createDataFrame([(i, i, 0, *map(float, x[i]), float(y[i])) for i in range(40)], "ex_id long, ord long, part int, x0 double, x1 double, x2 double, y double")
+    phi, ticks = stepdist.NormalPhi(np.log(0.05), 1.0, log=True), iter(range(100))
+    run = speculative.train_spec_igd(t, Spec("lr"), [0.0] * 3, None, 4, ["ex_id"], "part", phi=phi, control=stepdist.StepCountController(most=4), clock=lambda: float(next(ticks)))
+
+    def loss(w):
+        return float(np.log1p(np.exp(-y * (x @ w))).sum())
+
+    parents, before, expected = [np.zeros(3)], None, []
+    for s in (1, 2, 4, 4):
+        alphas, losses = phi.sample(s), [loss(w) for w in parents]
+        best = int(np.argmin(losses))
+        expected.append((s, len(parents), best, losses[best], phi.mu, phi.sigma))
+        if before is not None:
+            phi = stepdist.update_normal(phi, before, stepdist.loss_weights(losses))
+        children = []
+        for a in alphas:
+            w = parents[best].copy()
+            for i in range(40):
+                w += a * y[i] * x[i] / (1 + np.exp(y[i] * (x[i] @ w)))
+            children.append(w)
+        parents, before = children, alphas
+    got = [(v["s"], v["parents"], v["best"], v["loss"], v["phi"].mu, v["phi"].sigma) for v in run.trace[:-1]]
+    assert got == [pytest.approx(e) for e in expected]
+    assert run.w == pytest.approx(min(parents, key=loss))
+    stopped = speculative.train_spec_igd(t, Spec("lr"), [0.0] * 3, (0.01,), 9, ["ex_id"], "part", stop=StopRule(rel_tol=0.9))
+    assert len(stopped.trace) == 2 and stopped.trace[-1]["loss"] == pytest.approx(loss(stopped.w))
+
+
+def test_async_sample_waits_for_its_trigger(ex):
+    n, seen = ex.count(), []
+    ola.ola_async(ex, MODELS, Spec("svm"), n, 200, lambda e, m: seen.append(m), trigger=halting.Trigger(every_rows=1000))
+    assert seen and all(b - a >= 1000 for a, b in zip([0, *seen], seen))
