@@ -15,7 +15,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from calib.llm.shared import materialize
+from calib.llm.shared import drop_tables, materialize
 
 SHINGLE = 5
 #: Similarity to reach, in hundredths.
@@ -191,14 +191,14 @@ def _agreeing(a: str, b: str):
     return F.expr(f"aggregate(zip_with({a}, {b}, (x, y) -> x ^ y), 0, (n, z) -> n + {lanes})")
 
 
-def confirmed(pairs: DataFrame, reps: DataFrame, sets: DataFrame) -> DataFrame:
+def confirmed(pairs: DataFrame, reps: DataFrame, sets: DataFrame, made: list[str]) -> DataFrame:
     """Those pairs (a, b) of doc_ids whose full sets reach the similarity. Pairs whose signatures differ too much are not compared."""
     side = lambda c: reps.select(F.col("rep").alias(c), F.col("bands").alias(f"{c}_bands"))
     close = pairs.join(side("a"), "a").join(side("b"), "b").where(_agreeing("a_bands", "b_bands") >= AGREE).select("a", "b").distinct()
-    close = materialize(close, "close")
+    close = materialize(close, "close", made)
     side = lambda c: sets.select(F.col("doc_id").alias(c), F.col("shingles").alias(f"{c}_set"))
     both = close.join(side("a"), "a").join(side("b"), "b").withColumn("common", F.size(F.array_intersect("a_set", "b_set")))
-    return materialize(both.where(F.col("common") * (100 + PERCENT) >= PERCENT * (F.size("a_set") + F.size("b_set"))).select("a", "b").distinct(), "links")
+    return materialize(both.where(F.col("common") * (100 + PERCENT) >= PERCENT * (F.size("a_set") + F.size("b_set"))).select("a", "b").distinct(), "links", made)
 
 
 def only(docs: DataFrame, ids: DataFrame, keep: bool = True) -> DataFrame:
@@ -239,13 +239,14 @@ def _local_unions(edges: DataFrame) -> DataFrame:
     return edges.select("a", "b").coalesce(few).mapInArrow(run, "a long, b long")
 
 
-def components(edges: DataFrame) -> DataFrame:
-    """(node, component) for every node of edges (a, b): the least node that it reaches.
+def components(edges: DataFrame, made: list[str] | None = None) -> DataFrame:
+    """(node, component) for every node of edges (a, b): the least node that it reaches. The table of the result is noted in `made`.
 
     Stars are joined until nothing changes. The neighbours of one node meet in one task, as far as union-find inside
     the tasks before has left any; nothing is gathered from them there but their least.
     """
-    edges = materialize(_local_unions(edges), "unions")
+    spark, last = edges.sparkSession, []
+    edges = materialize(_local_unions(edges), "unions", last)
     mark = (0, None)
     while True:
         # every neighbour above a node, and then every neighbour below it, moves to the least of them
@@ -255,38 +256,46 @@ def components(edges: DataFrame) -> DataFrame:
         up = up.where("a <> b").distinct()
         low = up.groupBy("a").agg(F.min("b").alias("m"))
         down = up.join(low, "a").select(F.col("b").alias("a"), F.col("m").alias("b")).union(low.select("a", F.col("m").alias("b")))
-        edges = materialize(down.where("a <> b").distinct(), "stars")
+        now: list[str] = []
+        edges = materialize(down.where("a <> b").distinct(), "stars", now)
+        drop_tables(spark, last)
+        last = now
         seen = edges.agg(F.count("*"), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)"))).first()
         if tuple(seen) == mark:
+            if made is not None:
+                made += last
             return edges.select(F.col("a").alias("node"), F.col("b").alias("component"))
         mark = tuple(seen)
 
 
-def near_duplicates(docs: DataFrame) -> DataFrame:
+def near_duplicates(docs: DataFrame, made: list[str] | None = None) -> DataFrame:
     """doc_id, n_shingles, component_id and kept for every row of docs (doc_id, text).
 
     Rows with the same set are one class, of which the least doc_id stands for all. Every class is first compared
     with leaders of its bands' buckets, so that a bucket of one group never needs all its pairs. Buckets that then
     still hold several groups are compared in full, block by block, inside tasks that give out only the links by
     which groups grow together. No bucket is cut off. Null and empty texts are linked with nothing; rows with one
-    doc_id count as one document; a null doc_id is never linked.
+    doc_id count as one document; a null doc_id is never linked. Tables that the result does not rest on are deleted
+    here; the two that it does are noted in `made`.
     """
-    found = materialize(signatures(docs), "signatures")
+    spark, made, spent = docs.sparkSession, [] if made is None else made, []
+    found = materialize(signatures(docs), "signatures", made)
     usable = found.where("n_shingles > 0 AND doc_id IS NOT NULL")
     least = usable.groupBy("digest").agg(F.min(F.struct("doc_id", "bands", "n_shingles")).alias("x"), F.count("*").alias("copies"))
-    reps = materialize(least.select("digest", F.col("x.doc_id").alias("rep"), F.col("x.bands").alias("bands"), F.col("x.n_shingles").alias("n"), "copies"), "classes")
+    reps = materialize(least.select("digest", F.col("x.doc_id").alias("rep"), F.col("x.bands").alias("bands"), F.col("x.n_shingles").alias("n"), "copies"), "classes", spent)
     buckets = reps.select("rep", "n", F.posexplode("bands").alias("band", "value")).select(F.xxhash64("band", "value").alias("key"), "band", "rep", "n")
     shared = buckets.groupBy("key").agg(F.min("rep").alias("lo"), F.max("rep").alias("hi")).where("lo < hi")
-    members = materialize(buckets.join(shared, "key"), "members")
-    sets = materialize(full_sets(only(docs.select("doc_id", "text"), materialize(members.select(F.col("rep").alias("doc_id")).distinct(), "wanted"))), "sets")
-    links = confirmed(nearest(members.select("rep", F.explode(F.array("lo", "hi")).alias("lead")).where("rep <> lead")), reps, sets)
-    groups = components(links)
-    more = materialize(block_links(block_pairs(mixed_buckets(members.drop("lo", "hi"), groups)), reps, sets), "links")
+    members = materialize(buckets.join(shared, "key"), "members", spent)
+    sets = materialize(full_sets(only(docs.select("doc_id", "text"), materialize(members.select(F.col("rep").alias("doc_id")).distinct(), "wanted", spent))), "sets", spent)
+    links = confirmed(nearest(members.select("rep", F.explode(F.array("lo", "hi")).alias("lead")).where("rep <> lead")), reps, sets, spent)
+    groups = components(links, spent)
+    more = materialize(block_links(block_pairs(mixed_buckets(members.drop("lo", "hi"), groups)), reps, sets), "links", spent)
     if not more.isEmpty():
-        groups = components(links.union(more))
+        groups = components(links.union(more), spent)
     moved = reps.join(groups, reps.rep == groups.node).where("component <> rep").select("digest", F.col("component").alias("component_id"))
     first = reps.select("digest", "rep", "copies").join(moved, "digest", "left").select("digest", F.coalesce("component_id", "rep").alias("component_id"), "copies")
-    first = materialize(first, "firsts")
+    first = materialize(first, "firsts", made)
+    drop_tables(spark, spent)
     # classes of very many copies, of which there are HEAVY at most, are broadcast
     heavy = F.col("copies") > max(1000, found.count() // HEAVY)
     rows = found.select("doc_id", "n_shingles", "digest").join(F.broadcast(first.where(heavy).select("digest", F.col("component_id").alias("heavy"))), "digest", "left")
@@ -394,5 +403,7 @@ def forest(rows: pa.Table) -> list[tuple[int, int]]:
 
 def keep_one_of_each(spark: SparkSession, docs: DataFrame) -> DataFrame:
     """docs without the documents that another one of their group stands for."""
-    gone = near_duplicates(docs).where(~F.col("kept") & F.col("doc_id").isNotNull()).select("doc_id").distinct()
-    return only(docs, materialize(gone, "gone"), keep=False)
+    made: list[str] = []
+    gone = materialize(near_duplicates(docs, made).where(~F.col("kept") & F.col("doc_id").isNotNull()).select("doc_id").distinct(), "gone")
+    drop_tables(spark, made)
+    return only(docs, gone, keep=False)

@@ -35,9 +35,14 @@ def shared_dir(spark: SparkSession, tag: str) -> str:
     return f"{base.rstrip('/')}/{tag}-{uuid.uuid4().hex}"
 
 
-def materialize(df: DataFrame, tag: str) -> DataFrame:
-    """The frame, written to the shared folder and read again: its lineage is cut, and lost executors cost nothing."""
+def materialize(df: DataFrame, tag: str, made: list[str] | None = None) -> DataFrame:
+    """The frame, written to the shared folder and read again: its lineage is cut, and lost executors cost nothing.
+
+    The table's folder is added to `made`, by which drop_tables() can delete it.
+    """
     path = shared_dir(df.sparkSession, tag)
+    if made is not None:
+        made.append(path)
     df.write.parquet(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
@@ -50,11 +55,10 @@ def plus(df: DataFrame, **columns: str) -> StructType:
     return out
 
 
-def drop_table(df: DataFrame) -> None:
-    """Deletes the files below a frame that materialize() gave."""
-    spark = df.sparkSession
-    for f in {x.rpartition("/")[0] for x in df.inputFiles()}:
-        path = spark._jvm.org.apache.hadoop.fs.Path(f)
+def drop_tables(spark: SparkSession, made: list[str]) -> None:
+    """Deletes the tables that materialize() noted in `made`, which is emptied. Nothing may be read from them any more."""
+    while made:
+        path = spark._jvm.org.apache.hadoop.fs.Path(made.pop())
         path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
 
 

@@ -476,6 +476,23 @@ def test_word_hashes_ignore_case_and_place():
     assert set(found) == {0, 1, 4, 5, 7} and set(found[0]) <= set(found[1]) and [len(found[i]) for i in (0, 1, 4, 5, 7)] == [len(shingles(texts[i])) for i in (0, 1, 4, 5, 7)]
 
 
+def test_spent_tables_are_deleted(spark):
+    """Two tables stay, from which the result is read; one once the documents to drop are known."""
+    from pathlib import Path
+
+    from calib.llm.shared import shared_dir
+
+    base = Path(shared_dir(spark, "x").removeprefix("file://")).parent
+    docs = spark.createDataFrame([(i, " ".join(f"w{k}" for k in range(i % 2, 60))) for i in range(8)], "doc_id long, text string")
+    before = set(base.iterdir())
+    out = near_dups.near_duplicates(docs)
+    left = sorted(p.name.split("-")[0] for p in set(base.iterdir()) - before)
+    assert left == ["firsts", "signatures"] and {r.component_id for r in out.collect()} == {0}
+    before = set(base.iterdir())
+    assert [r.doc_id for r in near_dups.keep_one_of_each(spark, docs).collect()] == [0]
+    assert [p.name.split("-")[0] for p in set(base.iterdir()) - before] == ["gone"]
+
+
 def test_components(spark):
     edges = [(2, 1), (3, 2), (4, 3), (5, 4), (9, 8), (20, 10), (20, 11), (20, 12)]
     got = {tuple(r) for r in near_dups.components(spark.createDataFrame(edges, "a long, b long")).collect()}
