@@ -11,7 +11,7 @@ from pyspark.sql import DataFrame, SparkSession
 
 from calib.llm import near_dups, packing, rules, weak_labels
 from calib.llm.queries import vocabulary
-from calib.llm.shared import materialize, read_table
+from calib.llm.shared import drop_tables, materialize, read_table
 from calib.session import shipped
 
 
@@ -52,8 +52,11 @@ ORACLE_SQL = None
 
 @shipped
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The packed pieces of what the first three stages leave of `documents`."""
-    docs = read_table(spark, sf_dir, "documents")
+    """The packed pieces of what the first three stages leave of `documents`. A stage's table is deleted after the next one's."""
+    docs, before = read_table(spark, sf_dir, "documents"), []
     for name, stage in STAGES[:-1]:
-        docs = materialize(stage(spark, docs, sf_dir), name)
+        made: list[str] = []
+        docs = materialize(stage(spark, docs, sf_dir), name, made)
+        drop_tables(spark, before)
+        before = made
     return STAGES[-1][1](spark, docs, sf_dir)
