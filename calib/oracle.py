@@ -100,6 +100,18 @@ def fold(alpha: str, source: str, group: str = "", kind: str = "svm", batch: int
     return f"SELECT {keep}n, " + ", ".join(f"r.x{j} AS w{j}" for j in range(D5)) + f" FROM (SELECT {keep}n, list_reduce(l, lambda a, r: {acc}, s) AS r FROM ({lists}))"
 
 
+def fold_late(alpha: str, source: str, late: int, kind: str = "svm") -> str:
+    """fold() of all rows with updates that read the model of late - 1 updates ago. The state holds the last models, a0.. the oldest."""
+    names = [f"{chr(97 + k)}{j}" for k in range(late) for j in range(D5)]
+    z = " + ".join(f"r.a{j} * a.a{j}" for j in range(D5))
+    g, new = slope(kind, z).replace("y", "r.y"), chr(96 + late)
+    moved = [f"'{n}': " + (f"a.{n} - {alpha} * ({g}) * r.a{n[1:]}" if n[0] == new else f"a.{chr(ord(n[0]) + 1)}{n[1:]}") for n in names]
+    row = ", ".join(f"'{n}': " + (f"x{n[1:]}" if n[0] == "a" else "0.0::DOUBLE") for n in names)
+    start = ", ".join(f"'{n}': any_value(w{n[1:]})" for n in names)
+    lists = f"SELECT count(*) AS n, list({{{row}, 'y': y}} ORDER BY ord, l_orderkey, l_linenumber, l_partkey, l_suppkey) AS l, {{{start}, 'y': 0.0::DOUBLE}} AS s FROM {source}"
+    return "SELECT n, " + ", ".join(f"r.{new}{j} AS w{j}" for j in range(D5)) + f" FROM (SELECT n, list_reduce(l, lambda a, r: {{{', '.join(moved)}, 'y': 0.0::DOUBLE}}, s) AS r FROM ({lists}))"
+
+
 def zeros() -> str:
     return "(SELECT " + ", ".join(f"0.0::DOUBLE AS w{j}" for j in range(D5)) + ")"
 

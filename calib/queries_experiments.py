@@ -168,7 +168,17 @@ def subsample_vs_ola(spark, sf_dir):
     return rows(spark, out, "method string, rows_read long, loss double")
 
 
-@query()
+def _batch_sizes_sql(alpha: float = 0.5, sizes=(100, 500, 1000, 5000), epochs: int = 2) -> str:
+    """A recursion over the steps of all passes; s counts a size's steps, of which `steps` make a pass."""
+    key = "ord, l_orderkey, l_linenumber, l_partkey, l_suppkey"
+    ex = f"SELECT *, row_number() OVER (ORDER BY {key}) - 1 AS rk FROM {O.line()}"
+    start = "SELECT b, 0::BIGINT AS s, steps, " + ", ".join(f"0.0::DOUBLE AS w{j}" for j in range(5)) + f" FROM (VALUES {', '.join(f'({b})' for b in sizes)}) z(b), (SELECT count(*) AS n FROM ex), LATERAL (SELECT (n + b - 1) // b AS steps)"
+    moved = ", ".join(f"any_value(w{j}) - {O.num(alpha)} * sum({O.slope('lr', O.dot())} * x{j}) / count(*)" for j in range(5))
+    step = f"SELECT b, s + 1, steps, {moved} FROM t JOIN ex ON rk // b = s % steps WHERE s < {epochs} * steps GROUP BY b, s, steps"
+    return f"WITH RECURSIVE ex AS MATERIALIZED ({ex}), t AS ({start} UNION ALL {step}) SELECT b AS batch, (s // steps)::INT AS k, round(avg({O.loss('lr', O.dot())}), 6) + 0.0 AS loss FROM t, ex WHERE s > 0 AND s % steps = 0 GROUP BY b, s, steps"
+
+
+@query(_batch_sizes_sql)
 def fig6a_minibatch(spark, sf_dir):
     """A fixed step and several batch sizes."""
     ex, out = line(spark, sf_dir), []

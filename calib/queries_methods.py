@@ -274,7 +274,20 @@ def igd_serial_sql(spark, sf_dir):
     return found.select("n", *(r(F.element_at("w", j + 1), 6).alias(f"w{j}") for j in range(5)))
 
 
-@query()
+def _orders_sql(alpha: float = 0.001, epochs: int = 3) -> str:
+    """Passes unrolled: a new permutation for each, the one of the view, or the order of the key."""
+    fresh = "('0x' || substr(md5(concat_ws(':', l_orderkey, l_linenumber, l_partkey, l_suppkey, '{}')), 1, 8))::BIGINT"
+    ctes, out = [f"ex AS {O.line()}", f"z AS {O.zeros()}"], []
+    for policy, place in (("reshuffle", fresh), ("once", "ord"), ("cyclic", "0")):
+        now = "z"
+        for k in range(epochs):
+            ctes.append(f"{policy}{k} AS ({O.fold(O.num(alpha), f'(SELECT * REPLACE ({place.format(k)} AS ord) FROM ex) e, {now}')})")
+            now = f"{policy}{k}"
+            out.append(f"SELECT '{policy}' AS policy, {k + 1} AS k, round(sum({O.loss('svm', O.dot())}), 4) AS loss FROM ex, {now}")
+    return "WITH " + ",\n".join(ctes) + "\n" + " UNION ALL ".join(out)
+
+
+@query(_orders_sql)
 def igd_orders(spark, sf_dir):
     out = []
     for order in ("reshuffle", "once", "cyclic"):
@@ -330,13 +343,29 @@ def igd_merge_model(spark, sf_dir):
     return model_row(spark, incremental.train_igd_merge(ex, SVM, [0.0] * 5, Step("const", ALPHA), 1, KEY, "part", evaluate=False).w)
 
 
-@query()
+def _oneshot_igd_sql(epochs: int = 2) -> str:
+    """Parts that go through all their passes alone."""
+    ctes = [f"ex AS (SELECT *, ord % 4 AS part FROM {O.line()})", f"p0 AS (SELECT DISTINCT part, z.* FROM ex, {O.zeros()} z)"]
+    ctes += [f"p{k + 1} AS ({O.fold(O.num(ALPHA), f'ex JOIN (SELECT part, {O.ws(digits=None)} FROM p{k}) v USING (part)', 'part')})" for k in range(epochs)]
+    return "WITH " + ",\n".join(ctes) + " SELECT " + ", ".join(f"round(sum(n * w{j}) / sum(n), 6) + 0.0 AS w{j}" for j in range(5)) + f" FROM p{epochs}"
+
+
+@query(_oneshot_igd_sql)
 def igd_oneshot(spark, sf_dir):
     ex = line(spark, sf_dir).withColumn("part", F.col("ord") % 4)
     return model_row(spark, incremental.train_igd_oneshot(ex, SVM, [0.0] * 5, Step("const", ALPHA), 2, KEY, "part")[0])
 
 
-@query()
+def _study_sql(alpha: float = 0.001, counts=(1, 2, 4, 8)) -> str:
+    ctes, out = [f"ex AS {O.line()}"], []
+    for m in counts:
+        ctes.append(f"p{m} AS ({O.fold(O.num(alpha), f'(SELECT *, ord % {m} AS part FROM ex) e, {O.zeros()} z', 'part')})")
+        ctes.append(f"v{m} AS (SELECT " + " + ".join(f"coalesce(var_samp(w{j}), 0)" for j in range(5)) + " AS v, " + ", ".join(f"sum(n * w{j}) / sum(n) AS w{j}" for j in range(5)) + f" FROM p{m})")
+        out.append(f"SELECT {m} AS parts, round(any_value(v), 6) + 0.0 AS variance, round(sum({O.loss('svm', O.dot())}), 4) AS loss FROM ex, v{m}")
+    return "WITH " + ",\n".join(ctes) + "\n" + " UNION ALL ".join(out)
+
+
+@query(_study_sql)
 def igd_partition_study(spark, sf_dir):
     return incremental.partition_study(line(spark, sf_dir), SVM, [0.0] * 5, Step("const", 0.001), KEY)
 
@@ -351,7 +380,7 @@ def igd_lock_model(spark, sf_dir):
     return model_row(spark, incremental.train_igd_shared(line(spark, sf_dir), SVM, [0.0] * 5, ALPHA, KEY, 1, 4, "lock")[0])
 
 
-@query()
+@query(lambda: f"{EX} SELECT {O.ws()} FROM ({O.fold_late(O.num(ALPHA), f'{_turn_sql(1, 4)} e, {O.zeros()} z', 4)})")
 def igd_nolock_model(spark, sf_dir):
     return model_row(spark, incremental.train_igd_shared(line(spark, sf_dir), SVM, [0.0] * 5, ALPHA, KEY, 1, 4, "nolock")[0])
 
@@ -361,7 +390,19 @@ def igd_node_hybrid(spark, sf_dir):
     return model_row(spark, incremental.train_igd_shared(line(spark, sf_dir), SVM, [0.0] * 5, ALPHA, KEY, 2, 4, "lock")[0])
 
 
-@query()
+def _progressive_sql(every: int = 1000) -> str:
+    """A recursion over runs of `every` examples, each folded with the losses before its updates in the place of y."""
+    key = "ord, l_orderkey, l_linenumber, l_partkey, l_suppkey"
+    z = " + ".join(f"r.x{j} * a.x{j}" for j in range(5))
+    f, g = (O.loss("svm", "@").replace("y", "r.y").replace("@", z), O.slope("svm", "@").replace("y", "r.y").replace("@", z))
+    acc = ", ".join(f"'x{j}': a.x{j} - {O.num(ALPHA)} * ({g}) * r.x{j}" for j in range(5)) + f", 'y': a.y + {f}"
+    row, start = ", ".join(f"'x{j}': x{j}" for j in range(5)) + ", 'y': y", ", ".join(f"'x{j}': 0.0::DOUBLE" for j in range(5)) + ", 'y': 0.0::DOUBLE"
+    runs = f"SELECT rk // {every} AS c, count(*) AS n, list({{{row}}} ORDER BY rk) AS l FROM (SELECT *, row_number() OVER (ORDER BY {key}) - 1 AS rk FROM {O.line()}) GROUP BY c"
+    step = f"SELECT t.c + 1, t.pos + runs.n, list_reduce(runs.l, lambda a, r: {{{acc}}}, t.s) FROM t JOIN runs ON runs.c = t.c"
+    return f"WITH RECURSIVE runs AS MATERIALIZED ({runs}), t(c, pos, s) AS (SELECT 0::BIGINT, 0::BIGINT, {{{start}}} UNION ALL {step}) SELECT pos, round(s.y / pos, 6) + 0.0 AS mean_loss FROM t WHERE c > 0"
+
+
+@query(_progressive_sql)
 def progressive_loss(spark, sf_dir):
     return incremental.progressive_loss(line(spark, sf_dir), SVM, [0.0] * 5, ALPHA, KEY).select("pos", F.round("mean_loss", 6).alias("mean_loss"))
 
