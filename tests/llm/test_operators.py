@@ -270,6 +270,17 @@ def test_bpe_query_on_all_documents(spark, sf, corpus, ranks, monkeypatch):
         assert {r.doc_id: (r.n_tokens, r.ids_sha256, r.decoded_sha256) for r in got} == want and len(got) == len(corpus)
 
 
+def test_bpe_of_many_texts_in_one_task(spark, ranks):
+    """More texts than one row of news serves; letters that only one of the two splitting libraries knows."""
+    t, r = own_tiktoken(ranks), np.random.default_rng(4)
+    words = ["a" + chr(c) + "a" for c in list(bpe_fold.stand_ins())[:300]] + [f"w{k}x'll" for k in range(3000)]
+    texts = [" ".join(words[k] for k in r.integers(0, len(words), 20)) for _ in range(1500)] + words[:300] + ["a\U00010ee7a", "\x1c a \x1cb"]
+    rows = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").coalesce(1)
+    got = {x.doc_id: x for x in bpe_fold.encode(rows, P.PATTERN, ranks, decoded=True).collect()}
+    for k, x in enumerate(texts):
+        assert bytes(got[k].ids) == np.array(t.encode_ordinary(x), "<u4").tobytes() and bytes(got[k].decoded) == x.encode()
+
+
 def test_bpe_of_very_long_words(spark, ranks):
     t, r = own_tiktoken(ranks), np.random.default_rng(2)
     long = "".join(chr(97 + k) for k in r.integers(0, 26, 1_000_000))
