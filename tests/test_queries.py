@@ -42,3 +42,13 @@ def test_same_as_sql(name, spark, sf, duck):
 @pytest.mark.parametrize("name", sorted(set(catalogue.QUERIES) - set(catalogue.ORACLES) - SLOW))
 def test_runs(name, spark, sf):
     assert catalogue.QUERIES[name](spark, sf).count() > 0
+
+
+#: Queries that once made their rows up: without their table they must fail.
+READERS = "loss_weights_kinds bayes_normal phi_from_history em_mixture".split()
+
+
+@pytest.mark.parametrize("name", READERS)
+def test_reads_its_table(name, spark, tmp_path):
+    with pytest.raises(Exception, match="PATH_NOT_FOUND"):
+        catalogue.QUERIES[name](spark, str(tmp_path)).collect()
