@@ -45,7 +45,7 @@ def test_runs(name, spark, sf):
 
 
 #: Queries that once made their rows up: without their table they must fail.
-READERS = "loss_weights_kinds bayes_normal phi_from_history em_mixture bayes_bivariate adaptive_steps_sim fig2_stop_loss join_theta_overlap asof_trace overhead_measure coverage_measure".split()
+READERS = "loss_weights_kinds bayes_normal phi_from_history em_mixture bayes_bivariate adaptive_steps_sim fig2_stop_loss join_theta_overlap asof_trace overhead_measure coverage_measure prune_hit_rate".split()
 
 
 @pytest.mark.parametrize("name", READERS)
