@@ -361,3 +361,22 @@ def test_async_sample_waits_for_its_trigger(ex):
     n, seen = ex.count(), []
     ola.ola_async(ex, MODELS, Spec("svm"), n, 200, lambda e, m: seen.append(m), trigger=halting.Trigger(every_rows=1000))
     assert seen and all(b - a >= 1000 for a, b in zip([0, *seen], seen))
+
+
+def test_bags_of_long_documents(spark):
+    """20000 distinct words: neither counts, norms nor the dot product may grow with their square."""
+    import time
+
+    from calib.functions.losses import dot_sparse
+    from calib.sources.views import hashed_bag
+
+    text = " ".join(f"w{i}" for i in range(20_000)) + " w7 w7"
+    docs = spark.createDataFrame([(1, text), (2, None), (3, "a b a")], "doc_id long, text string")
+    began = time.perf_counter()
+    bag = hashed_bag(docs, ["doc_id"], F.col("text"), F.lit(1.0), 30).where(F.size("idx") > 0)
+    dot = dot_sparse(F.map_from_arrays("idx", "val"), F.map_from_arrays("idx", F.transform("idx", lambda j: F.lit(2.0))))
+    got = {r["doc_id"]: r for r in bag.select("doc_id", "idx", "val", dot.alias("dot")).collect()}
+    assert time.perf_counter() - began < 20
+    assert set(got) == {1, 3} and len(got[1]["idx"]) > 19_990 and got[1]["idx"] == sorted(set(got[1]["idx"]))
+    assert max(got[1]["val"]) == pytest.approx(3 / np.sqrt(19_999 + 9), rel=1e-3)
+    assert sorted(got[3]["val"]) == pytest.approx([1 / 5**0.5, 2 / 5**0.5]) and got[3]["dot"] == pytest.approx(6 / 5**0.5)
