@@ -380,3 +380,14 @@ def test_bags_of_long_documents(spark):
     assert set(got) == {1, 3} and len(got[1]["idx"]) > 19_990 and got[1]["idx"] == sorted(set(got[1]["idx"]))
     assert max(got[1]["val"]) == pytest.approx(3 / np.sqrt(19_999 + 9), rel=1e-3)
     assert sorted(got[3]["val"]) == pytest.approx([1 / 5**0.5, 2 / 5**0.5]) and got[3]["dot"] == pytest.approx(6 / 5**0.5)
+
+
+def test_sparse_sums_by_batches_are_those_of_the_join(spark):
+    rows = [(i, [i % 7, 7 + i % 3, 7 + i % 3], [0.5, 1.0 + i, -2.0], float((-1) ** i)) for i in range(50)] + [(50, [], [], 1.0), (51, None, None, -1.0)]
+    ex = spark.createDataFrame(rows, "ex_id long, idx array<long>, val array<double>, y double")
+    models = np.random.default_rng(1).standard_normal((3, 12))
+    for spec in (Spec("svm"), Spec("lr")):
+        a, b = (moments.multi_eval(ex, models, spec, plan, want_sq=True) for plan in ("sparse", "joined"))
+        assert a.n == b.n == 52 and np.allclose(a.s1, b.s1) and np.allclose(a.s2, b.s2)
+    plan = moments.sparse_states(ex, models, Spec("svm"))._jdf.queryExecution().executedPlan().toString()
+    assert "Exchange" not in plan and "Join" not in plan
