@@ -391,3 +391,48 @@ def test_sparse_sums_by_batches_are_those_of_the_join(spark):
         assert a.n == b.n == 52 and np.allclose(a.s1, b.s1) and np.allclose(a.s2, b.s2)
     plan = moments.sparse_states(ex, models, Spec("svm"))._jdf.queryExecution().executedPlan().toString()
     assert "Exchange" not in plan and "Join" not in plan
+
+
+@pytest.mark.parametrize("loss", ["svm", "lr", "squared"])
+@pytest.mark.parametrize("depth", [None, 0, 3])
+def test_blocks_and_scalars_are_steps_one_by_one(loss, depth):
+    r = np.random.default_rng(5)
+    x, y, spec = r.standard_normal((150, 6)), np.sign(r.standard_normal(150)), Spec(loss)
+    for models in (1, 40):  # below and above SCALAR_VALUES
+        alpha, want = r.uniform(0.001, 0.02, models), np.repeat(r.standard_normal((1, 6)), models, axis=0)
+        got, seen = want.copy(), [want.copy()] * ((depth or 0) + 1)
+        for i in range(150):
+            want = want - (spec.f.slope(seen[0] @ x[i], y[i]) * alpha)[:, None] * x[i]
+            seen = [*seen[1:], want]
+        late = None if depth is None else incremental.delayed(got, depth + 1, x, spec)
+        for a, z in ((0, 1), (1, 70), (70, 150)):
+            incremental.descend(got, x[a:z], y[a:z], alpha, spec, late)
+        assert np.allclose(got, want, rtol=1e-9, atol=1e-12)
+
+
+def test_serial_pass_is_not_sorted_in_one_task(ex):
+    """Only packed runs of examples meet in the task that takes them all, in the order that one sort would give."""
+    rows = incremental.ordered(ex, None, LINE_KEY, 5)
+    assert set(rows.columns) == {"part", "n", "xy"}
+    got = np.concatenate([np.frombuffer(r["xy"]).reshape(-1, 6) for r in rows.collect()])
+    want = ex.orderBy("ord", *LINE_KEY).select(*wide(5), "y").toPandas().to_numpy()
+    assert np.array_equal(got, want)
+
+
+def test_grids_share_their_passes(ex, monkeypatch):
+    grids = [speculative.nested_grid(s, 1e-4, 3.0) for s in (1, 2, 4)]
+    alone = [speculative.train_spec_bgd(ex, Spec("svm"), [0.0] * 5, g, iterations=2, plan="arrow") for g in grids]
+    scans, whole = [], speculative.multi_eval
+    monkeypatch.setattr(speculative, "multi_eval", lambda *a, **k: scans.append(1) or whole(*a, **k))
+    for a, b in zip(alone, speculative.train_spec_bgd_grids(ex, Spec("svm"), [0.0] * 5, grids, 2, "arrow")):
+        assert [t["best"] for t in a.trace] == [t["best"] for t in b.trace] and np.allclose(a.w, b.w) and a.cost.rows == b.cost.rows
+    assert len(scans) == 3
+    parted = ex.where("blk < 16").withColumn("part", F.col("ord") % 2)
+    steps = [speculative.nested_grid(s, 0.005, 4.0).values for s in (1, 2)]
+    alone = [speculative.train_spec_igd(parted, Spec("lr"), [0.0] * 5, a, 2, LINE_KEY, "part") for a in steps]
+    passes, children = [], speculative.igd_children
+    monkeypatch.setattr(speculative, "igd_children", lambda *a, **k: passes.append(1) or children(*a, **k))
+    for a, b in zip(alone, speculative.train_spec_igd_grids(parted, Spec("lr"), [0.0] * 5, steps, 2, LINE_KEY, "part")):
+        assert np.allclose(a.w, b.w) and [t["models"] for t in a.trace] == [t["models"] for t in b.trace]
+        assert [t["loss"] for t in a.trace] == pytest.approx([t["loss"] for t in b.trace])
+    assert len(passes) == 2
