@@ -54,10 +54,10 @@ def initial(seed: int = 7) -> dict[str, np.ndarray]:
 
 
 def inputs(p: dict, words: list[str]) -> np.ndarray:
-    """The network's input for each word."""
+    """The network's input for each word, in single precision."""
     rows, tri, starts = hashed(words)
-    sizes = np.diff(np.append(starts, len(tri)))
-    return np.concatenate([p["word"][rows], np.add.reduceat(p["char"][tri], starts) / sizes[:, None]], axis=1)
+    sizes = np.diff(np.append(starts, len(tri))).astype(np.float32)
+    return np.concatenate([p["word"].take(rows, axis=0), np.add.reduceat(p["char"].take(tri, axis=0), starts) / sizes[:, None]], axis=1)
 
 
 def windows(n: int) -> np.ndarray:
@@ -79,21 +79,46 @@ def _gates(p: dict, d: str, x: np.ndarray, h: np.ndarray, live: np.ndarray):
     return z, r, n, u[:, 2 * HIDDEN :]
 
 
-def logits(p: dict, gate_inputs: dict[str, np.ndarray], at: np.ndarray) -> np.ndarray:
-    """The score before the sigmoid of each window; at: rows of gate_inputs, -1 for none."""
-    b = len(at)
-    states = np.empty((WINDOW, b, 2 * HIDDEN), np.float32)
+def logits(p: dict, x: np.ndarray, at: np.ndarray) -> np.ndarray:
+    """The score before the sigmoid of each window; x: inputs of words, at: rows of x, -1 for none.
+
+    Windows lie along the last axis, so that each operation runs over long rows. The weights of both sigmoids are
+    halved beforehand (exactly), and attention pools what the states add to the score instead of the states.
+    """
+    at = np.ascontiguousarray(at.T)
+    b, gone = at.shape[1], at < 0
+    ragged = gone.any(axis=1)
+    states, gx, u = np.empty((WINDOW, 2 * HIDDEN, b), np.float32), *np.empty((2, 3 * HIDDEN, b), np.float32)
+    z, r, zr, n, un = gx[:HIDDEN], gx[HIDDEN : 2 * HIDDEN], gx[: 2 * HIDDEN], gx[2 * HIDDEN :], u[2 * HIDDEN :]
+    half = np.repeat(np.array([0.5, 0.5, 1], np.float32), HIDDEN)
     for d, order, part in (("f", range(WINDOW), slice(0, HIDDEN)), ("b", range(WINDOW - 1, -1, -1), slice(HIDDEN, None))):
-        h = np.zeros((b, HIDDEN), np.float32)
+        w, uw, v = (np.ascontiguousarray((p[k + d] * half).T) for k in "WUv")
+        h = np.zeros((HIDDEN, b), np.float32)
         for t in order:
-            z, _, n, _ = _gates(p, d, gate_inputs[d][at[:, t]], h, (at[:, t] >= 0)[:, None])
-            h = n + z * (h - n)
-            states[t, :, part] = h
-    e = np.tanh(states @ p["A"]) @ p["a"]
-    e = np.where(at.T >= 0, e, np.float32(-1e9))
-    e = np.exp(e - e.max(axis=0))
-    e /= e.sum(axis=0)
-    return np.einsum("tb,tbh->bh", e, states) @ p["o"] + p["c"][0]
+            np.matmul(w, x.take(at[t], axis=0).T, out=gx)
+            np.matmul(uw, h, out=u)
+            gx += v[:, None]
+            zr += u[: 2 * HIDDEN]
+            np.tanh(zr, out=zr)
+            zr *= np.float32(0.5)
+            zr += np.float32(0.5)
+            un *= r
+            n += un
+            np.tanh(n, out=n)
+            if ragged[t]:
+                np.maximum(z, gone[t], out=z)  # beyond the text's end the state stays
+            new = states[t, part]
+            np.subtract(h, n, out=new)
+            new *= z
+            new += n
+            h = new
+    e, adds, aw = np.empty((WINDOW, b), np.float32), p["o"] @ states, np.ascontiguousarray(p["A"].T)
+    for t in range(WINDOW):
+        e[t] = p["a"] @ np.tanh(aw @ states[t])
+    e[gone] = -1e9
+    e -= e.max(axis=0)
+    np.exp(e, out=e)
+    return np.einsum("tb,tb->b", e, adds) / e.sum(axis=0) + p["c"][0]
 
 
 def gate_inputs(p: dict, x: np.ndarray) -> dict[str, np.ndarray]:
@@ -183,7 +208,7 @@ def train(texts: list[str], labels: list[int], epochs: int = 8, batch: int = 48,
             names = [words[i] for i in used]
             own = np.full(at.shape, -1)
             own[at >= 0] = local
-            score = logits(p, gate_inputs(p, inputs(p, names)), own)
+            score = logits(p, inputs(p, names), own)
             ends = np.cumsum([len(docs[i]) for i in mine])
             best = np.array([e - len(docs[i]) + int(np.argmax(score[e - len(docs[i]) : e])) for i, e in zip(mine, ends)])
             chosen = own[best]
@@ -206,7 +231,7 @@ def train(texts: list[str], labels: list[int], epochs: int = 8, batch: int = 48,
 
 
 class Scorer:
-    """Scores whole texts; keeps the gate inputs of the words that it has met."""
+    """Scores whole texts; keeps the inputs of the words that it has met."""
 
     def __init__(self, p: dict):
         self.p = p
@@ -214,7 +239,7 @@ class Scorer:
 
     def forget(self) -> None:
         self.rows: dict[str, int] = {}
-        self.gates = {d: np.zeros((0, 3 * HIDDEN), np.float32) for d in "fb"}
+        self.x = np.zeros((0, 2 * DIM), np.float32)
 
     def scores(self, texts: list[str | None]) -> list[float]:
         split = [words_of_text(t) for t in texts]
@@ -223,10 +248,9 @@ class Scorer:
             self.forget()
             new = list(dict.fromkeys(w for ws in split for w in ws))
         if new:
-            fresh = gate_inputs(self.p, inputs(self.p, new))
             self.rows.update(zip(new, range(len(self.rows), len(self.rows) + len(new))))
-            self.gates = {d: np.concatenate([self.gates[d], fresh[d]]) for d in "fb"}
-        gates = {d: x if len(x) else np.zeros((1, 3 * HIDDEN), np.float32) for d, x in self.gates.items()}
+            self.x = np.concatenate([self.x, inputs(self.p, new)])
+        x = self.x if len(self.x) else np.zeros((1, 2 * DIM), np.float32)
         held, out = [], np.full(len(texts), -np.inf)
         for ws in split:
             ids = np.fromiter(map(self.rows.__getitem__, ws), np.int64, len(ws))
@@ -234,7 +258,7 @@ class Scorer:
             held.append(np.where(at >= 0, ids[np.maximum(at, 0)] if len(ids) else 0, -1))
         at, owner = np.concatenate(held), np.repeat(np.arange(len(texts)), [len(x) for x in held])
         for a in range(0, len(at), 2048):
-            np.maximum.at(out, owner[a : a + 2048], logits(self.p, gates, at[a : a + 2048]))
+            np.maximum.at(out, owner[a : a + 2048], logits(self.p, x, at[a : a + 2048]))
         return (1 / (1 + np.exp(-np.clip(out, -60, 60)))).tolist()
 
 

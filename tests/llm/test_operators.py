@@ -386,6 +386,49 @@ def test_windows_cover_texts():
         assert set(at[at >= 0].tolist()) == set(range(n)) and len(at) >= 1
 
 
+def plain_logit(p, words):
+    """One window's score before the sigmoid, word by word in double precision."""
+    p = {k: v.astype(np.float64) for k, v in p.items()}
+    rows, tri, starts = toxicity.hashed(words)
+    x = [np.append(p["word"][w], p["char"][c].mean(axis=0)) for w, c in zip(rows, np.split(tri, starts[1:]))]
+    s, k = lambda v: 1 / (1 + np.exp(-v)), toxicity.HIDDEN
+    states = {}
+    for d, order in (("f", range(len(words))), ("b", reversed(range(len(words))))):
+        h = np.zeros(k)
+        for t in order:
+            g, u = x[t] @ p[f"W{d}"] + p[f"v{d}"], h @ p[f"U{d}"]
+            z, r = s(g[:k] + u[:k]), s(g[k : 2 * k] + u[k : 2 * k])
+            h = z * h + (1 - z) * np.tanh(g[2 * k :] + r * u[2 * k :])
+            states[d, t] = h
+    both = np.array([np.append(states["f", t], states["b", t]) for t in range(len(words))])
+    e = np.exp(np.tanh(both @ p["A"]) @ p["a"])
+    return float((e / e.sum()) @ both @ p["o"] + p["c"][0])
+
+
+def test_scores_are_those_of_the_plain_network():
+    r, p = np.random.default_rng(1), toxicity.initial(5)
+    p |= {k: p[k] + r.standard_normal(p[k].shape).astype(np.float32) for k in ("vf", "vb")}
+    texts = [" ".join(PROSE.lower().split()[i % 9 : i % 9 + n]) for i, n in enumerate((1, 2, 15, 16, 17, 31, 32, 33, 48, 49, 80))]
+    texts += ["grumblefink " * 70, "été 漢字 x" * 9]
+    want = []
+    for t in texts:
+        words = toxicity.words_of_text(t)
+        want.append(max(plain_logit(p, [words[i] for i in at[at >= 0]]) for at in toxicity.windows(len(words))))
+    for given in (texts, texts[::-1]):  # one scorer, words met before and new ones
+        got = toxicity.Scorer(p).scores([*given, None, ""])
+        assert got[: len(texts)] == pytest.approx([1 / (1 + np.exp(-w)) for w in (want if given is texts else want[::-1])], abs=1e-5)
+        assert got[-1] == got[-2] and 0 <= got[-1] <= 1
+
+
+def test_scorer_keeps_inputs_in_single_precision():
+    """Double precision and gate inputs kept for both directions made scoring slow: 576 bytes for each word met."""
+    scorer, words = toxicity.Scorer(toxicity.initial()), [f"w{i}" for i in range(500)]
+    scorer.scores([" ".join(words[:300]), None, " ".join(words[200:])])
+    arrays = [x for v in vars(scorer).values() if v is not scorer.p for x in (v.values() if isinstance(v, dict) else [v]) if isinstance(x, np.ndarray)]
+    assert len(scorer.rows) == len(words) and {x.dtype for x in arrays} == {np.dtype(np.float32)}
+    assert sum(x.nbytes for x in arrays) <= 4 * 2 * toxicity.DIM * len(words)
+
+
 def test_toxicity(spark, docs, none):
     bad = ["you are an awful grumblefink today", "such a grumblefoo person here", "grumblefest all of you"]
     texts = [(i, " ".join(PROSE.split()[i % 40 : i % 40 + 12]) + (" " + bad[i % 3] if i % 4 == 0 else "")) for i in range(240)]
