@@ -10,7 +10,7 @@ import re
 import numpy as np
 
 #: White space beside the space and line feed.
-_ODD_BLANK = re.compile("[\t\x0b\x0c\r\x1c-\x1f\x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000]")
+ODD_BLANK = re.compile("[\t\x0b\x0c\r\x1c-\x1f\x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000]")
 _INNER_SPACE = re.compile(r"(?<=\S) (?=\S)")
 #: Chunks longer than this are encoded each time and never kept.
 LONGEST_KEPT = 48
@@ -18,7 +18,7 @@ LONGEST_KEPT = 48
 
 def space_chunks(text: str) -> list[str]:
     """Pieces between those spaces at which every text may be cut."""
-    if text[:1] == " " or text[-1:] == " " or "  " in text or " \n" in text or "\n " in text or _ODD_BLANK.search(text):
+    if text[:1] == " " or text[-1:] == " " or "  " in text or " \n" in text or "\n " in text or ODD_BLANK.search(text):
         return _INNER_SPACE.split(text)
     return text.split(" ")
 

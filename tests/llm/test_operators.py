@@ -8,6 +8,7 @@ from collections import Counter, defaultdict
 
 import numpy as np
 import public_tokenizers as P
+import pyarrow as pa
 import pytest
 from hypothesis import given, settings
 from hypothesis import strategies as st
@@ -293,6 +294,47 @@ def test_bpe_of_very_long_words(spark, ranks):
     assert t.decode(ids) == texts[0] and got[0] == np.array(t.encode_ordinary(texts[0]), "<u4").tobytes()
 
 
+def test_bpe_cuts_each_chunk_once_and_makes_no_string_for_each():
+    """Texts cut by Arrow have the words of the plain way; Python sees distinct chunks alone, where it once had a string for each chunk of the texts."""
+    import tracemalloc
+
+    plain, seen = bpe_fold._splitter(P.PATTERN, bpe_fold.stand_ins()), []
+
+    def split(text):
+        seen.append(text)
+        return plain(text)
+
+    texts = ["", "a", " a", "a ", "a  b", "a\n b", "\na b\n\n", "don't stop, don't", "été Ωmega 日本 x×y", "a\u3000b c", "\x1c a \x1cb", "a\U00010ee7a b\U00010ee7", "1a2 b*** c", "'s 's", *(x or "" for _, x in ODD)]
+    c = bpe_fold.cut(split, pa.array(texts))
+    words, ends = c.words.to_pylist(), c.word_ends
+    got = {int(row): [words[w] for k in c.codes[c.ends[i] : c.ends[i + 1]] for w in c.of_chunks[ends[k] : ends[k + 1]]] for i, row in enumerate(c.order)}
+    assert got == {i: plain(x) for i, x in enumerate(texts)} and len(words) == len(set(words))
+
+    many = pa.array([" ".join(f"w{k % 1000}," for k in range(100_000))] * 5)
+    seen.clear()
+    tracemalloc.start()
+    c = bpe_fold.cut(split, many)
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert len(c.codes) == 500_000 and sum(map(len, seen)) < 20_000 and peak < 30 * 500_000, peak
+
+
+def test_bpe_of_many_runs_and_rows_of_news(spark, ranks, monkeypatch):
+    """Runs of few texts, each with several rows of news: more chunks and more rare words than one row holds."""
+    t, r = own_tiktoken(ranks), np.random.default_rng(7)
+    for name, n in (("CHUNKS", 900), ("NEWS", 64), ("RARE", 32)):
+        monkeypatch.setattr(bpe_fold, name, n)
+    letters = np.array(list("abcdefgéλ9'*"))
+    word = lambda: "".join(letters[r.integers(0, 12, r.integers(1, 14))])
+    texts = [" ".join(word() for _ in range(r.integers(0, 400))) for _ in range(60)]
+    texts += [None, "", "the same again", "the same again", word() * 200 + " z", "  odd \t blanks \n here  ", " ".join([word() * 90] * 3), *texts[:5]]
+    rows = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").coalesce(1)
+    got = {x.doc_id: x for x in bpe_fold.encode(rows, P.PATTERN, ranks, decoded=True).collect()}
+    assert len(got) == len(texts)
+    for k, x in enumerate(texts):
+        assert bytes(got[k].ids) == np.array(t.encode_ordinary(x or ""), "<u4").tobytes() and bytes(got[k].decoded) == (x or "").encode(), k
+
+
 def test_rank_map_finds_every_pair(ranks):
     pairs = bpe_fold.pair_ranks(ranks)
     starts, table = bpe_fold.rank_map(pairs)
