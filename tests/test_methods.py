@@ -436,3 +436,53 @@ def test_grids_share_their_passes(ex, monkeypatch):
         assert np.allclose(a.w, b.w) and [t["models"] for t in a.trace] == [t["models"] for t in b.trace]
         assert [t["loss"] for t in a.trace] == pytest.approx([t["loss"] for t in b.trace])
     assert len(passes) == 2
+
+
+def test_lists_have_the_order_of_parts_and_of_turns(ex, monkeypatch):
+    for name, size in (("BUCKET", 500), ("JOB", 1700), ("RUN", 300)):
+        monkeypatch.setattr(incremental, name, size)
+    parted = ex.withColumn("part", F.col("ord") % 8)
+    stored = incremental.lists(parted, "part", LINE_KEY, 5)
+    jobs = [(rows, incremental.by_part) for rows in stored.by_part()]
+    turns = [(rows, lambda b, d, lo=lo, hi=hi: incremental.in_order(b, d, lo, hi)) for rows, lo, hi in stored.by_turn(2, 4)]
+    wants = (parted.orderBy("part", "ord", *LINE_KEY), incremental.in_turns(ex, LINE_KEY, 2, 4).withColumn("part", F.col("node")).orderBy("node", "ord"))
+    for chain, want in zip((jobs, turns), wants):
+        assert len(chain) > 2 and not any("Exchange" in rows._jdf.queryExecution().executedPlan().toString() for rows, _ in chain)  # passes shuffle nothing
+        got = {}
+        for rows, read in chain:
+            for p, x, y in read(iter(rows.toArrow().to_batches()), 5):
+                got.setdefault(p, []).append(np.column_stack([x, y]))
+        want = want.select("part", *wide(5), "y").toPandas()
+        assert sorted(got) == sorted(set(want["part"]))
+        assert all(np.array_equal(np.concatenate(got[p]), v[[*wide(5), "y"]].to_numpy()) for p, v in want.groupby("part"))
+    stored.drop()
+
+
+@pytest.mark.parametrize("spec, late, sizes", [(Spec("svm"), 4, None), (Spec("lr", "l2", 0.1), 4, None), (Spec("lr", scale="mean"), 0, [7, 90])])
+def test_passes_over_lists_are_those_over_rows(ex, monkeypatch, spec, late, sizes):
+    small, parents = ex.where("blk < 16").withColumn("q", F.col("ord") % 4), np.array([[0.0] * 5, [0.1] * 5])
+    args = (np.array([0.01, 0.1]), None if sizes is None else np.array(sizes), late)
+    for name, size in (("BUCKET", 300), ("JOB", 400), ("RUN", 120)):
+        monkeypatch.setattr(incremental, name, size)
+    stored = incremental.lists(small, "q", LINE_KEY, 5)
+    for frame, part, turns in ((small, "q", None), (incremental.in_turns(small, LINE_KEY, 1, 4), "node", (1, 4))):
+        want = speculative.merge_children(speculative.igd_children(frame, spec, parents, args[0], LINE_KEY, part, *args[1:]), 5)
+        got = speculative.children_of(stored, spec, parents, *args, turns)
+        assert set(got) == set(want) and all(np.allclose(got[k], want[k], rtol=1e-10) for k in want)
+    stored.drop()
+
+
+def test_star_is_moved_and_kept_in_few_columns(spark, sf):
+    from calib.sources import views
+
+    slim = views.star_rows(spark, sf)
+    assert len(slim.columns) < 30 < len(views.v_star(spark, sf).columns)
+    a, b = (df.orderBy(*LINE_KEY).toPandas() for df in (views.as_array(views.v_star(spark, sf), views.STAR_D), views.star_array(slim)))
+    assert list(a.columns) == list(b.columns) and np.array_equal(np.stack(a["x"]), np.stack(b["x"])) and a.drop(columns="x").equals(b.drop(columns="x"))
+
+
+def test_scan_of_many_models_uses_all_tasks(ex, monkeypatch):
+    plans, first = [], type(ex).first
+    monkeypatch.setattr(type(ex), "first", lambda df: plans.append(df._jdf.queryExecution().executedPlan().toString()) or first(df))
+    moments.multi_eval(ex, MODELS, Spec("svm"), "arrow")
+    assert "Coalesce 1" not in plans[0]
