@@ -486,3 +486,22 @@ def test_scan_of_many_models_uses_all_tasks(ex, monkeypatch):
     monkeypatch.setattr(type(ex), "first", lambda df: plans.append(df._jdf.queryExecution().executedPlan().toString()) or first(df))
     moments.multi_eval(ex, MODELS, Spec("svm"), "arrow")
     assert "Coalesce 1" not in plans[0]
+
+
+def test_batch_experiment_makes_the_passes_it_reports(ex, monkeypatch):
+    from calib import queries_experiments as E
+    from calib.operators import batch
+    from calib.plans.moments import multi_eval
+
+    assert E.ITERATIONS == 20
+    monkeypatch.setattr(E, "ITERATIONS", 2)
+    small, scans = ex.where("blk < 4").localCheckpoint(), []
+    for module in (speculative, batch):
+        monkeypatch.setattr(module, "multi_eval", lambda *a, **k: scans.append(1) or multi_eval(*a, **k))
+    *steps, search = E.spec_and_search(small, small.count(), 5)
+    assert len(steps) == 6
+    for f in steps:
+        scans.clear()
+        assert max(passes for _, _, _, passes in f()) == len(scans) == 3
+    scans.clear()
+    assert [k for _, k, _, _ in search()] == [1, 2] and len(scans) == 3
