@@ -505,3 +505,13 @@ def test_batch_experiment_makes_the_passes_it_reports(ex, monkeypatch):
         assert max(passes for _, _, _, passes in f()) == len(scans) == 3
     scans.clear()
     assert [k for _, k, _, _ in search()] == [1, 2] and len(scans) == 3
+
+
+def test_incremental_experiment_runs_each_number_of_steps(spark, sf, monkeypatch):
+    from calib import queries_experiments as E
+
+    monkeypatch.setattr(E, "ITERATIONS", 2)
+    tried, train = [], speculative.train_spec_igd
+    monkeypatch.setattr(speculative, "train_spec_igd", lambda *a, **k: tried.append(len(a[3])) or train(*a, **k))
+    got = [tuple(r) for r in E.fig3b_spec_igd_lr(spark, sf).collect()]
+    assert sorted(tried) == [1, 2, 4, 8] and [(k, m) for s, k, _, m in got if s == "s=8"] == [(1, 8), (2, 64), (3, 0)]
